@@ -35,17 +35,6 @@ def _depth(width: int, fan_in: int) -> int:
     return depth
 
 
-def digest_entries(docs: DataFrame, runs: int, id_col: str, text_col: str) -> DataFrame:
-    """One sorted entry per document; the run is a hash of the id, so a retry deals it alike."""
-    text = normalised(F.col(text_col))
-    return docs.select(
-        F.col(id_col).alias("id"),
-        F.unhex(F.sha2(text, 256)).alias("digest"),
-        (F.xxhash64(text) + F.octet_length(text)).alias("check"),
-        F.pmod(F.xxhash64(F.col(id_col)), F.lit(runs)).cast("int").alias("run"),
-    ).sortWithinPartitions("run", "digest")
-
-
 def merge_runs(runs: DataFrame, fan_in: int, keep: str) -> DataFrame:
     pick = F.max if keep == "largest" else F.min
     return (
@@ -55,13 +44,11 @@ def merge_runs(runs: DataFrame, fan_in: int, keep: str) -> DataFrame:
     )
 
 
-def exact_groups(docs: DataFrame, keep: str = "largest", fan_in: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row of ``docs``: id, keep_id, group_size, kept, text_sha256. ``keep``: 'largest' or 'smallest' id."""
-    require_columns(docs, id_col, text_col)
-    if keep not in ("largest", "smallest"):
-        raise ValueError("keep is 'largest' or 'smallest'")
-    depth = _depth(shuffle_width(docs.sparkSession), fan_in)
-    entries = cut(digest_entries(docs, fan_in**depth, id_col, text_col), "digest-runs")
+def merge_tree(entries: DataFrame, keep: str, fan_in: int = 8) -> DataFrame:
+    """entries (id, digest, check) with keep_id and copies of their group, by rounds of merges up and answers down."""
+    depth = _depth(shuffle_width(entries.sparkSession), fan_in)
+    run = F.pmod(F.xxhash64(F.col("id")), F.lit(fan_in**depth)).cast("int")
+    entries = cut(entries.withColumn("run", run).sortWithinPartitions("run", "digest"), "digest-runs")
     pick = F.max if keep == "largest" else F.min
     levels = [entries.groupBy("run", "digest", "check").agg(pick("id").alias("keep_id"), F.count("*").alias("copies"))]
     for _ in range(depth):
@@ -70,7 +57,17 @@ def exact_groups(docs: DataFrame, keep: str = "largest", fan_in: int = 8, id_col
     for level in reversed(levels[:-1]):
         below = level.select("run", F.floor(F.col("run") / fan_in).cast("int").alias("parent"), "digest", "check")
         answer = below.join(answer.withColumnRenamed("run", "parent"), ["parent", "digest", "check"]).drop("parent")
-    return entries.join(answer, ["run", "digest", "check"]).select(
+    return entries.join(answer, ["run", "digest", "check"]).drop("run")
+
+
+def exact_groups(docs: DataFrame, keep: str = "largest", fan_in: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Per row of ``docs``: id, keep_id, group_size, kept, text_sha256. ``keep``: 'largest' or 'smallest' id."""
+    require_columns(docs, id_col, text_col)
+    if keep not in ("largest", "smallest"):
+        raise ValueError("keep is 'largest' or 'smallest'")
+    text = normalised(F.col(text_col))
+    entries = docs.select(F.col(id_col).alias("id"), F.unhex(F.sha2(text, 256)).alias("digest"), (F.xxhash64(text) + F.octet_length(text)).alias("check"))
+    return merge_tree(entries, keep, fan_in).select(
         F.col("id").alias(id_col),
         "keep_id",
         F.col("copies").alias("group_size"),
