@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, exact_dedup, minhash, mixing, sharding
+from . import bpe, exact_dedup, minhash, mixing, sharding, suffix_dedup
 from .common import read_table
 
 BPE_FILE = "byte_bpe_multi_50k.tiktoken"
@@ -19,6 +19,10 @@ def op2_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
+def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.dedup_report(read_table(spark, sf_dir, "documents"))
+
+
 def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_report(read_table(spark, sf_dir, "documents"))
 
@@ -31,5 +35,5 @@ def op10_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encoding_report(read_table(spark, sf_dir, "documents"), public_tokenizers.path(BPE_FILE))
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_minhash, op5_sharding, op9_exact_dedup, op10_bpe)}
-ORACLES = {"op1_mixing": mixing.oracle(), "op2_minhash": minhash.ORACLE, "op9_exact_dedup": exact_dedup.ORACLE}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_minhash, op3_suffix_dedup, op5_sharding, op9_exact_dedup, op10_bpe)}
+ORACLES = {"op1_mixing": mixing.oracle(), "op2_minhash": minhash.ORACLE, "op3_suffix_dedup": suffix_dedup.ORACLE, "op9_exact_dedup": exact_dedup.ORACLE}
