@@ -107,6 +107,12 @@ def mix(docs: DataFrame, dims: dict[str, F.Column] | None = None, seed: int = 7,
     return joined.withColumn("mix_kept", unit_draw(F.col(id_col), seed) < F.col("mix_p"))
 
 
+def keep_mixed(docs: DataFrame, seed: int = 7, **fit) -> DataFrame:
+    """The drawn rows of docs with just their own columns, whatever these are called."""
+    packed = docs.select(F.struct("*").alias("row")).select("row", F.col("row.doc_id").alias("doc_id"), F.col("row.text").alias("text"), F.col("row.lang").alias("lang"), F.col("row.source").alias("source"))
+    return mix(packed, seed=seed, **fit).filter("mix_kept").select("row.*")
+
+
 def mixing_report(docs: DataFrame, seed: int = 7) -> DataFrame:
     """The query's rows: every document's cell, probability and decision."""
     return mix(docs.select("doc_id", "text", "lang", "source"), seed=seed).select("doc_id", "mix_source", "mix_lang", "mix_topic", F.round("mix_p", 6).alias("keep_probability"), F.col("mix_kept").alias("kept"))

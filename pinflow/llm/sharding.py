@@ -7,7 +7,8 @@ records; cutting it at even row positions gives shards whose counts differ by on
 
 Defined results: null texts have size 16 (no bytes); nulls hash like values; repeated rows are dealt like
 any other (identical records share a bucket, which only has to fit if one record fills it); an empty table
-gives an empty result; further columns ride along unchanged.
+gives an empty result; further columns ride along unchanged, except that the operator's own shard and slot
+replace columns of these names.
 """
 
 from __future__ import annotations
@@ -38,6 +39,7 @@ def external_shuffle(docs: DataFrame, shards: int = 40, seed: int = 11, bucket_b
     if shards < 1:
         raise ValueError("shards must be positive")
     require_columns(docs, id_col, text_col)
+    docs = docs.drop("shard", "slot", "__bucket")
     spark = docs.sparkSession
     key = F.xxhash64(F.lit(seed), F.col(id_col), F.xxhash64(F.col(text_col)))
     size = docs.agg(F.coalesce(F.sum(record_size(F.col(text_col))), F.lit(0)).alias("b")).first()["b"]  # one row
