@@ -19,13 +19,13 @@ def _numbered(spark: SparkSession, path: str) -> DataFrame:
 def read_netlist(spark: SparkSession, path: str) -> DataFrame:
     """One net a line, vertex ids between blanks; # starts a comment line."""
     lines = _numbered(spark, path).filter("line <> '' AND NOT startswith(line, '#')")
-    return lines.select("net_id", F.explode(F.split("line", r"\s+")).cast("bigint").alias("vertex_id")).distinct()
+    return lines.select("net_id", F.explode(F.split("line", r"\s+").cast("array<bigint>")).alias("vertex_id")).distinct()
 
 
 def read_signed_clauses(spark: SparkSession, path: str) -> DataFrame:
     """CNF-like: literals between blanks, negative ones complemented, 0 ends the clause, c and p lines are skipped."""
     lines = _numbered(spark, path).filter("line <> '' AND substr(line, 1, 1) NOT IN ('c', 'p')")
-    literal = F.explode(F.split("line", r"\s+")).cast("bigint")
+    literal = F.explode(F.split("line", r"\s+").cast("array<bigint>"))
     return lines.select("net_id", literal.alias("x")).filter("x <> 0").select("net_id", F.abs("x").alias("vertex_id")).distinct()
 
 
