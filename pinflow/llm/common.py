@@ -1,61 +1,37 @@
-"""Shared plumbing of the training-data operators: table reads and lineage cuts."""
+"""Shared plumbing of the training-data operators."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
+import ctypes
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-_made: list[tuple[SparkSession, str]] = []
+from pinflow.lineage import cut, discard, release, scratch_path
+from pinflow.sources.tables import read_table
 
+__all__ = ["cut", "discard", "numbered", "read_table", "release", "require_columns", "scratch_path", "shuffle_width", "trimmed"]
 
-def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
+def trimmed(run):
+    """An Arrow generator function that gives freed memory back when its task ends: workers outlive tasks."""
 
-def scratch_path(spark: SparkSession, label: str) -> str:
-    """A fresh path below the folder that the cluster shares; a temporary one only where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = getattr(spark, "_pinflow_scratch", None)
-        if base is None:
-            base = spark._pinflow_scratch = tempfile.mkdtemp(prefix="pinflow-")
-    return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
-def cut(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends here, and lost executors lose nothing."""
-    spark = df.sparkSession
-    path = scratch_path(spark, label)
-    df.write.parquet(path)
-    _made.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def discard(df: DataFrame) -> None:
-    """Delete what ``cut`` wrote for ``df``, once no later plan reads it."""
-    files = df.inputFiles()[:1]
-    for spark, path in list(_made):
-        if files and f"/{path.rsplit('/', 1)[-1]}/" in files[0]:
-            _remove(spark, path)
-            _made.remove((spark, path))
-
+    def wrapper(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):  # another C library
+                pass
 
-def _remove(spark: SparkSession, path: str) -> None:
-    jvm = spark._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+    return wrapper
 
 
-@atexit.register
-def _sweep() -> None:
-    for spark, path in _made:
-        try:
-            _remove(spark, path)
-        except Exception:  # the JVM is gone already: the shared folder is the cluster's to clean
-            return
+def numbered(df: DataFrame) -> DataFrame:
+    """df with columns c0, c1, ...: Arrow functions can't take every name that a column may have."""
+    return df.toDF(*[f"c{i}" for i in range(len(df.columns))])
 
 
 def shuffle_width(spark: SparkSession) -> int:

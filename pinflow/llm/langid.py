@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import require_columns
+from .common import numbered, require_columns, trimmed
 
 UND = "und"
 WORD = re.compile(r"[^\W\d_]+")
@@ -100,9 +100,8 @@ class Model:
                 if k == kind:
                     counts[place[gram], at[lang]] += n
             logs = np.log((counts + 0.5) / (sums[kind] + 0.5 * max(1, len(place))))
-            tables.append(logs - logs.mean(axis=1, keepdims=True))
-        self.places, self.tables, self.cache = places, tables, cache
-        self.reset()
+            tables.append((logs - logs.mean(axis=1, keepdims=True)).astype(np.float32))
+        self.places, self.tables, self.cache, self.known = places, tables, cache, None
 
     def reset(self) -> None:
         self.known = dict(self.places[0])
@@ -130,7 +129,7 @@ class Model:
         words = words_of(text)
         if not words or not self.langs:
             return UND, 0.0
-        if len(self.known) > len(self.places[0]) + self.cache:
+        if self.known is None or len(self.known) > len(self.places[0]) + self.cache:
             self.reset()
         counts = Counter(words)
         rows = [self.place(w) for w in counts]
@@ -143,17 +142,14 @@ class Model:
         return self.langs[best], float(odds[best] / odds.sum())
 
 
-def fit(docs: DataFrame, sample: int = 10_000, words: int = 100_000, grams: int = 60_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
+def fit(docs: DataFrame, sample: int = 10_000, words: int = 50_000, grams: int = 30_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
     """Learn from the rows of docs with a language."""
     rows = sampled(docs.filter(F.col(lang_col).isNotNull()).select(id_col, text_col, lang_col), id_col, sample).select(text_col, lang_col)
-    counted = rows.mapInArrow(_count, "kind int, gram string, lang string, n bigint").groupBy("kind", "gram").agg(F.collect_list(F.struct("lang", "n")).alias("by"), F.sum("n").alias("all"))
+    counted = rows.mapInArrow(trimmed(_count), "kind int, gram string, lang string, n bigint").groupBy("kind", "gram").agg(F.collect_list(F.struct("lang", "n")).alias("by"), F.sum("n").alias("all"))
     tops = [counted.filter(c).orderBy(F.desc("all"), "kind", "gram").limit(n) for c, n in (("kind = 0", words), ("kind > 0", grams))]
-    kept = []
-    for r in tops[0].union(tops[1]).collect():  # bounded by words + grams
-        by: Counter = Counter()
-        for lang, n in r["by"]:
-            by[lang] += n
-        kept += [(r["kind"], r["gram"], lang, n) for lang, n in by.items()]
+    flat = tops[0].union(tops[1]).select("kind", "gram", F.explode("by").alias("e")).select("kind", "gram", F.col("e.lang").alias("lang"), F.col("e.n").alias("n"))
+    table = flat.groupBy("kind", "gram", "lang").agg(F.sum("n").alias("n")).orderBy("kind", "gram", "lang").toArrow()  # bounded by words + grams, times languages
+    kept = list(zip(*(table.column(c).to_pylist() for c in ("kind", "gram", "lang", "n"))))
     totals: Counter = Counter()
     for kind, _, lang, n in kept:
         totals[kind, lang] += n
@@ -172,7 +168,7 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
             found = [own.predict(t) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64())], [id_col, "lang_pred", "score"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, lang_pred string, score double")
+    return docs.select(id_col, text_col).mapInArrow(trimmed(run), f"`{id_col}` {kind}, lang_pred string, score double")
 
 
 def language_report(docs: DataFrame, **bounds) -> DataFrame:
@@ -184,11 +180,12 @@ def keep_identified(docs: DataFrame, floor: float = 0.5, **bounds) -> DataFrame:
     """The rows whose language is found with a score of ``floor`` at least, all columns kept."""
     model = fit(docs.filter(fold(F.col("doc_id"), 4) != 2), **bounds)
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    text, plain = docs.columns.index("text"), numbered(docs)
 
     def run(batches):
         own = shared.value
         for batch in batches:
-            found = [own.predict(t) for t in batch.column("text").to_pylist()]
+            found = [own.predict(t) for t in batch.column(text).to_pylist()]
             yield batch.filter(pa.array([lang != UND and score >= floor for lang, score in found], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return plain.mapInArrow(trimmed(run), plain.schema).toDF(*docs.columns)

@@ -5,16 +5,21 @@
 2. Inverted lists hold the retained values. Texts as similar as asked share at least ``need`` retained values,
    so it is enough to list the rarest ``size - need + 1`` values of each sketch: passages that very many texts
    share drop out unless they make up most of a text.
-3. Lists yield pairs of a *hub* with the other members: one hub first. Where a list still holds members of
-   different components, further members become hubs, those of small components first and more in each
-   round, and leave the list afterwards; lists of one component are done. All pairs of a list that could
-   still join two components are tested in the end, but a group of mutual copies costs one star.
+3. Lists yield pairs of a *hub* with the other members. First each text meets the one hub that it shares most
+   lists with. Lists that then hold one component are done. Of the others, those of up to ``CROWD`` members
+   test all pairs between components; larger ones are first rebuilt from the full sets of their members: the
+   rarest shingles of each set, without those that no other member has, which also bounds what a text can
+   share and takes out texts that are too far from all others. Members of what is still crowded become
+   hubs by turns, those of small components first and more in each round, and leave the list
+   afterwards. All pairs that could still join two components are tested in the end, but a group of mutual
+   copies costs one star.
 4. Pairs pass a size test and the estimate from the sketch of their union, then full sets decide exactly.
 5. Components come from star rounds over the confirmed links.
 
-The only chance is in 2 and 4: a pair of similarity s >= 0.75 is missed if fewer than ``need`` of the k
-smallest values of its union are shared. With k = 32 and need = 10 that is below 5e-8 at s = 0.75 and falls
-fast above; sets of up to 24 shingles lie whole in their sketches and are never missed.
+The only chance is in 2 and 4: a pair of similarity s >= 0.75 is missed if far fewer of the smallest values of its
+union are shared than that share: under 10 of 32 for the lists, 28 of 64 for the estimate, 5.6 standard deviations
+elsewhere. Each is below 1e-7 at s = 0.75 and falls fast above; sets of up to 24 shingles lie whole in their
+sketches and are never missed.
 
 Defined results: null and empty texts and texts without words have the empty set, n_shingles 0, and stay
 alone; repeated rows of one id are one text to the links; rows with a null id are passed through unlinked;
@@ -29,15 +34,21 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import cut, discard, require_columns
+from .common import cut, discard, release, require_columns, shuffle_width, trimmed
 from .exact_dedup import merge_tree
 from .graph import components
 from .shingles import chunks, shingle_sets
 
-SKETCH = 32
-NEED = 10
+SKETCH = 64  # values kept of each set
+LISTED = 32  # of these, the values that make lists
+NEED = 10  # of LISTED
+LIKELY = 28  # of SKETCH
 PERCENT = 75
 SALTS = 256
+CROWD = 64
+WIDE = 1024  # values kept of a crowded list's members
+HUBS = 512  # members of a crowded list that meet all others in its first round
+CHUNK = 2048  # members of a list that are met at once
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, k: int = SKETCH) -> DataFrame:
@@ -58,7 +69,7 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, k: int = SKETCH) -> Da
                 )
 
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").cast("binary"))
-    return narrow.mapInArrow(run, "doc_id bigint, n_shingles bigint, set_key binary, sketch array<bigint>")
+    return narrow.mapInArrow(trimmed(run), "doc_id bigint, n_shingles bigint, set_key binary, sketch array<bigint>")
 
 
 def required_overlap(n, k: int, percent: int, need: int):
@@ -67,27 +78,215 @@ def required_overlap(n, k: int, percent: int, need: int):
 
 
 def inverted_lists(reps: DataFrame, k: int, percent: int, need: int) -> DataFrame:
-    """(value, doc_id): the rarest retained values of every sketch, where at least two texts list the value."""
-    entries = reps.select("doc_id", F.size("sketch").alias("s"), required_overlap(F.col("n_shingles"), k, percent, need).alias("t"), F.explode("sketch").alias("value"))
+    """(value, doc_id, n, s, share): the rarest retained values of every sketch that another sketch retains too.
+
+    n: size of the set; s: at most so many of its shingles are in another set; share: the part of the sketch that others retain."""
+    values = F.slice("sketch", 1, k)
+    entries = reps.select("doc_id", F.col("n_shingles").alias("n"), F.size(values).alias("size"), F.explode(values).alias("value"))
     shared = entries.groupBy("value").agg(F.count("*").alias("df")).filter("df > 1")
-    ranked = entries.join(shared, "value").groupBy("doc_id", "s", "t").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("by_df"))
+    ranked = entries.join(shared, "value").groupBy("doc_id", "n", "size").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("by_df"))
     # Values of one text only come first in the order: they use up the prefix without making a list.
-    room = F.greatest(F.lit(0), F.col("s") - F.col("t") + 1 - (F.col("s") - F.size("by_df")))
-    listed = ranked.select("doc_id", F.explode(F.slice("by_df", F.lit(1), room)).alias("e")).select("doc_id", F.col("e.value").alias("value"))
-    return cut(listed, "inverted-lists")
+    room = F.greatest(F.lit(0), F.size("by_df") - required_overlap(F.col("n"), k, percent, need) + 1)
+    share = F.size("by_df") / F.col("size")
+    listed = ranked.select("doc_id", "n", F.col("n").alias("s"), share.alias("share"), F.explode(F.slice("by_df", F.lit(1), room)).alias("e"))
+    return cut(listed.select(F.col("e.value").alias("value"), "doc_id", "n", "s", "share"), "inverted-lists")
+
+
+ENTRY = np.dtype([("value", "<i8"), ("doc", "<i8"), ("n", "<i8"), ("df", "<i8")])
+PARCEL = "bucket int, data binary"
+
+
+def _parcels(rows: np.ndarray, bucket: np.ndarray):
+    """Rows packed by bucket: shingles of full sets travel as arrays, not as rows."""
+    order = np.argsort(bucket, kind="stable")
+    rows, bucket = rows[order], bucket[order]
+    edges = np.flatnonzero(np.diff(bucket)) + 1
+    firsts = np.concatenate([[0], edges]).astype(np.int64) if len(rows) else []
+    return pa.RecordBatch.from_arrays([pa.array([int(bucket[i]) for i in firsts], pa.int32()), pa.array([p.tobytes() for p in np.split(rows, edges)] if len(rows) else [], pa.binary())], ["bucket", "data"])
+
+
+def _gathered(batches):
+    """(bucket, its entries) in bucket order."""
+    current, held = None, []
+    for batch in batches:
+        for bucket, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            if bucket != current and held:
+                yield np.concatenate(held)
+                held = []
+            current = bucket
+            held.append(np.frombuffer(data, dtype=ENTRY))
+    if held:
+        yield np.concatenate(held)
+
+
+def _deal(width: int):
+    def run(batches):
+        for batch in batches:
+            sets = batch.column(1)
+            sizes = sets.value_lengths().to_numpy()
+            rows = np.zeros(int(sizes.sum()), dtype=ENTRY)
+            rows["value"] = sets.flatten().to_numpy()
+            rows["doc"], rows["n"] = np.repeat(batch.column(0).to_numpy(), sizes), np.repeat(sizes, sizes)
+            yield _parcels(rows, rows["value"] % width)
+
+    return run
+
+
+def _count_shared(width: int):
+    """Entries whose value is in two sets at least, with that number, to their documents' buckets."""
+
+    def run(batches):
+        for rows in _gathered(batches):
+            rows = rows[np.argsort(rows["value"], kind="stable")]
+            firsts = np.flatnonzero(np.concatenate([[True], rows["value"][1:] != rows["value"][:-1]]))
+            sizes = np.diff(np.concatenate([firsts, [len(rows)]]))
+            rows["df"] = np.repeat(sizes, sizes)
+            rows = rows[rows["df"] > 1]
+            yield _parcels(rows, rows["doc"] % width)
+
+    return run
 
 
-def _estimated(pairs: DataFrame, reps: DataFrame, k: int, percent: int, need: int) -> DataFrame:
-    """Pairs (a, b) whose sizes and union sketch leave the similarity asked for possible."""
+def _rarest(percent: int):
+    """The rarest values of each set that leave no room for an unlisted partner: size - required overlap + 1 of them."""
+
+    def run(batches):
+        for rows in _gathered(batches):
+            rows = rows[np.lexsort((rows["value"], rows["df"], rows["doc"]))]
+            firsts = np.flatnonzero(np.concatenate([[True], rows["doc"][1:] != rows["doc"][:-1]]))
+            s = np.diff(np.concatenate([firsts, [len(rows)]]))
+            place = np.arange(len(rows)) - np.repeat(firsts, s)
+            shared, n = np.repeat(s, s), rows["n"]
+            take = place < shared - -(-n * percent // 100) + 1
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x[take])) for x in (rows["value"], rows["doc"], n, shared, shared / n)], ["value", "doc_id", "n", "s", "share"])
+
+    return run
+
+
+def full_lists(members: DataFrame, texts: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Like inverted_lists, from the full sets of ``members`` (doc_id); exact: a pair as similar as asked shares a list.
+
+    Also wide sketches (doc_id, sketch) of the members."""
+
+    def run(batches):
+        for batch in batches:
+            data = [t or b"" for t in batch.column(1).to_pylist()]
+            for a, z in chunks(data):
+                sets = shingle_sets(data[a:z])
+                ends = np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, z - a), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets).astype(np.int64)))], ["doc_id", "all"])
+
+    sets = texts.join(members, "doc_id", "left_semi").select("doc_id", F.col("text").cast("binary")).mapInArrow(trimmed(run), "doc_id bigint, all array<bigint>")
+    sets = cut(sets, "full-sets")
+    width = 4 * shuffle_width(texts.sparkSession)
+    dealt = sets.mapInArrow(trimmed(_deal(width)), PARCEL)
+    counted = dealt.repartition(width, "bucket").sortWithinPartitions("bucket").mapInArrow(trimmed(_count_shared(width)), PARCEL)
+    listed = counted.repartition(width, "bucket").sortWithinPartitions("bucket").mapInArrow(trimmed(_rarest(percent)), "value bigint, doc_id bigint, n bigint, s bigint, share double")
+    listed = cut(listed, "full-lists")
+    # A text that shares at most s shingles reaches only partners of up to (100 + p) / p * s - n shingles.
+    least = listed.groupBy("value").agg(F.min("n").alias("least"))
+    near = listed.join(least, "value").filter(F.col("s") * (100 + percent) >= (F.col("n") + F.col("least")) * percent).drop("least")
+    return near, sets.select("doc_id", F.slice("all", 1, WIDE).alias("sketch"))
+
+
+def _estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
+    """Pairs whose sizes and union sketch leave the similarity asked for possible; further columns stay."""
     side = {x: reps.select(F.col("doc_id").alias(x), F.col("n_shingles").alias(f"n{x}"), F.col("sketch").alias(f"s{x}")) for x in "ab"}
     both = pairs.join(side["b"], "b").join(side["a"], "a")
     both = both.filter(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent)
     common = F.array_intersect("sa", "sb")
-    union = F.slice(F.array_sort(F.array_union("sa", "sb")), 1, k)
-    whole = (F.col("na") <= k) & (F.col("nb") <= k)
+    union = F.slice(F.array_sort(F.array_union("sa", "sb")), 1, SKETCH)
+    whole = (F.col("na") <= SKETCH) & (F.col("nb") <= SKETCH)
     exact = F.size(common) * 100 >= (F.col("na") + F.col("nb") - F.size(common)) * percent
-    likely = F.size(F.array_intersect(union, common)) >= need
-    return both.filter(F.when(whole, exact).otherwise(likely)).select("a", "b")
+    likely = F.size(F.array_intersect(union, common)) >= LIKELY
+    return both.filter(F.when(whole, exact).otherwise(likely)).select(*pairs.columns)
+
+
+def _meet(percent: int):
+    """Hubs (role 0) of a list meet its members (role 1), all at once -> pairs (a, b) that may be similar enough.
+
+    Two sketches know the union up to the smaller of their largest values; what they share of it is the estimate."""
+
+    def candidates(rows, value_of):
+        doc, comp, n, s = (np.array(c, dtype=np.int64) for c in rows[1:5])
+        hub = np.array(rows[0]) == 0
+        lists_of, hubs_in, sketch = [set(x) for x in rows[5]], [set(x) for x in rows[6]], rows[7]
+        sizes = np.array([len(x) for x in sketch])
+        flat = np.concatenate(sketch)
+        who = np.repeat(np.arange(len(sketch)), sizes)
+        value, column, often = np.unique(flat, return_inverse=True, return_counts=True)
+        kept = often[column] > 1
+        place = np.cumsum(often > 1) - 1
+        table = np.zeros((len(sketch), int((often > 1).sum())), dtype=np.float32)
+        table[who[kept], place[column[kept]]] = 1
+        h, m = np.flatnonzero(hub), np.flatnonzero(~hub)
+        common = (table[h] @ table[m].T).astype(np.int64)
+        whole = sizes == n
+        top = np.array([x[-1] for x in sketch])
+        limit = np.where(whole, np.iinfo(np.int64).max, top)
+        low = np.minimum(limit[h][:, None], limit[m][None, :])
+        below = np.empty_like(common)  # values of either sketch within the known part, together
+        for i, x in enumerate(h):
+            below[i] = np.searchsorted(sketch[x], low[i], side="right")
+        for j, y in enumerate(m):
+            below[:, j] += np.searchsorted(sketch[y], low[:, j], side="right")
+        known = below - common
+        sure = whole[h][:, None] & whole[m][None, :]
+        may = np.where(sure, 100 * common >= percent * known, common >= percent / 100 * known - 5.6 * np.sqrt(percent * (100 - percent) / 10_000 * known))
+        total = n[h][:, None] + n[m][None, :]
+        may &= (comp[h][:, None] != comp[m][None, :]) & (np.minimum(s[h][:, None], s[m][None, :]) * (100 + percent) >= total * percent)
+        i, j = np.nonzero(may)
+        # A pair is told by the first of the lists in which one of the two is a hub and the other a member.
+        first = [min(x for x in (*hubs_in[p].intersection(lists_of[q]), *hubs_in[q].intersection(lists_of[p]))) == value_of for p, q in zip(h[i], m[j])]
+        keep = np.array(first, dtype=bool)
+        a, b = doc[h[i[keep]]], doc[m[j[keep]]]
+        return np.minimum(a, b), np.maximum(a, b)
+
+    def run(batches):
+        key, rows = None, None
+
+        def close():
+            if rows and rows[0][0] == 0 and rows[0][-1] == 1:
+                a, b = candidates(rows, key[0])
+                if len(a):
+                    done.append((a, b))
+
+        for batch in batches:
+            done: list = []
+            columns = [batch.column(i).to_pylist() for i in range(9)]
+            sketches = batch.column(9)
+            flat, ends = sketches.flatten().to_numpy(), np.concatenate([[0], np.cumsum(sketches.value_lengths().to_numpy())])
+            for i, own in enumerate(zip(columns[0], columns[1])):
+                if own != key:
+                    close()
+                    key, rows = own, [[] for _ in range(8)]
+                for held, c in zip(rows, columns[2:]):
+                    held.append(c[i])
+                rows[7].append(flat[ends[i] : ends[i + 1]].copy())
+            if done:
+                yield pairs(done)
+        done = []
+        close()
+        if done:
+            yield pairs(done)
+
+    def pairs(done):
+        found = np.unique(np.stack([np.concatenate([d[0] for d in done]), np.concatenate([d[1] for d in done])], axis=1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(found[:, 0])), pa.array(np.ascontiguousarray(found[:, 1]))], ["a", "b"])
+
+    return run
+
+
+def list_pairs(chosen: DataFrame, sketch: DataFrame, percent: int) -> DataFrame:
+    """Distinct candidate pairs of lists with is_hub and members; crowded lists are met in chunks."""
+    lists = chosen.groupBy("doc_id").agg(F.collect_list("value").alias("lists"), F.collect_list(F.when(F.col("is_hub"), F.col("value"))).alias("hub_of"))
+    rows = chosen.join(lists.join(sketch, "doc_id"), "doc_id")
+    chunks_ = F.ceil(F.col("members") / CHUNK).cast("int")
+    cells = ["doc_id", "component", "n", "s", "lists", "hub_of", "sketch"]
+    members = rows.select("value", F.pmod(F.xxhash64("doc_id"), chunks_).cast("int").alias("salt"), F.lit(1).alias("role"), *cells)
+    hubs = rows.filter("is_hub").select("value", F.explode(F.sequence(F.lit(0), chunks_ - 1)).alias("salt"), F.lit(0).alias("role"), *cells)
+    met = members.union(hubs).repartition("value", "salt").sortWithinPartitions("value", "salt", "role")
+    return met.mapInArrow(trimmed(_meet(percent)), "a bigint, b bigint").distinct()
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
@@ -116,61 +315,72 @@ def _verified(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array([f[j] for f in found], pa.int64()) for j in (0, 1)], ["a", "b"])
 
     rows = members.union(hubs).repartition("a", "salt").sortWithinPartitions("a", "salt", "role")
-    return rows.select("a", "salt", "role", "b", F.col("text").cast("binary")).mapInArrow(run, "a bigint, b bigint")
+    return rows.select("a", "salt", "role", "b", F.col("text").cast("binary")).mapInArrow(trimmed(run), "a bigint, b bigint")
 
 
 def _hubs(lists: DataFrame, room: int) -> DataFrame:
-    """Adds is_hub to (value, doc_id, component): about ``room`` members of each list, of its small components first."""
+    """Adds is_hub to lists with component: about ``room`` members of each list, of its small components first."""
     sizes = lists.groupBy("value", "component").agg(F.count("*").alias("size"))
     sizes = sizes.withColumn("step", F.floor(F.log2("size")).cast("int"))
     by_step = sizes.groupBy("value", "step").agg(F.sum("size").alias("rows"))
     below = by_step.groupBy("value").agg(F.collect_list(F.struct("step", "rows")).alias("steps"))  # at most 64 each
     upto = F.aggregate(F.filter("steps", lambda x: x["step"] <= F.col("step")), F.lit(0).cast("long"), lambda acc, x: acc + x["rows"])
     odds = sizes.join(below, "value").select("value", "component", (F.lit(float(room)) / upto).alias("odds"))
-    draw = F.pmod(F.xxhash64("doc_id", "value", F.lit(room)), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    draw = F.pmod(F.xxhash64("doc_id", F.lit(room)), F.lit(1 << 30)) / F.lit(float(1 << 30))
     return lists.join(odds, ["value", "component"]).withColumn("is_hub", draw < F.col("odds")).drop("odds")
 
 
-def near_links(docs: DataFrame, reps: DataFrame, k: int = SKETCH, percent: int = PERCENT, need: int = NEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _mixed(lists: DataFrame, labels: DataFrame) -> DataFrame:
+    """The lists that hold more than one component, with component and members (their number)."""
+    named = lists.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+    mixed = named.groupBy("value").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("members")).filter("lo <> hi").select("value", "members")
+    return named.join(mixed, "value")
+
+
+def near_links(docs: DataFrame, reps: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, crowd: int = CROWD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Components (node, component) of the representatives that have a link."""
     lists = inverted_lists(reps, k, percent, need)
-    first = lists.groupBy("value").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    pairs = lists.join(first, "value").filter("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
-    lists = lists.join(first, "value").filter("doc_id <> a").drop("a")
-    texts = None
-    links, room = None, 16
+    first = lists.groupBy("value").agg(F.max_by("doc_id", F.struct("share", -F.col("doc_id"))).alias("a"), F.count("*").alias("listed")).filter("listed > 1").drop("listed")
+    lists = cut(lists.join(first, "value"), "lists-with-hub")
+    star = lists.filter("doc_id <> a").groupBy("a", F.col("doc_id").alias("b")).agg(F.count("*").alias("lists"))
+    pairs = cut(_estimated(star, reps, percent).groupBy("b").agg(F.max_by("a", F.struct("lists", -F.col("a"))).alias("a")).select("a", "b"), "pairs")
+    # Texts of every member of a list, moved once; all rounds read only these.
+    own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    texts = cut(own.join(lists.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "listed-texts")
+    sketch = reps.select("doc_id", "sketch")
+    lists, rebuilt, room, links = lists.drop("a"), False, max(crowd, HUBS), None
     while True:
-        pairs = cut(_estimated(pairs, reps, k, percent, need), "pairs")
-        if texts is None:
-            # Texts of every member of a list, moved once; later rounds read only these.
-            listed = lists.select("doc_id").union(first.select("a")).distinct()
-            texts = cut(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).join(listed, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "listed-texts")
         found = cut(_verified(pairs, texts, percent), "links")
         discard(pairs)
+        release(docs.sparkSession)
         links = found if links is None else links.union(found)
         labels = cut(components(links), "components")
-        named = lists.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("value", "doc_id", F.coalesce("component", "doc_id").alias("component"))
-        mixed = named.groupBy("value").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("value")
-        chosen = cut(_hubs(named.join(mixed, "value"), room), "hubs")
+        open_lists = cut(_mixed(lists, labels), "open-lists")
+        crowded = open_lists.filter(F.col("members") > crowd)
+        if not rebuilt and not crowded.isEmpty():
+            rebuilt = True
+            near, wide = full_lists(crowded.select("doc_id").distinct(), texts, percent)
+            small = open_lists.filter(F.col("members") <= crowd).drop("members", "component")
+            open_lists = cut(_mixed(small.unionByName(near), labels), "open-lists")
+            sketch = cut(sketch.join(wide.select("doc_id"), "doc_id", "left_anti").union(wide), "sketches-and-wide")
+        chosen = cut(_hubs(open_lists, room), "hubs")
         if chosen.isEmpty():
             return labels
-        hubs = chosen.filter("is_hub").select("value", F.col("doc_id").alias("h"), F.col("component").alias("hc"))
-        met = chosen.join(hubs, "value").filter("component <> hc")
-        pairs = met.select(F.least("h", "doc_id").alias("a"), F.greatest("h", "doc_id").alias("b")).distinct()
-        lists, room = chosen.filter("not is_hub").select("value", "doc_id"), room * 4
+        pairs = cut(list_pairs(chosen, sketch, percent), "pairs")
+        lists, room = chosen.filter("not is_hub").drop("is_hub", "component", "members"), room * 4
 
 
-def near_duplicates(docs: DataFrame, k: int = SKETCH, percent: int = PERCENT, need: int = NEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept, class_id (smallest id of the equal sets) per row."""
     require_columns(docs, id_col, text_col)
-    sets = cut(sketches(docs, id_col, text_col, k), "sketches")
+    sets = cut(sketches(docs, id_col, text_col), "sketches")
     lone = F.col("n_shingles") == 0
     entries = sets.filter("doc_id is not null").select(F.col("doc_id").alias("id"), F.when(lone, F.col("doc_id").cast("string").cast("binary")).otherwise(F.col("set_key")).alias("digest"), F.col("n_shingles").alias("check"))
     classes = cut(merge_tree(entries, "smallest").select(F.col("id").alias("doc_id"), F.col("check").alias("n_shingles"), F.col("keep_id").alias("class_id")), "classes")
     leaders = classes.filter("doc_id = class_id").select("doc_id").distinct()
     reps = sets.filter(F.col("n_shingles") > 0).join(leaders, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "n_shingles", "sketch")
     reps = cut(reps, "representatives")
-    labels = near_links(docs, reps, k, percent, need, id_col, text_col)
+    labels = near_links(docs, reps, k, percent, need, id_col=id_col, text_col=text_col)
     named = classes.join(labels.withColumnRenamed("node", "class_id"), "class_id", "left")
     component = F.coalesce("component", "class_id")
     out = named.select("doc_id", "n_shingles", component.alias("component_id"), (F.col("doc_id") == component).alias("kept"), "class_id")

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
-from .common import require_columns, shuffle_width
+from .common import numbered, require_columns, shuffle_width, trimmed
 
 RECORD_OVERHEAD = 16
 
@@ -39,7 +39,9 @@ def external_shuffle(docs: DataFrame, shards: int = 40, seed: int = 11, bucket_b
     if shards < 1:
         raise ValueError("shards must be positive")
     require_columns(docs, id_col, text_col)
-    docs = docs.drop("shard", "slot", "__bucket")
+    docs = docs.drop("shard", "slot")
+    names = docs.columns
+    docs, id_col, text_col = numbered(docs), f"c{names.index(id_col)}", f"c{names.index(text_col)}"
     spark = docs.sparkSession
     key = F.xxhash64(F.lit(seed), F.col(id_col), F.xxhash64(F.col(text_col)))
     size = docs.agg(F.coalesce(F.sum(record_size(F.col(text_col))), F.lit(0)).alias("b")).first()["b"]  # one row
@@ -86,7 +88,8 @@ def external_shuffle(docs: DataFrame, shards: int = 40, seed: int = 11, bucket_b
         docs.withColumn("__bucket", bucket)
         .repartition(tasks, "__bucket")
         .sortWithinPartitions("__bucket", id_col, F.xxhash64(F.col(text_col)))
-        .mapInArrow(shuffle_buckets, out)
+        .mapInArrow(trimmed(shuffle_buckets), out)
+        .toDF(*names, "shard", "slot")
     )
 
 

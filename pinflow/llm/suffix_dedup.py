@@ -28,20 +28,26 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import cut, discard, require_columns, shuffle_width
-from .shingles import _power, _tables, chunks, mix
+from .common import cut, discard, release, require_columns, shuffle_width, trimmed
+from .shingles import _power, _tables, mix
+from .shingles import chunks as _chunks
 
 SPAN = 50
 GRAM = 20
 WIDE = SPAN - GRAM + 1
-TASK_BYTES = 16 << 20
-HELD = 1_000_000  # segments that a task gathers before it settles and ships them
+TASK_BYTES = 8 << 20
+HELD = 400_000  # segments that a task gathers before it settles and ships them
+CHUNK = 512 << 10  # bytes hashed at once
 CROWD = 50_000  # different segments of one gram from which it is split
 BLOB = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8"), ("segment", "<u8")])
 MARK = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8"), ("state", "u1")])
 COVERED, PARTIAL, CROWDED = 0, 1, 2
 
 
+def chunks(texts: list[bytes]):
+    return _chunks(texts, CHUNK)
+
+
 def fingerprint(text: bytes) -> int:
     return int.from_bytes(hashlib.blake2b(text, digest_size=4).digest(), "little")
 
@@ -102,8 +108,8 @@ def doc_bucket_column(doc, buckets: int):
 
 
 def _parcels(rows: np.ndarray, key: np.ndarray):
-    """(key, rows of that key) in key order."""
-    order = np.argsort(key, kind="stable")
+    """(key, rows of that key, by document) in key order: columns of neighbours alike compress well."""
+    order = np.lexsort((rows["ord"], rows["doc"], key))
     rows, key = rows[order], key[order]
     cuts = np.flatnonzero(np.diff(key)) + 1
     for part, k in zip(np.split(rows, cuts), key[np.concatenate([[0], cuts])] if len(key) else []):
@@ -115,6 +121,7 @@ def _marks(rows: np.ndarray, state: np.ndarray) -> np.ndarray:
     for name in ("doc", "print", "ord", "gram"):
         out[name] = rows[name]
     out["state"] = state
+    out["gram"][out["state"] == COVERED] = 0
     return out
 
 
@@ -146,7 +153,7 @@ def _ship(buckets: int):
 
     def run(batches):
         held, size = [], 0
-        for batch in batches:
+        for batch in (b.slice(i, 1000) for b in batches for i in range(0, b.num_rows, 1000)):
             docs = batch.column(0).to_numpy(zero_copy_only=False)
             texts = batch.column(1).to_pylist()
             for i, z in chunks(texts):
@@ -246,7 +253,7 @@ def _by_document(marks: np.ndarray) -> dict[tuple[int, int], np.ndarray]:
 def _apply(batches):
     """Marks of a document bucket (kind 0) precede its texts (kind 1)."""
     bucket, blobs, marks, out = None, [], {}, _Found()
-    for batch in batches:
+    for batch in (b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)):
         keys, kinds, docs, data = (batch.column(i).to_pylist() for i in range(4))
         texts: list[tuple[int, bytes]] = []
         for b, kind, doc, blob in zip(keys, kinds, docs, data):
@@ -377,7 +384,7 @@ def _compare(buckets: int):
 def _finish(batches):
     """Masks of a document bucket (kind 0) precede its waiting texts (kind 1)."""
     bucket, masks = None, {}
-    for batch in batches:
+    for batch in (b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)):
         out = _Found()
         for b, kind, doc, mark, ordinal, mask, text, covered in zip(*(batch.column(i).to_pylist() for i in range(8))):
             if b != bucket:
@@ -402,19 +409,23 @@ def dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("data"))
     volume = narrow.agg(F.coalesce(F.sum(F.octet_length("data")), F.lit(0)).alias("b")).first()["b"]  # one row
     buckets = max(shuffle_width(spark), -(-int(volume) // TASK_BYTES))
-    shipped = narrow.filter("doc_id is not null and octet_length(data) >= %d" % SPAN).mapInArrow(_ship(buckets), "kind int, bucket int, data binary")
-    met = shipped.repartition(buckets, "kind", "bucket").sortWithinPartitions("kind", "bucket").mapInArrow(_meet(buckets, crowd), "bucket int, data binary")
+    shipped = narrow.filter("doc_id is not null and octet_length(data) >= %d" % SPAN).mapInArrow(trimmed(_ship(buckets)), "kind int, bucket int, data binary")
+    met = shipped.repartition(buckets, "kind", "bucket").sortWithinPartitions("kind", "bucket").mapInArrow(trimmed(_meet(buckets, crowd)), "bucket int, data binary")
     marks = cut(met, "segment-marks")
+    del shipped, met
+    release(spark)
     texts = narrow.select(F.coalesce(doc_bucket_column(F.col("doc_id"), buckets), F.lit(0)).alias("bucket"), F.lit(1).alias("kind"), "doc_id", "data")
     both = marks.select("bucket", F.lit(0).alias("kind"), F.lit(None).cast("long").alias("doc_id"), "data").union(texts)
-    seen = both.repartition(buckets, "bucket").sortWithinPartitions("bucket", "kind").mapInArrow(_apply, _Found.SCHEMA)
+    seen = both.repartition(buckets, "bucket").sortWithinPartitions("bucket", "kind").mapInArrow(trimmed(_apply), _Found.SCHEMA)
     seen = cut(seen, "judged-texts")
     discard(marks)
+    del both
+    release(spark)
     windows = seen.filter(F.col("kind") == _Found.WINDOWS).select("key", "doc_id", "print", "ord", "data")
-    masks = windows.repartition(buckets, "key").sortWithinPartitions("key").mapInArrow(_compare(buckets), "key bigint, doc_id bigint, print bigint, ord bigint, mask bigint")
+    masks = windows.repartition(buckets, "key").sortWithinPartitions("key").mapInArrow(trimmed(_compare(buckets)), "key bigint, doc_id bigint, print bigint, ord bigint, mask bigint")
     answers = masks.select("key", F.lit(0).alias("kind"), "doc_id", "print", "ord", "mask", F.lit(None).cast("binary").alias("data"), F.lit(None).cast("binary").alias("covered"))
     waiting = seen.filter(F.col("kind") == _Found.WAITING).select("key", F.lit(1).alias("kind"), "doc_id", "print", F.lit(0).cast("long").alias("ord"), F.lit(0).cast("long").alias("mask"), "data", "covered")
-    late = answers.union(waiting).repartition(buckets, "key").sortWithinPartitions("key", "kind").mapInArrow(_finish, _Found.SCHEMA)
+    late = answers.union(waiting).repartition(buckets, "key").sortWithinPartitions("key", "kind").mapInArrow(trimmed(_finish), _Found.SCHEMA)
     final = ("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
     return seen.filter(F.col("kind") == _Found.DONE).select(*final).union(late.select(*final))
 
