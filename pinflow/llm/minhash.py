@@ -210,7 +210,7 @@ def _meet(percent: int):
     def candidates(rows, value_of):
         doc, comp, n, s = (np.array(c, dtype=np.int64) for c in rows[1:5])
         hub = np.array(rows[0]) == 0
-        lists_of, hubs_in, sketch = [set(x) for x in rows[5]], [set(x) for x in rows[6]], rows[7]
+        lists_of, hubs_in, sketch = [set(x) for x in rows[5]], [set(a if x is None else x) for a, x in zip(rows[5], rows[6])], rows[7]
         sizes = np.array([len(x) for x in sketch])
         flat = np.concatenate(sketch)
         who = np.repeat(np.arange(len(sketch)), sizes)
@@ -280,6 +280,7 @@ def _meet(percent: int):
 def list_pairs(chosen: DataFrame, sketch: DataFrame, percent: int) -> DataFrame:
     """Distinct candidate pairs of lists with is_hub and members; crowded lists are met in chunks."""
     lists = chosen.groupBy("doc_id").agg(F.collect_list("value").alias("lists"), F.collect_list(F.when(F.col("is_hub"), F.col("value"))).alias("hub_of"))
+    lists = lists.withColumn("hub_of", F.when(F.size("hub_of") < F.size("lists"), F.col("hub_of")))  # null: hub of all
     rows = chosen.join(lists.join(sketch, "doc_id"), "doc_id")
     chunks_ = F.ceil(F.col("members") / CHUNK).cast("int")
     cells = ["doc_id", "component", "n", "s", "lists", "hub_of", "sketch"]
