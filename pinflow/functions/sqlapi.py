@@ -11,7 +11,7 @@ from ..params import PartitionSpec
 
 @udtf(returnType="graph_id bigint, seq bigint, vertex_id bigint, block int")
 class StreamPartition:
-    """stream_partition(TABLE(t) PARTITION BY graph_id ORDER BY seq, k, eps, objective, n, m).
+    """stream_partition(TABLE(t) PARTITION BY graph_id ORDER BY (seq), k, eps, objective, n, m).
 
     t: graph_id, seq, vertex_id, nets (array of net ids). n, m: vertices and nets, known to the caller."""
 
