@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -10,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pinflow.lineage import cut, discard, release, scratch_path
 from pinflow.sources.tables import read_table
 
-__all__ = ["cut", "discard", "numbered", "read_table", "release", "require_columns", "scratch_path", "shuffle_width", "trimmed"]
+__all__ = ["cut", "discard", "numbered", "read_table", "release", "require_columns", "scratch_path", "shuffle_width", "small_batches", "trimmed"]
 
 
 def trimmed(run):
@@ -29,6 +30,18 @@ def trimmed(run):
     return wrapper
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 500):
+    """Arrow batches of few rows for the plans that run inside: their buffers count twice, in the JVM and in Python."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def numbered(df: DataFrame) -> DataFrame:
     """df with columns c0, c1, ...: Arrow functions can't take every name that a column may have."""
     return df.toDF(*[f"c{i}" for i in range(len(df.columns))])

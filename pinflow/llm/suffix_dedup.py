@@ -28,7 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import cut, discard, release, require_columns, shuffle_width, trimmed
+from .common import cut, discard, release, require_columns, shuffle_width, small_batches, trimmed
 from .shingles import _power, _tables, mix
 from .shingles import chunks as _chunks
 
@@ -36,8 +36,8 @@ SPAN = 50
 GRAM = 20
 WIDE = SPAN - GRAM + 1
 TASK_BYTES = 8 << 20
-HELD = 400_000  # segments that a task gathers before it settles and ships them
-CHUNK = 512 << 10  # bytes hashed at once
+HELD = 250_000  # segments that a task gathers before it settles and ships them
+CHUNK = 256 << 10  # bytes hashed at once
 CROWD = 50_000  # different segments of one gram from which it is split
 BLOB = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8"), ("segment", "<u8")])
 MARK = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8"), ("state", "u1")])
@@ -405,6 +405,11 @@ def _finish(batches):
 def dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", crowd: int = CROWD) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 per row."""
     require_columns(docs, id_col, text_col)
+    with small_batches(docs.sparkSession):
+        return _dedup(docs, id_col, text_col, crowd)
+
+
+def _dedup(docs: DataFrame, id_col: str, text_col: str, crowd: int) -> DataFrame:
     spark = docs.sparkSession
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("data"))
     volume = narrow.agg(F.coalesce(F.sum(F.octet_length("data")), F.lit(0)).alias("b")).first()["b"]  # one row
@@ -427,7 +432,8 @@ def dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     waiting = seen.filter(F.col("kind") == _Found.WAITING).select("key", F.lit(1).alias("kind"), "doc_id", "print", F.lit(0).cast("long").alias("ord"), F.lit(0).cast("long").alias("mask"), "data", "covered")
     late = answers.union(waiting).repartition(buckets, "key").sortWithinPartitions("key", "kind").mapInArrow(trimmed(_finish), _Found.SCHEMA)
     final = ("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
-    return seen.filter(F.col("kind") == _Found.DONE).select(*final).union(late.select(*final))
+    late = cut(late.select(*final), "late-texts")
+    return seen.filter(F.col("kind") == _Found.DONE).select(*final).union(late)
 
 
 ORACLE = """
