@@ -7,6 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window as W, functions as F
 
 from ..lineage import cut
+from .state import SLICE, before
 
 
 @dataclass
@@ -141,14 +142,14 @@ def edges_to_pins(edges: DataFrame) -> DataFrame:
     return named.select("net_id", F.explode(F.array("src", "dst")).alias("vertex_id"))
 
 
-def predecessor_arcs(h: Hypergraph) -> DataFrame:
+def predecessor_arcs(h: Hypergraph, width: int = SLICE) -> DataFrame:
     """(vertex_id, pred, weight): for every pin the net's pin before it in arrival order, summed over shared nets."""
     pins = h.pins.join(h.vertices.select("vertex_id", "seq"), "vertex_id")
     if h.nets is not None:
         pins = pins.join(h.nets.select("net_id", "weight"), "net_id")
     else:
         pins = pins.withColumn("weight", F.lit(1.0))
-    arcs = pins.withColumn("pred", F.lag("vertex_id").over(W.partitionBy("net_id").orderBy("seq"))).filter("pred IS NOT NULL")
+    arcs = before(pins, "net_id", {"pred": ("last", F.col("vertex_id"))}, width).filter("pred IS NOT NULL")
     return arcs.groupBy("vertex_id", "pred").agg(F.sum("weight").alias("weight"))
 
 

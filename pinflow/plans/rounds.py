@@ -34,8 +34,10 @@ def batched_pins(h: Hypergraph, ends: list[int]) -> DataFrame:
     seqs = h.vertices.select("vertex_id", "seq", F.size(F.filter(cuts, lambda e: e <= F.col("seq"))).alias("batch"))
     pins = h.pins.join(seqs, "vertex_id")
     pins = pins.join(h.nets.select("net_id", "weight"), "net_id") if h.nets is not None else pins.withColumn("weight", F.lit(1.0))
-    earlier = W.partitionBy("net_id").orderBy("batch").rangeBetween(W.unboundedPreceding, -1)
-    return pins.withColumn("pred", F.max("seq").over(earlier))
+    # One row per net and batch goes through the window, never the pins of a large net.
+    latest = pins.groupBy("net_id", "batch").agg(F.max("seq").alias("__latest"))
+    earlier = W.partitionBy("net_id").orderBy("batch").rowsBetween(W.unboundedPreceding, -1)
+    return pins.join(latest.select("net_id", "batch", F.max("__latest").over(earlier).alias("pred")), ["net_id", "batch"])
 
 
 def greedy(h: Hypergraph, spec: PartitionSpec, prefix: int = 1024, beta: float = 0.1, batch: int | None = None) -> DataFrame:

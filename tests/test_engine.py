@@ -1,10 +1,10 @@
 """Lanes, measures and shapes on small frames."""
 
 import pytest
-from pyspark.sql import functions as F
+from pyspark.sql import Window as W, functions as F
 
 from pinflow import catalog, report
-from pinflow.operators import audit, capacity, controls, measures, shape
+from pinflow.operators import audit, capacity, controls, measures, shape, state
 from pinflow.params import PartitionSpec
 from pinflow.plans import choose, ordered, rounds
 
@@ -108,3 +108,38 @@ def test_hash_beats_nothing_structured(spark, sf):
     mine = measures.connectivity(h.pins, ordered.greedy(h, PartitionSpec(8))).first()["value"]
     base = measures.connectivity(h.pins, controls.hashing(h.vertices, 8)).first()["value"]
     assert mine < base
+
+
+def test_ranges_of_a_hot_net_carry_their_state(spark):
+    # Net 0 holds every vertex, nets 1-5 are sparse: slices of 1, of 7 and one for all agree with a plain window.
+    seqs = spark.range(60).select(F.col("id").alias("vertex_id"), F.col("id").alias("seq"), (F.col("id") * 7 % 11 % 4).cast("int").alias("block"))
+    pins = seqs.select(F.lit(0).cast("bigint").alias("net_id"), "vertex_id").union(seqs.filter("seq % 3 = 1").select((F.col("seq") % 5 + 1).alias("net_id"), "vertex_id"))
+    earlier = W.partitionBy("net_id").orderBy("seq").rowsBetween(W.unboundedPreceding, -1)
+    rows = pins.join(seqs, "vertex_id")
+    want = rows.select("net_id", "seq", F.last("block").over(earlier).alias("b"), F.coalesce(F.min("block").over(earlier) != F.max("block").over(earlier), F.lit(False)).alias("c"))
+    want = sorted(map(str, want.collect()))
+    for width in (1, 7, 100):
+        got = state.as_of_net(pins, seqs, width).select("net_id", "seq", F.col("last_block").alias("b"), F.col("is_cut").alias("c"))
+        assert sorted(map(str, got.collect())) == want
+        loads = {(r["seq"], r["candidate"]): r["load"] for r in state.loads_before(seqs, 4, width).collect()}
+        blocks = [r["block"] for r in seqs.orderBy("seq").collect()]
+        assert loads == {(s, b): blocks[:s].count(b) for s in range(60) for b in range(4)}
+    h = shape.Hypergraph(pins, seqs)
+    arcs = [sorted(map(tuple, shape.predecessor_arcs(h, w).collect())) for w in (1, 7, 100)]
+    assert arcs[0] == arcs[1] == arcs[2] and len(arcs[0]) > 59
+
+
+def test_a_null_before_is_not_nothing_before(spark):
+    rows = spark.createDataFrame([(1, 0, 5), (1, 1, None), (1, 2, 6)], "g bigint, seq bigint, x int")
+    for width in (1, 2, 9):
+        got = state.before(rows, "g", {"was": ("last", F.col("x"))}, width).orderBy("seq").collect()
+        assert [r["was"] for r in got] == [None, 5, None]
+
+
+def test_predecessors_of_batches(spark):
+    pins = spark.range(40).select((F.col("id") % 2).alias("net_id"), F.col("id").alias("vertex_id"))
+    h = shape.Hypergraph(pins, spark.range(40).select(F.col("id").alias("vertex_id"), F.col("id").alias("seq")))
+    ends = [4, 10, 25, 40]
+    for r in rounds.batched_pins(h, ends).collect():
+        before = [s for s in range(r["seq"] % 2, ([0] + ends)[r["batch"]], 2)]
+        assert r["pred"] == (before[-1] if before else None)
