@@ -122,13 +122,20 @@ HYPERGRAPHS = {
 }
 
 
-def copurchase(pins: DataFrame, max_size: int = 64) -> DataFrame:
-    """EDGES between vertices that share a net; weight: how many. Nets above max_size are an error, not a silent drop."""
-    sizes = pins.groupBy("net_id").agg(F.count("*").alias("s")).agg(F.max("s").alias("x")).first()["x"]
-    if (sizes or 0) > max_size:
-        raise ValueError(f"a net has {sizes} pins: pairs of all of them are not made; raise max_size or use nets")
-    a, b = pins.withColumnRenamed("vertex_id", "src"), pins.withColumnRenamed("vertex_id", "dst")
-    return a.join(b, "net_id").filter("src < dst").groupBy("src", "dst").agg(F.count("*").cast("double").alias("weight"))
+PAIR_BLOCK = 128  # pins of one net that meet as many others in one join key
+
+
+def copurchase(pins: DataFrame, width: int = PAIR_BLOCK) -> DataFrame:
+    """EDGES between vertices that share a net; weight: how many. Exact for nets of any size.
+
+    A net is dealt into blocks of about ``width`` pins by a hash of the vertex. As a source a pin goes to its block's row of
+    the net's block grid, as a target to its column, so every pair meets in one cell and no cell holds a whole large net."""
+    blocks = pins.groupBy("net_id").agg(F.ceil(F.count("*") / width).cast("int").alias("n"))
+    dealt = pins.join(blocks, "net_id").withColumn("own", F.pmod(F.xxhash64("vertex_id"), F.col("n")).cast("int"))
+    others = F.explode(F.sequence(F.lit(0), F.col("n") - 1))
+    a = dealt.select("net_id", F.col("vertex_id").alias("src"), F.col("own").alias("i"), others.alias("j"))
+    b = dealt.select("net_id", F.col("vertex_id").alias("dst"), others.alias("i"), F.col("own").alias("j"))
+    return a.join(b, ["net_id", "i", "j"]).filter("src < dst").groupBy("src", "dst").agg(F.count("*").cast("double").alias("weight"))
 
 
 def knn_edges(vectors: DataFrame, j: int = 5) -> DataFrame:
@@ -142,5 +149,5 @@ def knn_edges(vectors: DataFrame, j: int = 5) -> DataFrame:
     return near.select(F.least("id", "id2").alias("src"), F.greatest("id", "id2").alias("dst"), F.lit(1.0).alias("weight")).distinct()
 
 
-def pages_sharing_link(spark, d, max_size: int = 64) -> DataFrame:
-    return copurchase(pages_by_link(spark, d), max_size)
+def pages_sharing_link(spark, d) -> DataFrame:
+    return copurchase(pages_by_link(spark, d))

@@ -7,6 +7,7 @@ from pinflow import catalog, report
 from pinflow.operators import audit, capacity, controls, measures, shape, state
 from pinflow.params import PartitionSpec
 from pinflow.plans import choose, ordered, rounds
+from pinflow.sources import builders
 
 
 @pytest.fixture(scope="module")
@@ -143,3 +144,18 @@ def test_predecessors_of_batches(spark):
     for r in rounds.batched_pins(h, ends).collect():
         before = [s for s in range(r["seq"] % 2, ([0] + ends)[r["batch"]], 2)]
         assert r["pred"] == (before[-1] if before else None)
+
+
+def test_pairs_of_nets_of_any_size(spark):
+    # 300 and 70 pins in two nets that overlap, nets of one and two pins, negative ids.
+    nets = {1: range(-100, 200), 2: range(150, 220), 3: (5,), 4: (5, 199)}
+    want = {}
+    for own in nets.values():
+        for a in own:
+            for b in own:
+                if a < b:
+                    want[a, b] = want.get((a, b), 0) + 1
+    pins = spark.createDataFrame([(e, v) for e, own in nets.items() for v in own], "net_id bigint, vertex_id bigint")
+    for how in ({}, {"width": 7}, {"width": 1000}):
+        got = builders.copurchase(pins, **how).collect()
+        assert {(r["src"], r["dst"]): r["weight"] for r in got} == want and len(got) == len(want)
