@@ -25,7 +25,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Draws documents by the probabilities that rake source, language and topic to their target shares."""
+    """Draws documents, and repeats of scarce ones, so that source, language and topic are raked to their target shares of tokens."""
     return mixing.keep_mixed(docs)
 
 

@@ -2,10 +2,11 @@
 
 Token weights are gathered per cell (one value of every dimension), a table whose size is bounded by the
 product of the dimensions' domains and not by the rows. Sweeps multiply each cell's factor so that the
-marginal of one dimension after the other meets its target. The factors become keep probabilities: a water
-level scales them until the expected kept tokens meet the budget with no probability above one. A document
-stays when a hash of its id, uniform in [0, 1), lies below its cell's probability: reproducible, and free of
-any order.
+marginal of one dimension after the other meets its target. A water level scales the factors to expected
+copies, such that the documents kept at least once are expected to hold ``keep_share`` of the tokens. A cell
+above one keeps all its documents and repeats them: whole copies, and one more by chance for the rest. Copies
+are what meets the targets: kept documents without their repeats can't give a small group more than it has. The
+draw is a hash of the id, uniform in [0, 1): reproducible, and free of any order.
 
 Targets default to observed shares raised to ``temper`` and normalised, which lifts small sources, languages
 and topics and lowers large ones.
@@ -72,7 +73,10 @@ def rake(cells: DataFrame, dims: list[str], targets: dict[str, DataFrame] | None
 
 
 def calibrate(cells: DataFrame, keep_share: float, rounds: int = 12) -> DataFrame:
-    """Adds mix_p = min(1, level * mix_g), the level such that keep_share of all tokens is expected to stay."""
+    """Adds mix_w = level * mix_g, the expected copies, and mix_p = min(1, mix_w), the chance of one at least.
+
+    The level is such that keep_share of all tokens is expected to stay, repeats not counted. Tokens times mix_w have
+    the targets' shares at any level; cells without tokens, which repeats can't help, are not repeated."""
     level, open_cells = 0.0, cells.filter("mix_n > 0")
     for _ in range(rounds):
         full = F.col("mix_g") * F.lit(level) >= 1
@@ -87,35 +91,38 @@ def calibrate(cells: DataFrame, keep_share: float, rounds: int = 12) -> DataFram
         if now <= level:
             break
         level = now
-    return cells.withColumn("mix_p", F.least(F.lit(1.0), F.lit(level) * F.col("mix_g")))
+    copies = F.lit(level) * F.col("mix_g")
+    once = F.least(F.lit(1.0), copies)
+    return cells.withColumns({"mix_p": once, "mix_w": F.when(F.col("mix_n") > 0, copies).otherwise(once)})
 
 
 def mixing_plan(docs: DataFrame, dims: dict[str, F.Column], targets=None, temper: float = 0.7, sweeps: int = 8, keep_share: float = 0.8, text_col: str = "text") -> DataFrame:
-    """Fitted cells: dims..., mix_n, mix_g, mix_p."""
+    """Fitted cells: dims..., mix_n, mix_g, mix_p, mix_w."""
     keyed = docs.select(*[F.coalesce(c.cast("string"), F.lit(NONE)).alias(d) for d, c in dims.items()], token_weight(F.col(text_col)).alias("mix_w"))
     cells = cut(keyed.groupBy(*dims).agg(F.sum("mix_w").alias("mix_n")), "mix-cells")
     return calibrate(rake(cells, list(dims), targets, temper, sweeps), keep_share)
 
 
 def mix(docs: DataFrame, dims: dict[str, F.Column] | None = None, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", **fit) -> DataFrame:
-    """All columns of docs with mix_cell values, mix_p (keep probability) and mix_kept."""
+    """All columns of docs with mix_cell values, mix_p (keep probability), mix_w (expected copies), mix_kept and mix_copies."""
     dims = dims or {"mix_source": F.col("source"), "mix_lang": F.col("lang"), "mix_topic": surface_topic(F.col(text_col))}
-    plan = mixing_plan(docs, dims, text_col=text_col, **fit).select(*dims, "mix_p")
+    plan = mixing_plan(docs, dims, text_col=text_col, **fit).select(*dims, "mix_p", "mix_w")
     keyed = docs.withColumns({d: F.coalesce(c.cast("string"), F.lit(NONE)) for d, c in dims.items()})
     cell = [keyed[d].eqNullSafe(plan[d]) for d in dims]
     joined = keyed.join(plan, reduce(lambda a, b: a & b, cell)).drop(*[plan[d] for d in dims])
-    return joined.withColumn("mix_kept", unit_draw(F.col(id_col), seed) < F.col("mix_p"))
+    draw, whole = unit_draw(F.col(id_col), seed), F.floor("mix_w")
+    return joined.withColumns({"mix_kept": draw < F.col("mix_p"), "mix_copies": whole + (draw < F.col("mix_w") - whole).cast("long")})
 
 
 def keep_mixed(docs: DataFrame, seed: int = 7, **fit) -> DataFrame:
-    """The drawn rows of docs with just their own columns, whatever these are called."""
+    """The drawn rows of docs, each as often as it is drawn, with just their own columns, whatever these are called."""
     packed = docs.select(F.struct("*").alias("row")).select("row", F.col("row.doc_id").alias("doc_id"), F.col("row.text").alias("text"), F.col("row.lang").alias("lang"), F.col("row.source").alias("source"))
-    return mix(packed, seed=seed, **fit).filter("mix_kept").select("row.*")
+    return mix(packed, seed=seed, **fit).filter("mix_copies > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("mix_copies").cast("int")))).select("row.*")
 
 
 def mixing_report(docs: DataFrame, seed: int = 7) -> DataFrame:
-    """The query's rows: every document's cell, probability and decision."""
-    return mix(docs.select("doc_id", "text", "lang", "source"), seed=seed).select("doc_id", "mix_source", "mix_lang", "mix_topic", F.round("mix_p", 6).alias("keep_probability"), F.col("mix_kept").alias("kept"))
+    """The query's rows: every document's cell, probability, decision and number of copies."""
+    return mix(docs.select("doc_id", "text", "lang", "source"), seed=seed).select("doc_id", "mix_source", "mix_lang", "mix_topic", F.round("mix_p", 6).alias("keep_probability"), F.col("mix_kept").alias("kept"), F.col("mix_copies").alias("copies"))
 
 
 def oracle(source: str = "documents", columns: str | None = None, temper: float = 0.7, sweeps: int = 8, keep_share: float = 0.8, seed: int = 7, rounds: int = 12) -> str:

@@ -334,6 +334,28 @@ def test_mixing(spark, docs, rows, empty):
     assert mixing.mixing_report(empty).count() == 0
 
 
+def test_mixing_reaches_its_targets(spark):
+    """Small groups would need a probability above one: shares of drawn tokens still meet the tempered targets."""
+    data = [(i, "w w w w" + (" a@b" if i % 50 == 0 else " w"), "de" if i % 20 == 3 else "en", "b" if i % 10 == 7 else "a") for i in range(6000)]
+    docs = spark.createDataFrame(data, "doc_id bigint, text string, lang string, source string")
+    plan = mixing.mixing_plan(docs, {"s": F.col("source"), "l": F.col("lang"), "t": mixing.surface_topic(F.col("text"))}).collect()
+    assert max(r["mix_w"] for r in plan) > 1.5
+    got = mixing.keep_mixed(docs).collect()
+    times = {}
+    for r in got:
+        times[r["doc_id"]] = times.get(r["doc_id"], 0) + 1
+    assert times == {r["doc_id"]: r["copies"] for r in mixing.mixing_report(docs).collect() if r["kept"]}
+    assert len(times) == pytest.approx(0.8 * 6000, rel=0.03)
+    for dim, of in (("s", lambda r: r["source"]), ("l", lambda r: r["lang"]), ("t", lambda r: "contact" if "@" in r["text"] else "prose")):
+        tokens = {}
+        for r in plan:
+            tokens[r[dim]] = tokens.get(r[dim], 0) + r["mix_n"]
+        for v, n in tokens.items():
+            target = n**0.7 / sum(x**0.7 for x in tokens.values())
+            assert sum(r["mix_n"] * r["mix_w"] for r in plan if r[dim] == v) / sum(r["mix_n"] * r["mix_w"] for r in plan) == pytest.approx(target, abs=1e-6)
+            assert sum(of(r) == v for r in got) / len(got) == pytest.approx(target, abs=0.01)
+
+
 @pytest.mark.parametrize("name", ["op1_mixing", "op2_minhash", "op3_suffix_dedup", "op4_vantage_ann", "op9_exact_dedup"])
 def test_queries_match_duckdb(spark, sf, name):
     import duckdb
