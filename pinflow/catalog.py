@@ -463,26 +463,6 @@ def method_ranking(spark, d):
 # --- rounds lane -----------------------------------------------------------------------------------------------------------
 
 
-def _tiny(spark, d):
-    """The first ten suppliers."""
-    return shape.prepare(builders.suppliers_by_order(spark, d).filter("vertex_id <= 10"))
-
-
-TINY = f"WITH raw AS ({sql.PINS['suppliers_by_order']}) SELECT count(DISTINCT vertex_id) AS n_checked, CAST(0 AS BIGINT) AS n_violations FROM raw WHERE vertex_id <= 10"
-
-
-@query("rounds_batch1_diff", TINY)
-def rounds_batch1_diff(spark, d):
-    h, spec = _tiny(spark, d), PartitionSpec(4)
-    return audit.diff(ordered.greedy(h, spec), rounds.greedy(h, spec, batch=1))
-
-
-@query("rounds_fixpoint_diff", TINY)
-def rounds_fixpoint_diff(spark, d):
-    h, spec = _tiny(spark, d), PartitionSpec(4, objective="cut")
-    return audit.diff(ordered.greedy(h, spec), rounds.fixpoint(h, spec))
-
-
 @query("predecessor_arcs", select_with(H1, "q AS (SELECT net_id, vertex_id, lag(vertex_id) OVER (PARTITION BY net_id ORDER BY vertex_id) AS pred FROM p)", "SELECT vertex_id, pred, CAST(count(*) AS DOUBLE) AS weight FROM q WHERE pred IS NOT NULL GROUP BY ALL"))
 def predecessor_arcs(spark, d):
     return shape.predecessor_arcs(hypergraph(spark, d, H1))
