@@ -291,26 +291,36 @@ def evaluation_counts(spark, d):
     return work.agg(F.count("*").alias("vertices"), (F.max(F.col("touched") - F.coalesce("deg", F.lit(0))) <= 0).alias("within_degrees"), (F.sum(F.col("touched") + 1) < F.count("*") * 64).alias("below_scan"))
 
 
-@query("ladder_trace", "WITH b AS (SELECT row_number() OVER (ORDER BY l_orderkey, l_partkey, l_suppkey, l_quantity) AS step, CAST(l_suppkey % 10 AS INTEGER) AS block FROM lineitem QUALIFY step <= 2000), c AS (SELECT b.step, x.range AS blk, count(*) FILTER (y.block = x.range) AS load FROM b, range(10) x, b y WHERE y.step <= b.step AND b.step % 100 = 0 GROUP BY ALL) SELECT step, min(load) AS lightest_load, count(DISTINCT load) AS distinct_loads FROM c GROUP BY step")
+def ladder_steps(bumps: DataFrame, k: int, every: int = 100, width: int = 50_000) -> DataFrame:
+    """step, lightest_load, distinct_loads after every ``every``-th of the bumps (seq from 0, block).
+
+    Slices of ``width`` bumps are walked side by side, each from the loads that the slices before it leave."""
+    import pandas as pd
+
+    sliced = bumps.withColumn("slice", F.floor(F.col("seq") / width))
+    counts = sliced.groupBy("slice", "block").agg(F.count("*").alias("c"))
+    grid = counts.select("slice").distinct().withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(k - 1))))
+    # One row per slice and block goes through the window.
+    earlier = W.partitionBy("block").orderBy("slice").rowsBetween(W.unboundedPreceding, -1)
+    starts = grid.join(counts, ["slice", "block"], "left").select(F.col("slice").alias("first_of"), "block", F.coalesce(F.sum("c").over(earlier), F.lit(0)).alias("start"))
+
+    def walk(rows, start):
+        ladder, out = LoadLadder(k, start.sort_values("block")["start"].tolist()), []
+        for seq, block in rows.sort_values("seq")[["seq", "block"]].itertuples(index=False):
+            ladder.bump(int(block))
+            if (seq + 1) % every == 0:
+                out.append((seq + 1, ladder.load[ladder.lightest()], len(ladder.range)))
+        return pd.DataFrame(out, columns=["step", "lightest_load", "distinct_loads"]).astype("int64")
+
+    return sliced.groupBy("slice").cogroup(starts.groupBy("first_of")).applyInPandas(walk, "step bigint, lightest_load bigint, distinct_loads bigint")
+
+
+@query("ladder_trace")
 def ladder_trace(spark, d):
-    """The ladder under a sequence of bumps: lightest load and number of distinct loads at every hundredth step."""
-    import pyarrow as pa
-
-    rows = read_table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_quantity").orderBy("l_orderkey", "l_partkey", "l_suppkey", "l_quantity").limit(2000)
-
-    def walk(batches):
-        ladder, step, out = LoadLadder(10), 0, []
-        for batch in batches:
-            for supplier in batch.column(0).to_pylist():
-                ladder.bump(supplier % 10)
-                step += 1
-                if step % 100 == 0:
-                    out.append((step, ladder.load[ladder.lightest()], len(ladder.range)))
-        cols = list(zip(*out)) if out else [[]] * 3
-        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["step", "lightest_load", "distinct_loads"])
-
-    ranked = rows.select("l_orderkey", "l_partkey", "l_suppkey", "l_quantity").repartition(1).sortWithinPartitions("l_orderkey", "l_partkey", "l_suppkey", "l_quantity")
-    return ranked.select("l_suppkey").mapInArrow(walk, "step bigint, lightest_load bigint, distinct_loads bigint")
+    """The ladder of 100 blocks under all lines' suppliers in key order: lightest load and number of distinct loads at every hundredth step."""
+    keys = ("l_orderkey", "l_partkey", "l_suppkey", "l_quantity")
+    rows = shape.dense_ids(read_table(spark, d, "lineitem", *keys), *map(F.col, keys), name="seq")
+    return ladder_steps(rows.select("seq", (F.col("l_suppkey") % 100).cast("int").alias("block")), 100)
 
 
 # --- graphs ------------------------------------------------------------------------------------------------------------

@@ -9,11 +9,14 @@ class LoadLadder:
     """Blocks in load order with one range per distinct load: raising a load by one and reading the lightest
     block take constant time, k blocks take O(k) memory."""
 
-    def __init__(self, k: int):
-        self.order = list(range(k))  # blocks, lightest first
-        self.spot = list(range(k))  # block -> its place in order
-        self.load = [0] * k
-        self.range = {0: [0, k - 1]}  # load -> first and last place
+    def __init__(self, k: int, loads: list[int] | None = None):
+        self.load = list(loads) if loads else [0] * k
+        self.order = sorted(range(k), key=lambda b: (self.load[b], b))  # blocks, lightest first
+        self.spot = [0] * k  # block -> its place in order
+        self.range: dict[int, list[int]] = {}  # load -> first and last place
+        for place, block in enumerate(self.order):
+            self.spot[block] = place
+            self.range.setdefault(self.load[block], [place, place])[1] = place
 
     def lightest(self) -> int:
         return self.order[0]

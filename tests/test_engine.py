@@ -196,3 +196,24 @@ def test_lanes_agree_on_a_whole_instance_with_full_blocks(spark, objective):
     for lane in (ordered.greedy(h, spec), rounds.greedy(h, spec, batch=1) if objective == "con" else rounds.fixpoint(h, spec)):
         assert {r["vertex_id"]: r["block"] for r in lane.collect()} == want
     assert not {"rounds_batch1_diff", "rounds_fixpoint_diff"} & set(catalog.QUERIES)
+
+
+def test_ladder_is_walked_to_the_end(spark, sf):
+    keys = ("l_orderkey", "l_partkey", "l_suppkey", "l_quantity")
+    lines = sorted(map(tuple, spark.read.parquet(f"{sf}/lineitem.parquet").select(*keys).collect()))
+
+    def plain(blocks, k, every):
+        load, out = [0] * k, []
+        for i, b in enumerate(blocks, 1):
+            load[b] += 1
+            if i % every == 0:
+                out.append((i, min(load), len(set(load))))
+        return out
+
+    want = plain([r[2] % 100 for r in lines], 100, 100)
+    assert len(want) == len(lines) // 100 > 20
+    assert sorted(map(tuple, catalog.QUERIES["ladder_trace"](spark, sf).collect())) == want
+    blocks = [i * i % 7 % 5 for i in range(300)]
+    bumps = spark.createDataFrame(list(enumerate(blocks)), "seq bigint, block int")
+    for width in (37, 64):
+        assert sorted(map(tuple, catalog.ladder_steps(bumps, 5, 10, width).collect())) == plain(blocks, 5, 10)
