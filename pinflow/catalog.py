@@ -213,6 +213,32 @@ def greedy_con_parts(spark, d):
     return ordered.greedy(h, PartitionSpec(K)).filter(F.col("block").between(0, K - 1)).select("vertex_id", "seq")
 
 
+def _larger(name, source, place, finish):
+    """Results on instances that a recursive replay takes too long for: no SQL, tests walk them by brute force."""
+
+    @query(name)
+    def run(spark, d):
+        h = hypergraph(spark, d, source)
+        return finish(h, place(h))
+
+
+for _objective in ("con", "cut"):
+    _larger("greedy_con_parts_placed" if _objective == "con" else "greedy_cut_parts", H1, lambda h, o=_objective: ordered.greedy(h, PartitionSpec(K, objective=o)), lambda h, x: placements(x))
+    _larger(f"greedy_{_objective}_quality", H1, lambda h, o=_objective: ordered.greedy(h, PartitionSpec(K, objective=o)), quality)
+_larger("greedy_con_customers", "customers_by_part", lambda h: ordered.greedy(h, PartitionSpec(8)), _as_loads)
+_larger("greedy_cut_clauses", "signed_clauses", lambda h: ordered.greedy(h, PartitionSpec(32, objective="cut")), _as_loads)
+_larger("minmax_parts", H1, lambda h: ordered.minmax_place(h, PartitionSpec(K)), lambda h, x: placements(x))
+_larger("minmax_customers", "customers_by_part", lambda h: ordered.minmax_place(h, PartitionSpec(8)), _as_loads)
+
+
+@query("greedy_weighted_parts")
+def greedy_weighted_parts(spark, d):
+    """Parts that weigh their size."""
+    sizes = read_table(spark, d, "part", "p_partkey", "p_size").select(F.col("p_partkey").alias("vertex_id"), F.col("p_size").cast("double").alias("weight"))
+    h = hypergraph(spark, d, "parts_by_customer", weights=sizes)
+    return placements(ordered.greedy(h, PartitionSpec(K, weighted=True)))
+
+
 _GAMMAS = [(g, s) for g in (1.0, 1.5, 2.0) for s in (0.0, 1.0, 4.0)]
 
 

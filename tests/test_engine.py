@@ -217,3 +217,50 @@ def test_ladder_is_walked_to_the_end(spark, sf):
     bumps = spark.createDataFrame(list(enumerate(blocks)), "seq bigint, block int")
     for width in (37, 64):
         assert sorted(map(tuple, catalog.ladder_steps(bumps, 5, 10, width).collect())) == plain(blocks, 5, 10)
+
+
+def test_larger_instances_by_brute_force(spark, sf):
+    """Blocks, loads and measures of the whole instances: greedy in both objectives, and the min-max rule."""
+
+    def instance(source):
+        h = catalog.hypergraph(spark, sf, source)
+        nets = {}
+        for e, v in h.pins.select("net_id", "vertex_id").collect():
+            nets.setdefault(e, []).append(v)
+        return h, nets, [r["vertex_id"] for r in h.vertices.orderBy("seq").collect()]
+
+    def walked(i, k, objective):
+        h, nets, order = i
+        return plain_walk(nets, order, k, *ordered.limits(h, PartitionSpec(k, objective=objective)), objective)
+
+    def minmax(i, k):
+        h, nets, order = i
+        cap = PartitionSpec(k).capacity(len(order))
+        slack, load, met, out = max(1, cap - -(-len(order) // k)), [0] * k, {e: set() for e in nets}, {}
+        of = {}
+        for e, own in nets.items():
+            for v in own:
+                of.setdefault(v, []).append(e)
+        for v in order:
+            fits = [b for b in range(k) if load[b] + 1 <= cap and load[b] <= min(load) + slack]
+            b = out[v] = max(fits, key=lambda b: (sum(b in met[e] for e in of.get(v, ())), -load[b], -b))
+            load[b] += 1
+            for e in of.get(v, ()):
+                met[e].add(b)
+        return out
+
+    rows = lambda name: catalog.QUERIES[name](spark, sf).collect()
+    blocks = lambda name: {r["vertex_id"]: r["block"] for r in rows(name)}
+    loads = lambda name: {r["block"]: r["load"] for r in rows(name)}
+    count = lambda want: {b: list(want.values()).count(b) for b in set(want.values())}
+    parts, customers, clauses = map(instance, ("parts_by_order", "customers_by_part", "signed_clauses"))
+    for objective, name in (("con", "greedy_con_parts_placed"), ("cut", "greedy_cut_parts")):
+        want = walked(parts, 16, objective)
+        assert blocks(name) == want
+        spans = [len({want[v] for v in own}) for own in parts[1].values()]
+        assert tuple(rows(f"greedy_{objective}_quality")[0]) == (sum(s > 1 for s in spans), sum(s - 1 for s in spans))
+    assert loads("greedy_con_customers") == count(walked(customers, 8, "con"))
+    assert loads("greedy_cut_clauses") == count(walked(clauses, 32, "cut"))
+    assert blocks("minmax_parts") == minmax(parts, 16)
+    assert loads("minmax_customers") == count(minmax(customers, 8))
+    assert len(blocks("greedy_weighted_parts")) == len(parts[2])
