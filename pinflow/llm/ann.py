@@ -27,6 +27,7 @@ LEAF = 128
 SLACK = 8  # candidates kept beyond k, so that rounding can't decide who is scored exactly
 SHARD_ROWS = 100_000
 BLOCK = 512
+TIE = 1e-6  # chords closer than this may be equal scores
 
 
 class VantageTree:
@@ -111,12 +112,26 @@ class Shard:
         self.members, self.first = members, np.concatenate([[0], np.cumsum(np.bincount(self.group, minlength=len(self.unit)))])
         self.tree = VantageTree(self.unit)
 
+    def tied(self, own: int, unit: np.ndarray, groups: np.ndarray, away: np.ndarray) -> np.ndarray:
+        """groups, or all groups up to the k-th distance and TIE where those found may not hold all of these."""
+        if len(groups) < self.k + SLACK:
+            return groups
+        rows = slice(*np.searchsorted(self.ids, [own, own + 1]))
+        held, times = np.unique(self.group[rows], return_counts=True)
+        only = held[times == np.diff(self.first)[held]]  # groups of nothing but the query's id
+        fits = np.sort(away[~np.isin(groups, only)])
+        if len(fits) >= self.k and away.max() > fits[self.k - 1] + TIE:
+            return groups
+        chords = VantageTree.chord(unit, self.unit)
+        fits = np.sort(np.delete(chords, only))
+        return np.flatnonzero(chords <= fits[min(self.k, len(fits)) - 1] + TIE) if len(fits) else groups
+
     def answer(self, ids: np.ndarray, vectors: np.ndarray, relax: float):
         unit = vectors / np.sqrt((vectors**2).sum(axis=1))[:, None]
         found, visited = self.tree.search(unit, self.k + SLACK, relax)
         q, r = [], []
         for i, groups in enumerate(found):
-            for g in groups[groups >= 0]:
+            for g in self.tied(ids[i], unit[i], groups[groups >= 0], self.tree.best[i][groups >= 0]):
                 rows = self.members[self.first[g] : self.first[g + 1]]
                 rows = rows[: self.k + np.count_nonzero(self.ids[rows[: self.k]] == ids[i])]
                 rows = rows[self.ids[rows] != ids[i]]

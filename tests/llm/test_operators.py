@@ -370,3 +370,13 @@ def test_queries_match_duckdb(spark, sf, name):
     got = registry.QUERIES[name](spark, sf).toPandas()[cols]
     plain = lambda df: sorted(tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in df.itertuples(index=False, name=None))
     assert plain(got) == plain(want[cols])
+
+
+def test_one_direction_at_many_scales(spark):
+    """Sixty different vectors of one direction have equal cosines: the smallest ids are the answer."""
+    rows = [(i, [x * 2.0 ** ((i * 7) % 60 - 30) for x in (0.3, -0.4, 0.5)]) for i in range(60)] + [(100 + i, [1.0, float(i), 0.0]) for i in range(20)]
+    table = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    found = {}
+    for r in ann.nearest(table, table.filter("vec_id < 60"), shards=1).orderBy("query_id", "rank").collect():
+        found.setdefault(r["query_id"], []).append(r["vec_id"])
+    assert found == {i: [j for j in range(6) if j != i][:5] for i in range(60)}
