@@ -520,7 +520,9 @@ def net_state(spark, d):
 def capacity_fill(spark, d):
     """Water-filling over eight blocks of loads 0, 1, 4, ..., 49."""
     parts = shape.dense_ids(read_table(spark, d, "part", "p_partkey"), F.col("p_partkey"), name="seq")
-    return capacity.fill(parts, [b * b for b in range(8)], 10_000, "seq").select("seq", "block")
+    loads = [b * b for b in range(8)]
+    room = max(*loads, -(-(parts.count() + sum(loads)) // len(loads)))
+    return capacity.fill(parts, loads, room, "seq").select("seq", "block")
 
 
 @query("capacity_accept", f"WITH w AS (SELECT p_partkey AS seq, {sql.hashed(8, 'p_partkey')} AS block FROM part), r AS (SELECT *, row_number() OVER (PARTITION BY block ORDER BY seq) AS r FROM w) SELECT seq, block, r <= 20 * (block + 1) AS accepted FROM r")

@@ -49,13 +49,15 @@ def fill_plan(loads: list[int], capacity: int) -> tuple[np.ndarray, np.ndarray,
 
 
 def fill(rest: DataFrame, loads: list[int], capacity: int, rank: str = "rank") -> DataFrame:
-    """rest with block by rank (0..): a search among at most k segments replaces the range join."""
+    """rest with block by rank (0..): a search among at most k segments replaces the range join. More rows than room are an error."""
     starts, _, members = fill_plan(loads, capacity)
     bounds = starts.tolist()
 
     @F.pandas_udf("int")
     def slot(t: pd.Series) -> pd.Series:
         def one(x):
+            if x >= bounds[-1]:
+                raise ValueError(f"{bounds[-1]} places are free, row {x} has none")
             s = min(bisect_right(bounds, x) - 1, len(members) - 1)
             own = members[s]
             return own[(x - bounds[s]) % len(own)]

@@ -264,3 +264,13 @@ def test_larger_instances_by_brute_force(spark, sf):
     assert blocks("minmax_parts") == minmax(parts, 16)
     assert loads("minmax_customers") == count(minmax(customers, 8))
     assert len(blocks("greedy_weighted_parts")) == len(parts[2])
+
+
+def test_fill_stays_within_its_capacity(spark, tmp_path):
+    rows = spark.range(12).select(F.col("id").alias("seq"))
+    assert capacity.fill(rows, [0, 4], 8, "seq").count() == 12
+    with pytest.raises(Exception, match="places are free"):
+        capacity.fill(rows, [0, 4], 7, "seq").collect()
+    spark.range(90_000).select(F.col("id").alias("p_partkey")).write.parquet(f"{tmp_path}/part.parquet")
+    loads = {r["block"]: r["c"] + r["block"] ** 2 for r in catalog.QUERIES["capacity_fill"](spark, str(tmp_path)).groupBy("block").agg(F.count("*").alias("c")).collect()}
+    assert sum(loads.values()) == 90_140 and max(loads.values()) == 11_268
