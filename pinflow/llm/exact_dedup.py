@@ -1,16 +1,21 @@
 """Exact deduplication by a tree-merge of sorted digest runs, in DataFrame operations only.
 
-Every document becomes one entry (digest, check, id) of a *run*; runs are merged ``fan_in`` at a time in
-rounds, each merge keeping one identifier and the copies' number per digest. The tree is then walked back
-down: a merged entry answers the at most ``fan_in`` entries it came from, so that a text which a third of
-all rows share never meets in one task, neither on the way up nor on the way down.
-
-Digests are SHA-256 of the normalised text; a merge also demands that the independent 64-bit check hash and
-the length agree, which verifies the digest's verdict.
+Every document becomes one entry (digest, length, check, id) of a *run*; there are fan_in ** depth runs. In each
+of depth rounds groups of ``fan_in`` runs exchange entries along one digit of their number, as in a binomial
+tree: the group's entries are cut into slices of the digests' range, one slice goes to each of the group's tasks,
+and there it is merged in digest order by a sort and a streaming (sort) aggregate that keeps one verified
+identifier and the number of copies of each digest. So the number of tasks stays the same in all rounds, an entry
+meets at most ``fan_in`` others of its digest in a round, and after the last one every digest has one entry. The
+tree is then walked back down: a merged entry answers the at most ``fan_in`` entries it came from. A text which a
+third of all rows share never meets in one task, neither on the way up nor on the way down.
+
+Digests are SHA-256 of the normalised text; an identifier is only retained as verified if the length and an
+independent 64-bit hash agree as well.
 
 Defined results: a null text counts as empty; rows with a null id take part in their group's size, never
 become ``keep_id`` while another id exists and are kept only if the whole group has no id; repeated ids with
-equal texts share one fate; an empty table gives an empty result; further columns are not read.
+equal texts share one fate in ``exact_groups``, while ``keep_one`` returns one row of each text; an empty table gives
+an empty result; further columns are not read by ``exact_groups`` and kept by ``keep_one``, whatever they are called.
 """
 
 from __future__ import annotations
@@ -35,29 +40,41 @@ def _depth(width: int, fan_in: int) -> int:
     return depth
 
 
-def merge_runs(runs: DataFrame, fan_in: int, keep: str) -> DataFrame:
+ENTRY = ["digest", "length", "check"]
+
+
+def merge_runs(runs: DataFrame, level: int, fan_in: int, units: int, keep: str) -> DataFrame:
+    """One round: (run, digest, length, check, best, copies) of the runs one level up, with their slice's number (unit).
+
+    best is a struct, for which Spark aggregates in sort order: the rows of a unit are sorted once and merged as a stream."""
+    parent = F.floor(F.col("run") / fan_in).cast("int")
+    slices = fan_in**level
+    place = F.conv(F.hex(F.substring("digest", 1, 4)), 16, 10).cast("long") * slices / F.lit(1 << 32)
+    dealt = runs.withColumn("run", parent).withColumn("unit", F.col("run") * slices + F.floor(place).cast("int"))
     pick = F.max if keep == "largest" else F.min
-    return (
-        runs.withColumn("run", F.floor(F.col("run") / fan_in).cast("int"))
-        .groupBy("run", "digest", "check")
-        .agg(pick("keep_id").alias("keep_id"), F.sum("copies").alias("copies"))
-    )
+    return dealt.repartition(units, "unit").groupBy("unit", "run", *ENTRY).agg(pick("best").alias("best"), F.sum("copies").alias("copies"))
 
 
 def merge_tree(entries: DataFrame, keep: str, fan_in: int = 8) -> DataFrame:
-    """entries (id, digest, check) with keep_id and copies of their group, by rounds of merges up and answers down."""
+    """entries (id, digest, length, check) with keep_id and copies of their group, by rounds of merges up and answers down."""
     depth = _depth(shuffle_width(entries.sparkSession), fan_in)
-    run = F.pmod(F.xxhash64(F.col("id")), F.lit(fan_in**depth)).cast("int")
-    entries = cut(entries.withColumn("run", run).sortWithinPartitions("run", "digest"), "digest-runs")
-    pick = F.max if keep == "largest" else F.min
-    levels = [entries.groupBy("run", "digest", "check").agg(pick("id").alias("keep_id"), F.count("*").alias("copies"))]
-    for _ in range(depth):
-        levels.append(merge_runs(levels[-1], fan_in, keep))
-    answer = levels[-1]
-    for level in reversed(levels[:-1]):
-        below = level.select("run", F.floor(F.col("run") / fan_in).cast("int").alias("parent"), "digest", "check")
-        answer = below.join(answer.withColumnRenamed("run", "parent"), ["parent", "digest", "check"]).drop("parent")
-    return entries.join(answer, ["run", "digest", "check"]).drop("run")
+    units = fan_in**depth
+    # Dealt in turn, so that no id fills a run; what is written holds from here on, also when tasks are repeated.
+    entries = cut(entries.withColumn("run", F.pmod(F.monotonically_increasing_id() + F.floor(F.monotonically_increasing_id() / F.lit(1 << 33)), F.lit(units)).cast("int")), "digest-runs")
+    known = F.col("id").isNotNull() if keep == "largest" else F.col("id").isNull()  # a null never wins
+    levels = [entries.select("run", *ENTRY, F.struct(known.alias("known"), F.col("id").alias("id")).alias("best"), F.lit(1).cast("long").alias("copies"))]
+    for level in range(1, depth + 1):
+        levels.append(merge_runs(levels[-1], level, fan_in, units, keep).drop("unit"))
+    answer = levels[-1].select("run", *ENTRY, F.col("best.id").alias("keep_id"), "copies")
+    for level in reversed(levels[1:-1]):
+        below = level.select(F.col("run").alias("child"), F.floor(F.col("run") / fan_in).cast("int").alias("run"), *ENTRY)
+        answer = below.join(answer, ["run", *ENTRY]).drop("run").withColumnRenamed("child", "run")
+    asked = entries.withColumn("leaf", F.col("run")).withColumn("run", F.floor(F.col("run") / fan_in).cast("int"))
+    return asked.join(answer, ["run", *ENTRY]).drop("run", "leaf")
+
+
+def digests(text) -> list[F.Column]:
+    return [F.unhex(F.sha2(text, 256)).alias("digest"), F.octet_length(text).alias("length"), F.xxhash64(text).alias("check")]
 
 
 def exact_groups(docs: DataFrame, keep: str = "largest", fan_in: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -65,8 +82,7 @@ def exact_groups(docs: DataFrame, keep: str = "largest", fan_in: int = 8, id_col
     require_columns(docs, id_col, text_col)
     if keep not in ("largest", "smallest"):
         raise ValueError("keep is 'largest' or 'smallest'")
-    text = normalised(F.col(text_col))
-    entries = docs.select(F.col(id_col).alias("id"), F.unhex(F.sha2(text, 256)).alias("digest"), (F.xxhash64(text) + F.octet_length(text)).alias("check"))
+    entries = docs.select(F.col(id_col).alias("id"), *digests(normalised(F.col(text_col))))
     return merge_tree(entries, keep, fan_in).select(
         F.col("id").alias(id_col),
         "keep_id",
@@ -77,9 +93,13 @@ def exact_groups(docs: DataFrame, keep: str = "largest", fan_in: int = 8, id_col
 
 
 def keep_one(docs: DataFrame, keep: str = "largest", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns; ids are expected to be unique."""
-    gone = exact_groups(docs, keep, id_col=id_col, text_col=text_col).filter(~F.col("kept")).select(id_col)
-    return docs.join(gone, id_col, "left_anti")
+    """One row of ``docs`` for each text, with all its columns: of the id that stays, whatever else that id is used for."""
+    name = F.coalesce(F.concat(F.lit("#"), F.col(id_col).cast("string")), F.lit(""))
+    stay = exact_groups(docs, keep, id_col=id_col, text_col=text_col).filter("kept").select(name.alias("__id"), F.unhex("text_sha256").alias("__text")).distinct()
+    packed = docs.select(F.struct("*").alias("row"), name.alias("__id"), F.unhex(F.sha2(normalised(F.col(text_col)), 256)).alias("__text"))
+    # Rows alike in id and text are merged before they travel; what is left has the join's keys.
+    single = packed.groupBy("__id", "__text").agg(F.first("row").alias("row"))
+    return single.join(stay, ["__id", "__text"], "left_semi").select("row.*")
 
 
 ORACLE = """

@@ -16,13 +16,16 @@
 4. Pairs pass a size test and the estimate from the sketch of their union, then full sets decide exactly.
 5. Components come from star rounds over the confirmed links.
 
+A row of a list carries a sketch of ``WIDE`` values at most, so lists grow in proportion to the texts.
+
 The only chance is in 2 and 4: a pair of similarity s >= 0.75 is missed if far fewer of the smallest values of its
 union are shared than that share: under 10 of 32 for the lists, 28 of 64 for the estimate, 5.6 standard deviations
 elsewhere. Each is below 1e-7 at s = 0.75 and falls fast above; sets of up to 24 shingles lie whole in their
 sketches and are never missed.
 
 Defined results: null and empty texts and texts without words have the empty set, n_shingles 0, and stay
-alone; repeated rows of one id are one text to the links; rows with a null id are passed through unlinked;
+alone; rows that repeat an id with the same text share one fate; where an id has several texts, each is judged on
+its own and component_id is the smallest id among the rows reached; rows with a null id are passed through unlinked;
 an empty table gives an empty result; further columns are not read.
 """
 
@@ -34,10 +37,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from pinflow.operators.shape import dense_ids
+
 from .common import cut, discard, release, require_columns, shuffle_width, trimmed
 from .exact_dedup import merge_tree
 from .graph import components
-from .shingles import chunks, shingle_sets
+from .shingles import chunks, confirmed_sets, shingle_sets
 
 SKETCH = 64  # values kept of each set
 LISTED = 32  # of these, the values that make lists
@@ -46,13 +51,13 @@ LIKELY = 28  # of SKETCH
 PERCENT = 75
 SALTS = 256
 CROWD = 64
-WIDE = 1024  # values kept of a crowded list's members
-HUBS = 512  # members of a crowded list that meet all others in its first round
-CHUNK = 2048  # members of a list that are met at once
+WIDE = 128  # values kept of a crowded list's members
+HUBS = 128  # members of a crowded list that meet all others in its first round
+CHUNK = 512  # members of a list that are met at once
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, k: int = SKETCH) -> DataFrame:
-    """(doc_id, n_shingles, set_key, sketch) of every row."""
+    """(doc_id, n_shingles, set_key, sketch, text_key) of every row."""
 
     def run(batches):
         for batch in batches:
@@ -64,12 +69,34 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, k: int = SKETCH) -> Da
                 ends = np.concatenate([[0], np.cumsum([len(h) for h in heads])]).astype(np.int32)
                 values = np.concatenate(heads).astype(np.int64)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(a, z - a), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys, pa.binary()), pa.ListArray.from_arrays(pa.array(ends), pa.array(values))],
-                    ["doc_id", "n_shingles", "set_key", "sketch"],
+                    [batch.column(0).slice(a, z - a), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys, pa.binary()), pa.ListArray.from_arrays(pa.array(ends), pa.array(values)), batch.column(2).slice(a, z - a)],
+                    ["doc_id", "n_shingles", "set_key", "sketch", "text_key"],
                 )
 
-    narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").cast("binary"))
-    return narrow.mapInArrow(trimmed(run), "doc_id bigint, n_shingles bigint, set_key binary, sketch array<bigint>")
+    narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").cast("binary"), text_key(F.col(text_col)))
+    return narrow.mapInArrow(trimmed(run), "doc_id bigint, n_shingles bigint, set_key binary, sketch array<bigint>, text_key binary")
+
+
+def text_key(text) -> F.Column:
+    return F.unhex(F.sha2(F.coalesce(text.cast("string"), F.lit("")), 256)).alias("text_key")
+
+
+def renamed(sets: DataFrame) -> DataFrame | None:
+    """(doc_id, text_key, node) of the texts of an id but its first one: ids that no row has. None if no id has two texts."""
+    firsts = sets.groupBy("doc_id").agg(F.min("text_key").alias("lo"), F.max("text_key").alias("hi")).filter("doc_id is not null and lo <> hi")
+    if firsts.isEmpty():
+        return None
+    more = sets.join(firsts, "doc_id").filter("text_key <> lo").select("doc_id", "text_key").distinct()
+    ends = sets.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()  # one row
+    base = F.lit(ends["hi"] + 1) if ends["hi"] < 1 << 62 else F.lit(ends["lo"] - (1 << 48))
+    return cut(dense_ids(cut(more, "texts-of-ids"), F.col("doc_id"), F.col("text_key"), name="at").select("doc_id", "text_key", (F.col("at") + base).alias("node")), "renamed")
+
+
+def with_nodes(rows: DataFrame, names: DataFrame | None) -> DataFrame:
+    """rows (doc_id, text_key, ...) with node: the id, or what stands for it where an id has several texts."""
+    if names is None:
+        return rows.withColumn("node", F.col("doc_id"))
+    return rows.join(names, ["doc_id", "text_key"], "left").withColumn("node", F.coalesce("node", "doc_id"))
 
 
 def required_overlap(n, k: int, percent: int, need: int):
@@ -203,75 +230,70 @@ def _estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
 
 
 def _meet(percent: int):
-    """Hubs (role 0) of a list meet its members (role 1), all at once -> pairs (a, b) that may be similar enough.
+    """Hubs (role 0) of a list meet its members (role 1) -> pairs (a, b) that may be similar enough.
 
-    Two sketches know the union up to the smaller of their largest values; what they share of it is the estimate."""
+    Two sketches know the union up to the smaller of their largest values; what they share of it is the estimate. One hub
+    at a time marks its values among those of all members, so memory follows the sketches and not the pairs."""
 
-    def candidates(rows, value_of):
+    def candidates(rows):
         doc, comp, n, s = (np.array(c, dtype=np.int64) for c in rows[1:5])
         hub = np.array(rows[0]) == 0
-        lists_of, hubs_in, sketch = [set(x) for x in rows[5]], [set(a if x is None else x) for a, x in zip(rows[5], rows[6])], rows[7]
+        sketch = rows[5]
         sizes = np.array([len(x) for x in sketch])
+        firsts = np.cumsum(sizes) - sizes
         flat = np.concatenate(sketch)
-        who = np.repeat(np.arange(len(sketch)), sizes)
-        value, column, often = np.unique(flat, return_inverse=True, return_counts=True)
-        kept = often[column] > 1
-        place = np.cumsum(often > 1) - 1
-        table = np.zeros((len(sketch), int((often > 1).sum())), dtype=np.float32)
-        table[who[kept], place[column[kept]]] = 1
-        h, m = np.flatnonzero(hub), np.flatnonzero(~hub)
-        common = (table[h] @ table[m].T).astype(np.int64)
+        _, code = np.unique(flat, return_inverse=True)
         whole = sizes == n
-        top = np.array([x[-1] for x in sketch])
-        limit = np.where(whole, np.iinfo(np.int64).max, top)
-        low = np.minimum(limit[h][:, None], limit[m][None, :])
-        below = np.empty_like(common)  # values of either sketch within the known part, together
-        for i, x in enumerate(h):
-            below[i] = np.searchsorted(sketch[x], low[i], side="right")
-        for j, y in enumerate(m):
-            below[:, j] += np.searchsorted(sketch[y], low[:, j], side="right")
-        known = below - common
-        sure = whole[h][:, None] & whole[m][None, :]
-        may = np.where(sure, 100 * common >= percent * known, common >= percent / 100 * known - 5.6 * np.sqrt(percent * (100 - percent) / 10_000 * known))
-        total = n[h][:, None] + n[m][None, :]
-        may &= (comp[h][:, None] != comp[m][None, :]) & (np.minimum(s[h][:, None], s[m][None, :]) * (100 + percent) >= total * percent)
-        i, j = np.nonzero(may)
-        # A pair is told by the first of the lists in which one of the two is a hub and the other a member.
-        first = [min(x for x in (*hubs_in[p].intersection(lists_of[q]), *hubs_in[q].intersection(lists_of[p]))) == value_of for p, q in zip(h[i], m[j])]
-        keep = np.array(first, dtype=bool)
-        a, b = doc[h[i[keep]]], doc[m[j[keep]]]
-        return np.minimum(a, b), np.maximum(a, b)
+        limit = np.where(whole, np.iinfo(np.int64).max, np.array([x[-1] for x in sketch]))
+        mine = np.zeros(code.max() + 1, dtype=bool)
+        first_member = int(np.argmin(hub))  # hubs come first
+        m = np.arange(first_member, len(doc))
+        start = firsts[m]
+        out = []
+        for h in range(first_member):
+            fit = (comp[m] != comp[h]) & (np.minimum(s[m], s[h]) * (100 + percent) >= (n[m] + n[h]) * percent)
+            if not fit.any():
+                continue
+            own = code[firsts[h] : firsts[h] + sizes[h]]
+            mine[own] = True
+            common = np.add.reduceat(mine[code].astype(np.int64), start)
+            mine[own] = False
+            low = np.minimum(limit[m], limit[h])
+            theirs = np.where(limit[m] <= limit[h], sizes[m], np.add.reduceat((flat <= limit[h]).astype(np.int64), start))
+            known = np.searchsorted(sketch[h], low, side="right") + theirs - common
+            sure = whole[m] & whole[h]
+            may = np.where(sure, 100 * common >= percent * known, common >= percent / 100 * known - 5.6 * np.sqrt(percent * (100 - percent) / 10_000 * known))
+            found = doc[m[fit & may]]
+            out.append(np.stack([np.minimum(found, doc[h]), np.maximum(found, doc[h])], axis=1))
+        return np.concatenate(out) if out else np.empty((0, 2), dtype=np.int64)
 
     def run(batches):
-        key, rows = None, None
+        key, rows, done = None, None, []
 
         def close():
             if rows and rows[0][0] == 0 and rows[0][-1] == 1:
-                a, b = candidates(rows, key[0])
-                if len(a):
-                    done.append((a, b))
+                done.append(candidates(rows))
 
         for batch in batches:
-            done: list = []
-            columns = [batch.column(i).to_pylist() for i in range(9)]
-            sketches = batch.column(9)
+            columns = [batch.column(i).to_pylist() for i in range(7)]
+            sketches = batch.column(7)
             flat, ends = sketches.flatten().to_numpy(), np.concatenate([[0], np.cumsum(sketches.value_lengths().to_numpy())])
             for i, own in enumerate(zip(columns[0], columns[1])):
                 if own != key:
                     close()
-                    key, rows = own, [[] for _ in range(8)]
+                    key, rows = own, [[] for _ in range(6)]
                 for held, c in zip(rows, columns[2:]):
                     held.append(c[i])
-                rows[7].append(flat[ends[i] : ends[i + 1]].copy())
+                rows[5].append(flat[ends[i] : ends[i + 1]].copy())
             if done:
                 yield pairs(done)
-        done = []
+                done = []
         close()
         if done:
             yield pairs(done)
 
     def pairs(done):
-        found = np.unique(np.stack([np.concatenate([d[0] for d in done]), np.concatenate([d[1] for d in done])], axis=1), axis=0)
+        found = np.unique(np.concatenate(done), axis=0)
         return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(found[:, 0])), pa.array(np.ascontiguousarray(found[:, 1]))], ["a", "b"])
 
     return run
@@ -279,11 +301,9 @@ def _meet(percent: int):
 
 def list_pairs(chosen: DataFrame, sketch: DataFrame, percent: int) -> DataFrame:
     """Distinct candidate pairs of lists with is_hub and members; crowded lists are met in chunks."""
-    lists = chosen.groupBy("doc_id").agg(F.collect_list("value").alias("lists"), F.collect_list(F.when(F.col("is_hub"), F.col("value"))).alias("hub_of"))
-    lists = lists.withColumn("hub_of", F.when(F.size("hub_of") < F.size("lists"), F.col("hub_of")))  # null: hub of all
-    rows = chosen.join(lists.join(sketch, "doc_id"), "doc_id")
+    rows = chosen.join(sketch, "doc_id")
     chunks_ = F.ceil(F.col("members") / CHUNK).cast("int")
-    cells = ["doc_id", "component", "n", "s", "lists", "hub_of", "sketch"]
+    cells = ["doc_id", "component", "n", "s", "sketch"]
     members = rows.select("value", F.pmod(F.xxhash64("doc_id"), chunks_).cast("int").alias("salt"), F.lit(1).alias("role"), *cells)
     hubs = rows.filter("is_hub").select("value", F.explode(F.sequence(F.lit(0), chunks_ - 1)).alias("salt"), F.lit(0).alias("role"), *cells)
     met = members.union(hubs).repartition("value", "salt").sortWithinPartitions("value", "salt", "role")
@@ -297,20 +317,20 @@ def _verified(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     hubs = salted.select("a", "salt").distinct().join(texts.withColumnRenamed("doc_id", "a"), "a").select("a", "salt", F.lit(0).alias("role"), F.col("a").alias("b"), "text")
 
     def run(batches):
-        hub, held = None, None
+        hub, held, proof = None, None, None
         for batch in batches:
             a, role, b = (batch.column(i).to_pylist() for i in (0, 2, 3))
             texts = [t or b"" for t in batch.column(4).to_pylist()]
             found = []
             for i, z in chunks(texts):
-                for at, own in zip(range(i, z), shingle_sets(texts[i:z])):
+                for at, (own, second) in zip(range(i, z), confirmed_sets(texts[i:z])):
                     if role[at] == 0:
-                        hub, held = a[at], own
+                        hub, held, proof = a[at], own, second
                         continue
                     if hub != a[at]:
                         raise RuntimeError("a member came without its hub")
                     spots = np.minimum(np.searchsorted(held, own), len(held) - 1)
-                    inter = int((held[spots] == own).sum())
+                    inter = int(((held[spots] == own) & (proof[spots] == second)).sum())
                     if 100 * inter >= percent * (len(held) + len(own) - inter):
                         found.append((hub, b[at]))
             yield pa.RecordBatch.from_arrays([pa.array([f[j] for f in found], pa.int64()) for j in (0, 1)], ["a", "b"])
@@ -338,15 +358,15 @@ def _mixed(lists: DataFrame, labels: DataFrame) -> DataFrame:
     return named.join(mixed, "value")
 
 
-def near_links(docs: DataFrame, reps: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, crowd: int = CROWD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Components (node, component) of the representatives that have a link."""
+def near_links(docs: DataFrame, reps: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, crowd: int = CROWD) -> DataFrame:
+    """Components (node, component) of the representatives that have a link. docs: doc_id, text, one row for each at least."""
     lists = inverted_lists(reps, k, percent, need)
     first = lists.groupBy("value").agg(F.max_by("doc_id", F.struct("share", -F.col("doc_id"))).alias("a"), F.count("*").alias("listed")).filter("listed > 1").drop("listed")
     lists = cut(lists.join(first, "value"), "lists-with-hub")
     star = lists.filter("doc_id <> a").groupBy("a", F.col("doc_id").alias("b")).agg(F.count("*").alias("lists"))
     pairs = cut(_estimated(star, reps, percent).groupBy("b").agg(F.max_by("a", F.struct("lists", -F.col("a"))).alias("a")).select("a", "b"), "pairs")
     # Texts of every member of a list, moved once; all rounds read only these.
-    own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     texts = cut(own.join(lists.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "listed-texts")
     sketch = reps.select("doc_id", "sketch")
     lists, rebuilt, room, links = lists.drop("a"), False, max(crowd, HUBS), None
@@ -371,28 +391,44 @@ def near_links(docs: DataFrame, reps: DataFrame, k: int = LISTED, percent: int =
         lists, room = chosen.filter("not is_hub").drop("is_hub", "component", "members"), room * 4
 
 
-def near_duplicates(docs: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id, kept, class_id (smallest id of the equal sets) per row."""
+def _judged(docs: DataFrame, k: int, percent: int, need: int, id_col: str, text_col: str) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept, class_id, text_key, stays per row; stays: the one text of its component."""
     require_columns(docs, id_col, text_col)
     sets = cut(sketches(docs, id_col, text_col), "sketches")
+    names = renamed(sets)
+    sets = with_nodes(sets, names) if names is None else cut(with_nodes(sets, names), "sketches-of-nodes")
     lone = F.col("n_shingles") == 0
-    entries = sets.filter("doc_id is not null").select(F.col("doc_id").alias("id"), F.when(lone, F.col("doc_id").cast("string").cast("binary")).otherwise(F.col("set_key")).alias("digest"), F.col("n_shingles").alias("check"))
-    classes = cut(merge_tree(entries, "smallest").select(F.col("id").alias("doc_id"), F.col("check").alias("n_shingles"), F.col("keep_id").alias("class_id")), "classes")
-    leaders = classes.filter("doc_id = class_id").select("doc_id").distinct()
-    reps = sets.filter(F.col("n_shingles") > 0).join(leaders, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "n_shingles", "sketch")
+    digest = F.when(lone, F.unhex(F.sha2(F.col("node").cast("string"), 256))).otherwise(F.col("set_key"))
+    entries = sets.filter("doc_id is not null").select(F.col("node").alias("id"), digest.alias("digest"), F.col("n_shingles").alias("length"), F.lit(0).alias("check"), "doc_id", "text_key")
+    classes = cut(merge_tree(entries, "smallest").select("doc_id", F.col("id").alias("node"), F.col("length").alias("n_shingles"), F.col("keep_id").alias("class"), "text_key"), "classes")
+    leaders = classes.filter("node = class").select("node").distinct()
+    reps = sets.filter(F.col("n_shingles") > 0).join(leaders, "node", "left_semi").dropDuplicates(["node"]).select(F.col("node").alias("doc_id"), "n_shingles", "sketch")
     reps = cut(reps, "representatives")
-    labels = near_links(docs, reps, k, percent, need, id_col=id_col, text_col=text_col)
-    named = classes.join(labels.withColumnRenamed("node", "class_id"), "class_id", "left")
-    component = F.coalesce("component", "class_id")
-    out = named.select("doc_id", "n_shingles", component.alias("component_id"), (F.col("doc_id") == component).alias("kept"), "class_id")
-    orphans = sets.filter("doc_id is null").select("doc_id", "n_shingles", F.lit(None).cast("long"), F.lit(True), F.lit(None).cast("long"))
+    own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), text_key(F.col(text_col)))
+    labels = near_links(with_nodes(own, names).select(F.col("node").alias("doc_id"), "text"), reps, k, percent, need)
+    named = classes.join(labels.withColumnRenamed("node", "class"), "class", "left").withColumn("component", F.coalesce("component", "class"))
+    if names is not None:  # nodes are not ids: look up the smallest id of each class and component
+        by_class = named.groupBy("class").agg(F.min("doc_id").alias("class_id"))
+        by_component = named.groupBy("component").agg(F.min(F.struct("doc_id", "node")).alias("least"))
+        named = named.join(by_class, "class").join(by_component, "component").withColumns({"component_id": F.col("least.doc_id"), "stays": F.col("node") == F.col("least.node")})
+    else:
+        named = named.withColumns({"class_id": F.col("class"), "component_id": F.col("component"), "stays": F.col("node") == F.col("component")})
+    out = named.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"), "class_id", "text_key", "stays")
+    none = F.lit(None).cast("long")
+    orphans = sets.filter("doc_id is null").select("doc_id", "n_shingles", none, F.lit(True), none, "text_key", F.lit(True))
     return out.union(orphans)
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """The rows of docs that stay: one text of each component."""
-    gone = near_duplicates(docs, id_col=id_col, text_col=text_col, **how).filter(~F.col("kept")).select(F.col("doc_id").alias(id_col))
-    return docs.join(gone, id_col, "left_anti")
+def near_duplicates(docs: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, n_shingles, component_id, kept, class_id (smallest id of the equal sets) per row."""
+    return _judged(docs, k, percent, need, id_col, text_col).drop("text_key", "stays")
+
+
+def keep_one(docs: DataFrame, k: int = LISTED, percent: int = PERCENT, need: int = NEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs that stay: one text of each component, judged row by row and not by id."""
+    gone = _judged(docs, k, percent, need, id_col, text_col).filter(~F.col("stays")).select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__text")).distinct()
+    packed = docs.select(F.struct("*").alias("row"), F.col(id_col).cast("long").alias("__id"), text_key(F.col(text_col)).alias("__text"))
+    return packed.join(gone, ["__id", "__text"], "left_anti").select("row.*")
 
 
 ORACLE = r"""

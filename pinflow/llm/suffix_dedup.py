@@ -29,8 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .common import cut, discard, release, require_columns, shuffle_width, small_batches, trimmed
-from .shingles import _power, _tables, mix
 from .shingles import chunks as _chunks
+from .shingles import mix
 
 SPAN = 50
 GRAM = 20
@@ -44,6 +44,22 @@ MARK = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8
 COVERED, PARTIAL, CROWDED = 0, 1, 2
 
 
+_BASE = np.uint64(0x9E3779B97F4A7C15)  # odd
+_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_VALUES = np.random.default_rng(20).integers(1, 1 << 63, 256, dtype=np.uint64)
+_powers: dict[str, np.ndarray] = {}
+
+
+def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
+    if len(_powers.get("up", ())) < n:
+        size = max(n, 1 << 16)
+        for name, base in (("up", _BASE), ("down", _INVERSE)):
+            grown = np.full(size, base, dtype=np.uint64)
+            grown[0] = 1
+            _powers[name] = np.multiply.accumulate(grown)
+    return _powers["up"], _powers["down"]
+
+
 def chunks(texts: list[bytes]):
     return _chunks(texts, CHUNK)
 
@@ -56,7 +72,6 @@ def segments(texts: list[bytes]):
     """All segments of the texts: (text index, ordinal in the text, first window, last window, gram hash, segment hash, data).
 
     Window positions count in ``data``, the texts' bytes one after another."""
-    value = _tables()[0]
     data = np.frombuffer(b"".join(texts), dtype=np.uint8)
     lengths = np.array([len(t) for t in texts], dtype=np.int64)
     ends = np.cumsum(lengths)
@@ -64,13 +79,11 @@ def segments(texts: list[bytes]):
     if not windows.sum():
         none = np.empty(0, dtype=np.int64)
         return none, none, none, none, none.astype(np.uint64), none.astype(np.uint64), data
-    # The shingles' byte values join upper and lower case; here bytes differ, so the upper half of the table is shifted.
-    own = value + np.arange(256, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93)
     n = len(data)
     up, down = _power(n + 1)
     total = np.empty(n + 1, dtype=np.uint64)
     total[0] = 0
-    np.cumsum(own[data] * up[:n], out=total[1:])
+    np.cumsum(_VALUES[data] * up[:n], out=total[1:])
     grams = mix((total[GRAM:] - total[:-GRAM]) * down[: n - GRAM + 1])
     least = (grams >> np.uint64(30) << np.uint64(30)) | np.arange(len(grams), dtype=np.uint64)
     step = 1

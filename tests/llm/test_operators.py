@@ -323,10 +323,10 @@ def test_mixing(spark, docs, rows, empty):
     data = [(s, l, float(n)) for s, l, n in (("a", "en", 900), ("a", "de", 60), ("b", "en", 30), ("b", "de", 10))]
     cells = spark.createDataFrame(data, "s string, l string, mix_n double")
     targets = {"s": spark.createDataFrame([("a", 0.5), ("b", 0.5)], "s string, share double"), "l": spark.createDataFrame([("en", 0.7), ("de", 0.3)], "l string, share double")}
-    fitted = mixing.rake(cells, ["s", "l"], targets, sweeps=30).collect()
+    fitted = mixing.rake(cells, ["s", "l"], targets).collect()
     share = lambda k, v: sum(r["mix_n"] * r["mix_g"] for r in fitted if r[k] == v)
     assert share("s", "a") == pytest.approx(0.5, abs=1e-6) and share("l", "de") == pytest.approx(0.3, abs=1e-6)
-    kept = mixing.calibrate(mixing.rake(cells, ["s", "l"], targets, sweeps=30), 0.3).collect()
+    kept = mixing.calibrate(mixing.rake(cells, ["s", "l"], targets), 0.3).collect()
     assert sum(r["mix_n"] * r["mix_p"] for r in kept) == pytest.approx(300, rel=1e-6) and max(r["mix_p"] for r in kept) <= 1
     report = mixing.mixing_report(docs).collect()
     assert len(report) == len(rows) and all(0 <= r["keep_probability"] <= 1 for r in report)
@@ -380,3 +380,51 @@ def test_one_direction_at_many_scales(spark):
     for r in ann.nearest(table, table.filter("vec_id < 60"), shards=1).orderBy("query_id", "rank").collect():
         found.setdefault(r["query_id"], []).append(r["vec_id"])
     assert found == {i: [j for j in range(6) if j != i][:5] for i in range(60)}
+
+
+def test_ids_with_several_texts(spark):
+    """Rows are judged one by one: no text is lost with an id that is dropped for another text of it."""
+    data = [(1, "a"), (1, "b"), (2, "b"), (None, "b"), (None, "z"), (None, "Z")]
+    docs = spark.createDataFrame([(i, t, "x") for i, t in data], "doc_id bigint, text string, __id string")
+    assert sorted(map(tuple, exact_dedup.keep_one(docs).select("doc_id", "text").collect()), key=str) in ([(1, "a"), (2, "b"), (None, t)] for t in "zZ")
+    base, other = [f"w{i}" for i in range(60)], [f"v{i}" for i in range(60)]
+    near = " ".join([*base[:59], "end"])
+    rows = [(1, " ".join(base)), (3, near), (3, " ".join(other)), (4, " ".join([*other[:59], "end"])), (4, "alone"), (5, "ALONE")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    kept = sorted(map(tuple, minhash.keep_one(df).collect()))
+    assert kept == sorted([rows[0], rows[2], rows[4]])
+    got = {(r["doc_id"], r["component_id"]) for r in minhash.near_duplicates(df).collect()}
+    assert got == {(1, 1), (3, 1), (3, 3), (4, 3), (4, 4), (5, 4)}
+
+
+def test_self_similar_words_are_told_apart(spark):
+    """Two words of 1,024 letters that any polynomial modulo 2**64 joins."""
+    word = "a"
+    while len(word) < 1024:
+        word += "".join("b" if c == "a" else "a" for c in word)
+    rows = [(1, word), (2, "".join("b" if c == "a" else "a" for c in word))]
+    got = minhash.near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert {(r["doc_id"], r["component_id"], r["class_id"]) for r in got} == {(1, 1, 1), (2, 2, 2)}
+
+
+def test_mixing_beside_columns_of_its_own_names(docs, rows):
+    got = mixing.mix(docs.withColumn("mix_source", F.lit("x")).withColumn("row", F.lit(1)))
+    assert got.count() == len(rows) and got.columns.count("mix_p") == 1 and "`a.b`" not in got.columns and "a.b" in got.columns
+    assert {r["mix_source"] for r in got.select("mix_source").collect()} == {"s1", "s2", mixing.NONE}
+    kept = mixing.keep_mixed(docs.withColumn("row", F.lit(1)))
+    assert kept.columns == [*docs.columns, "row"] and {r["mix_p"] for r in kept.collect()} == {0.5}
+
+
+def test_raking_ends_at_its_residual(spark):
+    """One row of arrays and a table of cells give the same factors; targets that can't be met are told by mix_off."""
+    rng = random.Random(4)
+    cells = spark.createDataFrame([(f"s{i}", f"l{j}", rng.randrange(1, 500)) for i in range(9) for j in range(7) if rng.random() < 0.8], "s string, l string, mix_n long")
+    fits = [mixing.rake(cells, ["s", "l"], narrow=n).collect() for n in (1000, 0)]
+    assert all(f[0]["mix_off"] <= mixing.RESIDUAL for f in fits)
+    one, two = ({(r["s"], r["l"]): r["mix_g"] for r in f} for f in fits)
+    assert one.keys() == two.keys() and all(one[k] == pytest.approx(two[k], rel=1e-6) for k in one)
+    odd = spark.createDataFrame([("a", "x", 10), ("b", "y", 10)], "s string, l string, mix_n long")
+    share = lambda d, v: spark.createDataFrame(v, f"{d} string, share double")
+    for n in (1000, 0):
+        off = mixing.rake(odd, ["s", "l"], {"s": share("s", [("a", 0.9), ("b", 0.1)]), "l": share("l", [("x", 0.5), ("y", 0.5)])}, narrow=n).first()["mix_off"]
+        assert off == pytest.approx(0.4)
