@@ -6,6 +6,7 @@ n_violations, which must be 0."""
 from __future__ import annotations
 
 import math
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
@@ -163,7 +164,7 @@ def state_entries(spark, d):
 
 
 def _greedy(name, source, k, objective, tail, finish, **how):
-    oracle = select_with(source, sql.replay(k, objective, **{x: y for x, y in how.items() if x in ("gamma", "scale")}), tail)
+    oracle = select_with(source, sql.replay(k, objective, **{x: y for x, y in how.items() if x in ("gamma", "scale", "vertices")}).replace("q AS", how.get("before", "") + "q AS", 1), tail)
 
     @query(name, oracle)
     def run(spark, d):
@@ -206,37 +207,63 @@ def greedy_weighted_vertices(spark, d):
     return placements(ordered.greedy(shape.prepare(pins, weights=weights), PartitionSpec(8, weighted=True)))
 
 
-@query("greedy_con_parts", select_with(H1, "x AS (SELECT 1)", "SELECT vertex_id, seq FROM v"))
-def greedy_con_parts(spark, d):
-    """All parts placed once, in arrival order; greedy_audit_* judge the blocks."""
-    h = hypergraph(spark, d, H1)
-    return ordered.greedy(h, PartitionSpec(K)).filter(F.col("block").between(0, K - 1)).select("vertex_id", "seq")
+MAX_LOAD = "SELECT q.*, (SELECT max(c) FROM (SELECT count(*) AS c FROM a GROUP BY block)) AS max_load FROM (" + sql.quality("a") + ") q"
+
+
+def _with_max_load(h, decisions):
+    return quality(h, decisions).crossJoin(decisions.groupBy("block").agg(F.count("*").alias("c")).agg(F.max("c").alias("max_load")))
+
+
+for _objective in ("con", "cut"):
+    _greedy(f"greedy_{_objective}_parts", H1, K, _objective, ASSIGNED, lambda h, x: placements(x))
+    _greedy(f"greedy_{_objective}_quality", H1, K, _objective, sql.quality("a"), lambda h, x: quality(h, x))
+    _greedy(f"greedy_{_objective}_orders", "orders_by_part", 64, _objective, MAX_LOAD, _with_max_load)
+    _greedy(f"greedy_{_objective}_customers", "customers_by_part", 8, _objective, LOADED, _as_loads)
+    _greedy(f"greedy_{_objective}_clauses", "signed_clauses", 32, _objective, ASSIGNED, lambda h, x: placements(x))
+    _greedy(f"greedy_{_objective}_words", "docs_by_word", 8, _objective, MAX_LOAD, _with_max_load)
+    _greedy(f"greedy_{_objective}_dense_rows", "parts_by_supplier", K, _objective, sql.quality("a"), lambda h, x: quality(h, x))
 
 
-def _larger(name, source, place, finish):
-    """Results on instances that a recursive replay takes too long for: no SQL, tests walk them by brute force."""
+def _weighted(name, source, weights_sql, weights, k, nets_sql=None, net_weights=None):
+    """Vertices, or nets, that weigh a column of their tables."""
+    walk = sql.replay(k, vertices="vw", vertex_weight="c", weighted=True, **({"weight": "nw"} if nets_sql else {}), **({"pins": "pw"} if nets_sql else {}))
+    before = f"vw AS MATERIALIZED ({weights_sql}),\n" + (f"pw AS MATERIALIZED ({nets_sql}),\n" if nets_sql else "")
 
-    @query(name)
+    @query(name, select_with(source, before + walk, ASSIGNED))
     def run(spark, d):
-        h = hypergraph(spark, d, source)
-        return finish(h, place(h))
+        h = hypergraph(spark, d, source, weights=weights(spark, d) if weights else None, net_weights=net_weights(spark, d) if net_weights else None)
+        return placements(ordered.greedy(h, PartitionSpec(k, weighted=True)))
 
 
-for _objective in ("con", "cut"):
-    _larger("greedy_con_parts_placed" if _objective == "con" else "greedy_cut_parts", H1, lambda h, o=_objective: ordered.greedy(h, PartitionSpec(K, objective=o)), lambda h, x: placements(x))
-    _larger(f"greedy_{_objective}_quality", H1, lambda h, o=_objective: ordered.greedy(h, PartitionSpec(K, objective=o)), quality)
-_larger("greedy_con_customers", "customers_by_part", lambda h: ordered.greedy(h, PartitionSpec(8)), _as_loads)
-_larger("greedy_cut_clauses", "signed_clauses", lambda h: ordered.greedy(h, PartitionSpec(32, objective="cut")), _as_loads)
-_larger("minmax_parts", H1, lambda h: ordered.minmax_place(h, PartitionSpec(K)), lambda h, x: placements(x))
-_larger("minmax_customers", "customers_by_part", lambda h: ordered.minmax_place(h, PartitionSpec(8)), _as_loads)
-
-
-@query("greedy_weighted_parts")
-def greedy_weighted_parts(spark, d):
-    """Parts that weigh their size."""
-    sizes = read_table(spark, d, "part", "p_partkey", "p_size").select(F.col("p_partkey").alias("vertex_id"), F.col("p_size").cast("double").alias("weight"))
-    h = hypergraph(spark, d, "parts_by_customer", weights=sizes)
-    return placements(ordered.greedy(h, PartitionSpec(K, weighted=True)))
+_weighted("greedy_weighted_parts", "parts_by_customer", "SELECT vertex_id, seq, CAST(p_size AS BIGINT) AS c FROM v JOIN part ON p_partkey = vertex_id", lambda spark, d: read_table(spark, d, "part", "p_partkey", "p_size").select(F.col("p_partkey").alias("vertex_id"), F.col("p_size").cast("double").alias("weight")), K)
+_weighted("greedy_priced_orders", H1, "SELECT vertex_id, seq, 1 AS c FROM v", None, K, "SELECT p.*, floor(o_totalprice) AS nw FROM p JOIN orders ON o_orderkey = net_id", lambda spark, d: read_table(spark, d, "orders", "o_orderkey", "o_totalprice").select(F.col("o_orderkey").alias("net_id"), F.floor("o_totalprice").cast("double").alias("weight")))
+
+_SEEDS = range(5)
+
+
+@query("greedy_order_seeds", f"WITH RECURSIVE {sql.base('users_by_hour_type')},\n" + ",\n".join(f"v{i} AS MATERIALIZED (SELECT vertex_id, row_number() OVER (ORDER BY md5('{i}:' || vertex_id), vertex_id) - 1 AS seq FROM v),\n" + sql.replay(8, tag=f"r{i}", vertices=f"v{i}") for i in _SEEDS) + "\n" + " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS seed, cut_net, connectivity FROM ({sql.quality(f'ar{i}')})" for i in _SEEDS))
+def greedy_order_seeds(spark, d):
+    """Five random arrival orders of one instance."""
+    pins, rows = builders.users_by_hour_type(spark, d), []
+    for seed in _SEEDS:
+        h = shape.prepare(pins, order="random", seed=seed)
+        rows.append(quality(h, ordered.greedy(h, PartitionSpec(8))).select(F.lit(seed).alias("seed"), "cut_net", "connectivity"))
+    return _union(rows)
+
+
+@query("greedy_degree_order", select_with(H1, "vd AS MATERIALIZED (SELECT vertex_id, row_number() OVER (ORDER BY deg, vertex_id) - 1 AS seq FROM (SELECT vertex_id, count(*) AS deg FROM raw GROUP BY vertex_id)),\n" + sql.replay(K, vertices="vd"), ASSIGNED))
+def greedy_degree_order(spark, d):
+    """Arrival by number of nets."""
+    h = shape.prepare(builders.parts_by_order(spark, d), order="degree")
+    return placements(ordered.greedy(h, PartitionSpec(K)))
+
+
+@query("greedy_time_order", select_with("users_by_hour_type", "vt AS MATERIALIZED (SELECT user_id AS vertex_id, row_number() OVER (ORDER BY min(ts), user_id) - 1 AS seq FROM events GROUP BY user_id),\n" + sql.replay(8, vertices="vt"), ASSIGNED))
+def greedy_time_order(spark, d):
+    """Arrival by a user's first event."""
+    first = read_table(spark, d, "events", "user_id", "ts").groupBy(F.col("user_id").alias("vertex_id")).agg(F.min(F.col("ts").cast("timestamp")).alias("key"))
+    h = shape.prepare(builders.users_by_hour_type(spark, d), order="time", by=first)
+    return placements(ordered.greedy(h, PartitionSpec(8)))
 
 
 _GAMMAS = [(g, s) for g in (1.0, 1.5, 2.0) for s in (0.0, 1.0, 4.0)]
@@ -309,12 +336,28 @@ def queue_audit(spark, d):
     return audit.decision_audit(h, cut(ordered.greedy(h, spec, index="queue"), "decisions"), spec, cap, strength)
 
 
-@query("evaluation_counts", select_with(H1, "d AS (SELECT v.vertex_id, count(net_id) AS deg FROM v LEFT JOIN p USING (vertex_id) GROUP BY v.vertex_id)", "SELECT count(*) AS vertices, true AS within_degrees, true AS below_scan FROM d"))
+@query("evaluation_counts", select_with(H1, sql.replay(64), "SELECT count(*) AS vertices, CAST(sum(touched) AS BIGINT) AS touched, CAST(sum(evaluated) AS BIGINT) AS evaluated, count(*) * 64 AS scanned FROM a"))
 def evaluation_counts(spark, d):
-    """The split rule touches at most a vertex's degree and evaluates fewer scores than n * k."""
-    h = hypergraph(spark, d, H1)
-    work = ordered.greedy(h, PartitionSpec(64)).join(h.pins.groupBy("vertex_id").agg(F.count("*").alias("deg")), "vertex_id", "left")
-    return work.agg(F.count("*").alias("vertices"), (F.max(F.col("touched") - F.coalesce("deg", F.lit(0))) <= 0).alias("within_degrees"), (F.sum(F.col("touched") + 1) < F.count("*") * 64).alias("below_scan"))
+    """Scores that the split engine computes, as its kernel counts them, and that a scan of all blocks would."""
+    work = ordered.greedy(hypergraph(spark, d, H1), PartitionSpec(64))
+    return work.agg(F.count("*").alias("vertices"), F.sum("touched").alias("touched"), F.sum("evaluated").alias("evaluated"), (F.count("*") * 64).alias("scanned"))
+
+
+_WORK_KS = (8, 64, 512)
+
+
+@query("split_work_by_k", f"WITH RECURSIVE {sql.base('pages_by_link')},\n" + ",\n".join(sql.replay(k, tag=f"w{k}") for k in _WORK_KS) + "\n" + " UNION ALL ".join(f"SELECT CAST({k} AS INTEGER) AS k, CAST(sum(evaluated) AS BIGINT) AS evaluated, round(CAST(count(*) * {k} AS DOUBLE) / sum(evaluated), 6) AS ratio FROM aw{k}" for k in _WORK_KS))
+def split_work_by_k(spark, d):
+    """How many times the scan's work exceeds the split's, by k."""
+    h = hypergraph(spark, d, "pages_by_link")
+    rows = [ordered.greedy(h, PartitionSpec(k)).agg(F.lit(k).alias("k"), F.sum("evaluated").alias("evaluated"), F.round(F.count("*") * float(k) / F.sum("evaluated"), 6).alias("ratio")) for k in _WORK_KS]
+    return _union(rows)
+
+
+@query("scan_evaluations", select_with(H1, "x AS (SELECT 1)", f"SELECT count(*) * {K} AS evaluated FROM v"))
+def scan_evaluations(spark, d):
+    """The direct scan scores every block at every arrival."""
+    return ordered.greedy(hypergraph(spark, d, H1), PartitionSpec(K), "scan").agg(F.sum("evaluated").alias("evaluated"))
 
 
 def ladder_steps(bumps: DataFrame, k: int, every: int = 100, width: int = 50_000) -> DataFrame:
@@ -396,6 +439,22 @@ def copurchase_profile(spark, d):
     return builders.copurchase(builders.parts_by_order(spark, d)).agg(F.count("*").alias("edges"), F.sum("weight").alias("weight"))
 
 
+def _edge_graph(edges_sql: str) -> str:
+    return f"WITH RECURSIVE raw AS MATERIALIZED ({{raw}}), e AS MATERIALIZED ({edges_sql}), v AS MATERIALIZED (SELECT vertex_id, row_number() OVER (ORDER BY vertex_id) - 1 AS seq FROM (SELECT src AS vertex_id FROM e UNION SELECT dst FROM e)),\n"
+
+
+def _graph_of(name, source, k, engine):
+    @query(name, _edge_graph(sql.COPURCHASE).replace("{raw}", sql.PINS[source]) + sql.replay(k, graph=True, pins="e") + "\n" + ASSIGNED)
+    def run(spark, d):
+        edges = cut(builders.copurchase(builders.HYPERGRAPHS[source](spark, d)).withColumn("weight", F.lit(1.0)), "edges")
+        return placements(ordered.graph_greedy(edges, PartitionSpec(k), engine))
+
+
+_graph_of("graph_greedy_copurchase", H1, K, "split")
+_graph_of("graph_greedy_pages", "pages_by_link", 64, "split")
+_graph_of("graph_scan_pages", "pages_by_link", 64, "scan")
+
+
 EDGE_BLOCK = sql.hashed(8, "src || '-' || dst")
 
 
@@ -404,15 +463,10 @@ def edge_stream_hash(spark, d):
     return measures.edge_replication(controls.edge_hash(builders.copurchase(builders.parts_by_order(spark, d)), 8))
 
 
-@query("edge_stream_greedy", f"WITH e AS ({sql.KNN}) SELECT count(*) AS edges, true AS balanced, true AS below_hash FROM e")
+@query("edge_stream_greedy", f"WITH RECURSIVE e AS MATERIALIZED ({sql.KNN}),\n{sql.edge_replay(8)}\nSELECT src, dst, block FROM a")
 def edge_stream_greedy(spark, d):
-    """Edge-at-a-time greedy: every edge once, blocks within the bound, fewer copies of vertices than by hash."""
-    edges, spec = _knn(spark, d), PartitionSpec(8)
-    placed = cut(ordered.edge_greedy(edges, spec), "edge-greedy")
-    bound = spec.capacity(edges.count())
-    ok = placed.groupBy("block").agg(F.count("*").alias("c")).agg((F.max("c") <= bound).alias("balanced"))
-    mine, other = measures.edge_replication(placed).first()["value"], measures.edge_replication(controls.edge_hash(edges, 8)).first()["value"]
-    return placed.agg(F.count("*").alias("edges")).crossJoin(ok).withColumn("below_hash", F.lit(mine < other))
+    """Edge-at-a-time greedy: every edge's block."""
+    return ordered.edge_greedy(_knn(spark, d), PartitionSpec(8))
 
 
 @query("pages_sharing_link", f"WITH raw AS ({sql.PINS['pages_by_link']}), e AS ({sql.COPURCHASE}) SELECT src, dst, weight FROM e")
@@ -441,6 +495,25 @@ def _same(name, source, k, first, second):
         return audit.diff(ordered.minmax_place(h, spec, **first), ordered.minmax_place(h, spec, **second))
 
 
+def _baseline(name, source, k, rule, tail, finish, place, **how):
+    @query(name, select_with(source, sql.replay(k, rule=rule, **how), tail))
+    def run(spark, d):
+        h = hypergraph(spark, d, source)
+        return finish(h, place(h, PartitionSpec(k)))
+
+
+_placed, _measured = (lambda h, x: placements(x)), (lambda h, x: quality(h, x))
+_baseline("minmax_parts", H1, K, "minmax", ASSIGNED, _placed, ordered.minmax_place)
+_baseline("minmax_customers", "customers_by_part", 8, "minmax", LOADED, _as_loads, ordered.minmax_place)
+_baseline("minmax_docs", "docs_by_line", 8, "minmax", ASSIGNED, _placed, ordered.minmax_place)
+for _ell in (1, 2, 5):
+    _baseline("minmax_capped_parts" if _ell == 5 else f"minmax_capped_{_ell}", H1, K, "capped", ASSIGNED, _placed, lambda h, s, ell=_ell: ordered.minmax_place(h, s, "capped", ell=ell), ell=_ell)
+_baseline("minmax_capped_customers", "customers_by_part", 32, "capped", sql.quality("a"), _measured, lambda h, s: ordered.minmax_place(h, s, "capped"))
+_baseline("signature_suppliers", "suppliers_by_order", K, "signature", ASSIGNED, _placed, lambda h, s: ordered.minmax_place(h, s, "minhash"))
+_baseline("signature_parts", H1, K, "signature", ASSIGNED, _placed, lambda h, s: ordered.minmax_place(h, s, "minhash"))
+_baseline("multisection_parts", H1, 16, "sections", ASSIGNED, _placed, lambda h, s: ordered.multisection(h, s, 4), fanout=4)
+_baseline("multisection_pages", "pages_by_link", 64, "sections", sql.quality("a"), _measured, lambda h, s: ordered.multisection(h, s, 8), fanout=8)
+
 _same("minmax_index_diff", "customers_by_part", 16, {"index": "lists"}, {"index": "sets"})
 _same("minmax_capped_limit_diff", "customers_by_part", 16, {"index": "lists"}, {"index": "capped", "ell": 16})
 _same("minmax_bloom_diff", "users_by_hour_type", 8, {"index": "lists"}, {"index": "bloom", "bits": 1 << 24, "hashes": 4})
@@ -465,10 +538,50 @@ _balanced("multisection_balance", H1, 16, lambda h, s: ordered.multisection(h, s
 _balanced("rounds_balance", H1, K, lambda h, s: rounds.greedy(h, s, prefix=256, beta=1.0))
 
 
-@query("inmem_fast_placed", select_with("customers_by_part", "x AS (SELECT 1)", "SELECT count(*) AS vertices FROM v"))
-def inmem_fast_placed(spark, d):
-    h = hypergraph(spark, d, "customers_by_part")
-    return inmem.inmem_fast(h, PartitionSpec(8), 3).agg(F.count("*").alias("vertices"))
+for _iters in (1, 3):
+
+    @query("inmem_fast_placed" if _iters == 3 else "inmem_fast_one_round", select_with("customers_by_part", sql.spread(8, _iters), f"SELECT vertex_id, block FROM l{_iters}"))
+    def _spread(spark, d, iters=_iters):
+        return inmem.inmem_fast(hypergraph(spark, d, "customers_by_part"), PartitionSpec(8), iters, stop=0.0).select("vertex_id", "block")
+
+
+@query("inmem_fast_quality", select_with("docs_by_line", sql.spread(16, 5), sql.quality("l5")))
+def inmem_fast_quality(spark, d):
+    h = hypergraph(spark, d, "docs_by_line")
+    return quality(h, inmem.inmem_fast(h, PartitionSpec(16), 5, stop=0.0))
+
+
+_balanced("inmem_fast_balance", "docs_by_line", 16, inmem.inmem_fast)
+
+
+def _told(name, source, k, mode, objective="con"):
+    """What placements and moves told of the objective is what a count of the final assignment gives."""
+
+    @query(name, select_with(source, "x AS (SELECT 1)", CHECKED))
+    def run(spark, d):
+        h, spec = hypergraph(spark, d, source), PartitionSpec(k, objective=objective)
+        done = cut(ordered.buffered_place(h, spec, mode), "buffered")
+        value = (measures.connectivity if objective == "con" else measures.cut_net)(h.pins, done)
+        once = done.agg(F.count_distinct("vertex_id").alias("n_checked"), F.count("*").alias("rows"), F.max("told").alias("told")).crossJoin(value)
+        bad = (F.abs(F.col("told") - F.col("value")) > 1e-6).cast("long") + (F.col("rows") - F.col("n_checked"))
+        return once.select("n_checked", F.coalesce(bad, F.col("n_checked")).alias("n_violations"))
+
+
+_told("buffered_gain", H1, K, "strict")
+_told("buffered_gain_cut", "docs_by_line", 8, "strict", "cut")
+_told("buffered_gain_relaxed", H1, K, "relaxed")
+_told("buffered_gain_selective", "docs_by_line", 8, "relaxed_small")
+
+
+@query("multilevel_audit", select_with("docs_by_line", f"b AS (SELECT vertex_id, {sql.hashed(8)} AS block FROM v)", f"SELECT (SELECT count(*) FROM v) AS n_checked, CAST(0 AS BIGINT) AS n_violations, connectivity AS hashing FROM ({sql.quality('b')})"))
+def multilevel_audit(spark, d):
+    """The in-memory multilevel method: each vertex once, blocks within the bound, and less connectivity than the one-pass rule and hashing."""
+    h, spec = hypergraph(spark, d, "docs_by_line"), PartitionSpec(8)
+    mine = cut(ordered.inmem_multilevel(h, spec), "multilevel")
+    values = [measures.connectivity(h.pins, x).select(F.col("value").alias(n)) for n, x in (("mine", mine), ("greedy", placements(ordered.greedy(h, spec))), ("hashing", controls.hashing(h.vertices, 8)))]
+    rows = audit.balance_audit(h, mine, spec).crossJoin(values[0]).crossJoin(values[1]).crossJoin(values[2])
+    worse = F.when(F.col("mine") > F.least("greedy", "hashing"), 1).otherwise(0)
+    return rows.select("n_checked", (F.col("n_violations") + worse).alias("n_violations"), "hashing")
 
 
 @query("minhash_signatures", "WITH raw AS (" + sql.PINS["docs_by_line"] + ") SELECT vertex_id, i.range AS i, min(md5(i.range || ':' || net_id)) AS sig FROM raw, range(4) i GROUP BY ALL")
@@ -480,23 +593,23 @@ def minhash_signatures(spark, d):
     return lines.select("vertex_id", F.explode(F.array(*seeded)).alias("x")).groupBy("vertex_id", F.col("x.i").alias("i")).agg(F.min("x.h").alias("sig"))
 
 
-QUALITY_ORDER = ["docs_by_line", "pages_by_link"]
+# --- rounds lane -----------------------------------------------------------------------------------------------------------
 
 
-@query("method_ranking", "SELECT * FROM (VALUES ('docs_by_line', 'greedy_con', true), ('docs_by_line', 'multilevel', true), ('pages_by_link', 'greedy_con', true), ('pages_by_link', 'multilevel', true)) AS t(instance, algorithm, beats_hashing)")
-def method_ranking(spark, d):
-    """On structured inputs the one-pass rule and the multilevel method beat hashing in connectivity."""
-    rows = []
-    for name in QUALITY_ORDER:
-        h, spec = hypergraph(spark, d, name), PartitionSpec(8)
-        base = measures.connectivity(h.pins, controls.hashing(h.vertices, 8)).select(F.col("value").alias("base"))
-        for algorithm, assign in (("greedy_con", ordered.greedy(h, spec)), ("multilevel", ordered.inmem_multilevel(h, spec))):
-            mine = measures.connectivity(h.pins, placements(assign))
-            rows.append(mine.crossJoin(base).select(F.lit(name).alias("instance"), F.lit(algorithm).alias("algorithm"), (F.col("value") < F.col("base")).alias("beats_hashing")))
-    return _union(rows)
+def _fixed_batches(name, source, k, objective, size, most):
+    """Batches of one size; ``most`` of them at least cover the instance, further ones are empty."""
+    ends = [size * (i + 1) for i in range(most)]
 
+    @query(name, select_with(source, sql.rounds(k, ends, objective), "SELECT vertex_id, block FROM d"))
+    def run(spark, d):
+        h = hypergraph(spark, d, source)
+        return placements(rounds.greedy(h, PartitionSpec(k, objective=objective), batch=size))
 
-# --- rounds lane -----------------------------------------------------------------------------------------------------------
+
+_fixed_batches("rounds_con_pages", "pages_by_link", 8, "con", 60, 8)
+_fixed_batches("rounds_cut_pages", "pages_by_link", 8, "cut", 60, 8)
+_fixed_batches("rounds_con_customers", "customers_by_part", 8, "con", 400, 8)
+_fixed_batches("rounds_cut_suppliers", "suppliers_by_order", 4, "cut", 25, 8)
 
 
 @query("predecessor_arcs", select_with(H1, "q AS (SELECT net_id, vertex_id, lag(vertex_id) OVER (PARTITION BY net_id ORDER BY vertex_id) AS pred FROM p)", "SELECT vertex_id, pred, CAST(count(*) AS DOUBLE) AS weight FROM q WHERE pred IS NOT NULL GROUP BY ALL"))
@@ -699,13 +812,13 @@ def _control_runs(spark, d):
 
 
 @query("improvement", f"WITH {MEANS_SQL}\nSELECT m.instance, m.k, m.algorithm, round((b.a / nullif(m.a, 0) - 1) * 100, 6) AS improvement FROM means m JOIN means b ON b.instance = m.instance AND b.k = m.k AND b.algorithm = 'hashing'")
-def improvement(spark, d):
-    return report.improvement(control_runs(spark, d), "hashing").withColumn("improvement", F.round("improvement", 6))
+def improvement(spark, d, runs=control_runs):
+    return report.improvement(runs(spark, d), "hashing").withColumn("improvement", F.round("improvement", 6))
 
 
 @query("mean_geomean", f"WITH {MEANS_SQL}\nSELECT algorithm, round(exp(avg(ln(a)) FILTER (a > 0)), 4) AS geo_mean, count(*) FILTER (a = 0) AS n_zero FROM means GROUP BY algorithm")
-def mean_geomean(spark, d):
-    return report.summarise(control_runs(spark, d)).withColumn("geo_mean", F.round("geo_mean", 4))
+def mean_geomean(spark, d, runs=control_runs):
+    return report.summarise(runs(spark, d)).withColumn("geo_mean", F.round("geo_mean", 4))
 
 
 TAUS = (1.0, 1.01, 1.05, 1.5, 2.0, 4.0)
@@ -716,23 +829,23 @@ def _profile_of(taus):
 
 
 @query("profile_curve", _profile_of(TAUS))
-def profile_curve(spark, d):
-    return report.profile(control_runs(spark, d), "connectivity", list(TAUS))
+def profile_curve(spark, d, runs=control_runs):
+    return report.profile(runs(spark, d), "connectivity", list(TAUS))
 
 
 @query("profile_points", _profile_of((1.0, 2.0, 4.0)))
-def profile_points(spark, d):
-    return report.profile(control_runs(spark, d), "connectivity", [1.0, 2.0, 4.0])
+def profile_points(spark, d, runs=control_runs):
+    return report.profile(runs(spark, d), "connectivity", [1.0, 2.0, 4.0])
 
 
 @query("boxplot", f"WITH {RUNS_SQL}, q AS (SELECT algorithm, quantile_cont(connectivity, [0.25, 0.5, 0.75]) AS q FROM runs GROUP BY algorithm) SELECT algorithm, min(connectivity) AS lo, any_value(q.q[1]) AS q1, any_value(q.q[2]) AS median, any_value(q.q[3]) AS q3, max(connectivity) AS hi FROM runs JOIN q USING (algorithm) WHERE connectivity BETWEEN q.q[1] - 1.5 * (q.q[3] - q.q[1]) AND q.q[3] + 1.5 * (q.q[3] - q.q[1]) GROUP BY algorithm")
-def boxplot(spark, d):
-    return report.boxplot(control_runs(spark, d), "connectivity")
+def boxplot(spark, d, runs=control_runs):
+    return report.boxplot(runs(spark, d), "connectivity")
 
 
 @query("bars_by_k", f"WITH {MEANS_SQL}, g AS (SELECT k, algorithm, exp(avg(ln(a))) AS g FROM means WHERE a > 0 GROUP BY ALL) SELECT g.k, g.algorithm, round((b.g / g.g - 1) * 100, 4) AS improvement FROM g JOIN g b ON b.k = g.k AND b.algorithm = 'hashing'")
-def bars_by_k(spark, d):
-    return report.by_k(control_runs(spark, d), "hashing").withColumn("improvement", F.round("improvement", 4))
+def bars_by_k(spark, d, runs=control_runs):
+    return report.by_k(runs(spark, d), "hashing").withColumn("improvement", F.round("improvement", 4))
 
 
 @query("dominance", f"WITH {RUNS_SQL}, t AS (SELECT algorithm, sum(cut_net) AS c, sum(connectivity) AS q FROM runs WHERE seed = 0 GROUP BY algorithm) SELECT algorithm, EXISTS (SELECT 1 FROM t b WHERE b.c <= a.c AND b.q <= a.q AND (b.c < a.c OR b.q < a.q)) AS dominated FROM t a")
@@ -742,8 +855,8 @@ def dominance(spark, d):
 
 
 @query("rank_stability", f"WITH {RUNS_SQL}, m AS (SELECT k, algorithm, avg(connectivity) AS a FROM runs GROUP BY ALL), r AS (SELECT algorithm, rank() OVER (PARTITION BY k ORDER BY a) AS r FROM m) SELECT algorithm, count(DISTINCT r) AS ranks FROM r GROUP BY algorithm")
-def rank_stability(spark, d):
-    return report.rank_stability(control_runs(spark, d))
+def rank_stability(spark, d, runs=control_runs):
+    return report.rank_stability(runs(spark, d))
 
 
 @query("report_cube", f"WITH {RUNS_SQL}\nSELECT instance, k, algorithm, CAST(grouping_id(instance, k, algorithm) AS BIGINT) AS level, count(*) AS runs, sum(cut_net) AS cut_net FROM runs GROUP BY CUBE (instance, k, algorithm)")
@@ -766,6 +879,88 @@ def report_pivot(spark, d):
     return report.pivot(control_runs(spark, d), list(_PLACES))
 
 
+# --- the comparison of methods: runs of all deterministic one-pass methods, and the same reports over them -------------------------
+
+COMPARED, COMPARED_KS = ("parts_by_order", "customers_by_part", "docs_by_line", "pages_by_link", "signed_clauses"), (8, 32)
+METHODS = {
+    "hashing": (None, lambda h, spec: controls.hashing(h.vertices, spec.k)),
+    "greedy_con": ({"objective": "con"}, lambda h, spec: placements(ordered.greedy(h, spec))),
+    "greedy_cut": ({"objective": "cut"}, lambda h, spec: placements(ordered.greedy(h, replace(spec, objective="cut")))),
+    "minmax_lists": ({"rule": "minmax"}, lambda h, spec: placements(ordered.minmax_place(h, spec))),
+    "minmax_capped": ({"rule": "capped"}, lambda h, spec: placements(ordered.minmax_place(h, spec, "capped"))),
+}
+
+
+def _compared_sql() -> str:
+    tables, rows = [], []
+    for i, name in enumerate(COMPARED):
+        tables.append(sql.base(name, f"_{i}"))
+        for k in COMPARED_KS:
+            for j, (algorithm, (rule, _)) in enumerate(METHODS.items()):
+                tag = f"_{i}_{k}_{j}"
+                if rule is None:
+                    tables.append(f"a{tag} AS MATERIALIZED (SELECT vertex_id, {sql.hashed(k)} AS block FROM v_{i})")
+                else:
+                    tables.append(sql.replay(k, pins=f"p_{i}", vertices=f"v_{i}", tag=tag, **rule))
+                rows.append(f"SELECT '{name}' AS instance, {k} AS k, '{algorithm}' AS algorithm, 0 AS seed, cut_net, connectivity FROM ({sql.quality(f'a{tag}', f'p_{i}')})")
+    return ",\n".join(tables) + ",\nruns AS MATERIALIZED (" + "\nUNION ALL ".join(rows) + ")"
+
+
+COMPARED_SQL = _compared_sql()
+_compared: dict[tuple, DataFrame] = {}
+
+
+def method_runs(spark: SparkSession, d: str) -> DataFrame:
+    """instance, k, algorithm, seed, cut_net, connectivity of every method; one table per session and folder, read by all reports."""
+    key = (spark.sparkContext.applicationId, d)
+    if key not in _compared:
+        rows = []
+        for name in COMPARED:
+            h = hypergraph(spark, d, name)
+            for k in COMPARED_KS:
+                for algorithm, (_, place) in METHODS.items():
+                    rows.append(quality(h, place(h, PartitionSpec(k))).select(F.lit(name).alias("instance"), F.lit(k).alias("k"), F.lit(algorithm).alias("algorithm"), F.lit(0).alias("seed"), "cut_net", "connectivity"))
+        _compared[key] = cut(_union(rows), "method-runs")
+    return _compared[key]
+
+
+@query("method_runs", f"WITH RECURSIVE {COMPARED_SQL}\nSELECT instance, k, algorithm, seed, cut_net, connectivity FROM runs")
+def _method_runs(spark, d):
+    return method_runs(spark, d)
+
+
+for _name, _report in (("improvement", improvement), ("mean_geomean", mean_geomean), ("profile_curve", profile_curve), ("profile_points", profile_points), ("boxplot", boxplot), ("bars_by_k", bars_by_k), ("rank_stability", rank_stability)):
+
+    @query(f"method_{_name}", ORACLES[_name].replace(RUNS_SQL, COMPARED_SQL).replace("WITH ", "WITH RECURSIVE ", 1))
+    def _method_report(spark, d, made=_report):
+        return made(spark, d, method_runs)
+
+
+@query("method_cut_net", f"WITH RECURSIVE {COMPARED_SQL}, b AS (SELECT instance, k, cut_net AS base FROM runs WHERE algorithm = 'hashing') SELECT instance, k, algorithm, round((base / nullif(cut_net, 0) - 1) * 100, 6) AS improvement, CAST(rank() OVER (PARTITION BY instance, k ORDER BY cut_net) AS INTEGER) AS place FROM runs JOIN b USING (instance, k)")
+def method_cut_net(spark, d):
+    """Improvement over hashing and place by cut-net."""
+    runs = method_runs(spark, d)
+    better = report.improvement(runs, "hashing", "cut_net").withColumn("improvement", F.round("improvement", 6))
+    place = runs.select("instance", "k", "algorithm", F.rank().over(W.partitionBy("instance", "k").orderBy("cut_net")).alias("place"))
+    return better.join(place, ["instance", "k", "algorithm"])
+
+
+@query("method_best", f"WITH RECURSIVE {COMPARED_SQL}, b AS (SELECT *, min(cut_net) OVER w AS c, min(connectivity) OVER w AS l FROM runs WINDOW w AS (PARTITION BY instance, k)) SELECT algorithm, count(*) FILTER (cut_net = c) AS best_cut_net, count(*) FILTER (connectivity = l) AS best_connectivity, count(*) AS runs FROM b GROUP BY algorithm")
+def method_best(spark, d):
+    """In how many (instance, k) each method is best; ties count for all."""
+    w = W.partitionBy("instance", "k")
+    runs = method_runs(spark, d).withColumns({"c": F.min("cut_net").over(w), "l": F.min("connectivity").over(w)})
+    return runs.groupBy("algorithm").agg(F.count_if(F.col("cut_net") == F.col("c")).alias("best_cut_net"), F.count_if(F.col("connectivity") == F.col("l")).alias("best_connectivity"), F.count("*").alias("runs"))
+
+
+@query("rounds_staleness", f"WITH RECURSIVE {sql.base('pages_by_link')},\n{sql.replay(8)},\n{sql.rounds(8, [60 * (i + 1) for i in range(8)], tag='x')},\n{sql.rounds(8, [125 * (i + 1) for i in range(4)], tag='y')}\n" + " UNION ALL ".join(f"SELECT CAST({b} AS INTEGER) AS batch, cut_net, connectivity FROM ({sql.quality(t)})" for b, t in ((1, "a"), (60, "dx"), (125, "dy"))))
+def rounds_staleness(spark, d):
+    """What deciding against an older state costs: the sequential rule beside rounds of 60 and of 125 vertices."""
+    h, spec = hypergraph(spark, d, "pages_by_link"), PartitionSpec(8)
+    made = ((1, placements(ordered.greedy(h, spec))), (60, rounds.greedy(h, spec, batch=60)), (125, rounds.greedy(h, spec, batch=125)))
+    return _union([quality(h, a).select(F.lit(b).alias("batch"), "cut_net", "connectivity") for b, a in made])
+
+
 # --- comparisons, routing, samples ----------------------------------------------------------------------------------------------------
 
 
@@ -869,44 +1064,43 @@ def _replayed(spark, rows, spec, h, files: int = 3):
     return spark.read.schema(live.OUT).parquet(out)
 
 
-@query("live_dedup", "SELECT count(DISTINCT user_id) AS vertices, count(DISTINCT user_id) AS placements FROM events")
+USERS_PLACED = select_with("users_by_hour_type", sql.replay(4), ASSIGNED)
+
+
+@query("live_dedup", USERS_PLACED)
 def live_dedup(spark, d):
-    """Every vertex arrives twice, in different micro-batches, and is placed once."""
+    """Every vertex arrives twice, in different micro-batches, and is placed once, as it is by the batch lane."""
     h, rows = _user_stream(spark, d)
     n = h.stats()["n"]
-    placed = _replayed(spark, rows.union(rows.withColumn("seq", F.col("seq") + n)), PartitionSpec(4), h)
-    return placed.agg(F.count_distinct("vertex_id").alias("vertices"), F.count("*").alias("placements"))
+    return _replayed(spark, rows.union(rows.withColumn("seq", F.col("seq") + n)), PartitionSpec(4), h).select("vertex_id", "block")
 
 
-@query("live_unbounded_balance", "SELECT count(DISTINCT user_id) AS vertices, true AS even FROM events")
-def live_unbounded_balance(spark, d):
-    """No horizon: the bound grows with the arrivals, so loads stay within one of even at any time."""
+@query("live_unbounded", select_with("users_by_hour_type", sql.replay(4, growing=True), ASSIGNED))
+def live_unbounded(spark, d):
+    """No horizon: bound and strength grow with the arrivals."""
     _, rows = _user_stream(spark, d)
-    src, out, ckpt = (scratch_path(spark, x) for x in ("live-in", "live-out", "live-ckpt"))
-    rows.repartitionByRange(2, "seq").write.parquet(src)
+    src, out, ckpt = (scratch_path(spark, x, kept=True) for x in ("live-in", "live-out", "live-ckpt"))
+    for half in (0, 1):
+        rows.filter((F.col("seq") < 70) if half == 0 else (F.col("seq") >= 70)).coalesce(1).write.mode("append").parquet(src)
     stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(src)
     live.partition_stream(stream, PartitionSpec(4)).writeStream.format("parquet").option("checkpointLocation", ckpt).outputMode("append").trigger(availableNow=True).start(out).awaitTermination()
-    loads = spark.read.schema(live.OUT).parquet(out).groupBy("block").agg(F.count("*").alias("c"))
-    bound = PartitionSpec(4)
-    total = F.sum("c")
-    return loads.agg(total.alias("vertices"), (F.max("c") <= F.ceil(total * 1.03 / bound.k)).alias("even"))
+    return spark.read.schema(live.OUT).parquet(out).select("vertex_id", "block")
 
 
-@query("live_foreach_rounds", "SELECT count(*) AS events, count(DISTINCT event_type) AS types FROM events")
+@query("live_foreach_rounds", select_with("users_by_hour_type", sql.rounds(4, [50 * (i + 1) for i in range(8)]), "SELECT vertex_id, block FROM d"))
 def live_foreach_rounds(spark, d):
-    """The batch-by-batch lane: counts per hash block carried as versioned state; every event is placed once."""
-    events = read_table(spark, d, "events", "event_id", "event_type")
-    src, out, kept, ckpt = (scratch_path(spark, x) for x in ("each-in", "each-out", "each-state", "each-ckpt"))
-    events.repartition(3).write.parquet(src)
-
-    def place(batch, before):
-        placed = batch.select("event_id", "event_type", controls.hash_block(F.col("event_id"), 8).alias("block"))
-        loads = placed.groupBy("block").agg(F.count("*").alias("load"))
-        return placed, loads if before is None else loads.union(before.select("block", "load")).groupBy("block").agg(F.sum("load").alias("load"))
-
-    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(src)
-    stream.writeStream.foreachBatch(live.rounds_sink(place, kept, out)).option("checkpointLocation", ckpt).trigger(availableNow=True).start().awaitTermination()
-    return spark.read.parquet(out).agg(F.count_distinct("event_id").alias("events"), F.count_distinct("event_type").alias("types"))
+    """A round per micro-batch: votes from the net states that the batches before it left."""
+    h = hypergraph(spark, d, "users_by_hour_type")
+    spec = PartitionSpec(4)
+    capacity_, strength = ordered.limits(h, spec)
+    rows = shape.vertex_stream(h).select("seq", "vertex_id", "weight", F.col("nets.net_id").alias("nets"))
+    src, out, kept, ckpt = (scratch_path(spark, x, kept=True) for x in ("each-in", "each-out", "each-state", "each-ckpt"))
+    for first in range(0, h.stats()["n"], 50):
+        rows.filter((F.col("seq") >= first) & (F.col("seq") < first + 50)).coalesce(1).write.mode("append").parquet(src)
+    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(src)
+    each = live.rounds_sink(live.round_of(spec, capacity_, strength), kept, out)
+    stream.writeStream.foreachBatch(each).option("checkpointLocation", ckpt).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(out).select("vertex_id", "block")
 
 
 @query("live_replay_diff", "SELECT count(DISTINCT user_id) AS n_checked, CAST(0 AS BIGINT) AS n_violations FROM events")
@@ -933,19 +1127,27 @@ def sql_functions(spark, d):
     return spark.sql("SELECT p_partkey, hash_block(p_partkey, 8) AS block, load_penalty(CAST(p_size AS DOUBLE), CAST(0.5 AS DOUBLE)) AS penalty FROM pinflow_part")
 
 
-@query("many_hypergraphs", "WITH x AS (SELECT DISTINCT n_regionkey, c_custkey FROM customer JOIN nation ON n_nationkey = c_nationkey) SELECT CAST(n_regionkey AS BIGINT) AS graph, count(*) AS vertices FROM x GROUP BY 1")
+def _regions() -> str:
+    """Each region's hypergraph of customers by part, with bound and strength of its own."""
+    tables = ["x AS MATERIALIZED (SELECT DISTINCT n_regionkey AS r, c_custkey AS vertex_id FROM customer JOIN nation ON n_nationkey = c_nationkey)", f"raw AS MATERIALIZED ({sql.PINS['customers_by_part']})"]
+    for r in range(5):
+        tables.append(f"p{r} AS MATERIALIZED (SELECT net_id, vertex_id FROM (SELECT raw.*, count(*) OVER (PARTITION BY net_id) AS s FROM raw JOIN x USING (vertex_id) WHERE r = {r}) WHERE s >= 2), v{r} AS MATERIALIZED (SELECT vertex_id, row_number() OVER (ORDER BY vertex_id) - 1 AS seq FROM x WHERE r = {r})")
+        tables.append(sql.replay(4, pins=f"p{r}", vertices=f"v{r}", tag=f"g{r}"))
+    return "WITH RECURSIVE " + ",\n".join(tables) + "\n" + " UNION ALL ".join(f"SELECT CAST({r} AS BIGINT) AS graph, vertex_id, block FROM ag{r}" for r in range(5))
+
+
+@query("many_hypergraphs", _regions())
 def many_hypergraphs(spark, d):
-    """One hypergraph per region, customers by part, all placed side by side."""
+    """One hypergraph per region, customers by part, all placed side by side within bounds of their own."""
     customers = read_table(spark, d, "customer", "c_custkey", "c_nationkey").join(read_table(spark, d, "nation", "n_nationkey", "n_regionkey"), F.col("c_nationkey") == F.col("n_nationkey"))
-    nets = builders.customers_by_part(spark, d).groupBy("vertex_id").agg(F.collect_list(F.struct("net_id", F.lit(1.0).alias("weight"))).alias("nets"))
+    customers = customers.select(F.col("n_regionkey").alias("region"), F.col("c_custkey").alias("vertex_id")).distinct()
+    pins = builders.customers_by_part(spark, d).join(customers, "vertex_id")
+    shared = pins.groupBy("region", "net_id").agg(F.count("*").alias("s")).filter("s >= 2")
+    sizes = customers.groupBy("region").agg(F.count("*").alias("n")).join(shared.groupBy("region").agg(F.count("*").alias("m")), "region", "left").select("region", "n", F.coalesce("m", F.lit(0)).alias("m"))
+    nets = pins.join(shared, ["region", "net_id"]).groupBy("vertex_id").agg(F.collect_list(F.struct("net_id", F.lit(1.0).alias("weight"))).alias("nets"))
     empty = F.array().cast("array<struct<net_id:bigint,weight:double>>")
-    stream = customers.join(nets, F.col("c_custkey") == F.col("vertex_id"), "left").select(F.col("c_custkey").alias("seq"), F.col("c_custkey").alias("vertex_id"), F.lit(1.0).alias("weight"), F.coalesce("nets", empty).alias("nets"), F.col("n_regionkey").alias("region"))
-    spec, n = PartitionSpec(4), customers.count()
-    from .kernel.greedy import Greedy
-
-    cap, strength = spec.capacity(n), spec.strength(n, n)
-    placed = ordered.run_many(stream, "region", lambda: Greedy(spec, cap, strength))
-    return placed.groupBy(F.col("key").alias("graph")).agg(F.count("*").alias("vertices"))
+    stream = customers.join(nets, "vertex_id", "left").join(sizes, "region").select(F.col("vertex_id").alias("seq"), "vertex_id", F.lit(1.0).alias("weight"), F.coalesce("nets", empty).alias("nets"), "region", "n", "m")
+    return ordered.run_many(stream, "region", PartitionSpec(4)).select(F.col("key").alias("graph"), "vertex_id", "block")
 
 
 def expected_rounds(n: int, prefix: int, beta: float) -> int:

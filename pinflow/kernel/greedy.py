@@ -69,15 +69,15 @@ class Greedy:
             state = last.get(net)
             last[net] = block << 1 if state is None else block << 1 | (state & 1 or state >> 1 != block)
 
-    def place(self, c: float, nets) -> tuple[int, float, float, str, int]:
-        votes = self.votes(nets)
+    def place(self, c: float, nets) -> tuple[int, float, float, str, int, int]:
+        votes, before = self.votes(nets), self.evaluations
         block, affinity, score, source = self.choose(votes, c)
         if isinstance(self.index, LoadHeap):
             self.index.bump(block, c)
         else:
             self.index.bump(block)
         self.settle(nets, block)
-        return block, affinity, score, source, len(votes)
+        return block, affinity, score, source, len(votes), self.evaluations - before
 
 
 class GraphGreedy(Greedy):
@@ -94,7 +94,7 @@ class GraphGreedy(Greedy):
     def settle(self, nets, block: int) -> None:
         pass
 
-    def place_vertex(self, vertex: int, c: float, neighbours) -> tuple[int, float, float, str, int]:
+    def place_vertex(self, vertex: int, c: float, neighbours) -> tuple[int, float, float, str, int, int]:
         placed = self.place(c, neighbours)
         self.last[vertex] = placed[0]
         return placed
@@ -108,30 +108,31 @@ class MultiSection:
         self.load: dict[tuple[int, int], float] = {}  # (first leaf, leaves) -> load
         self.last: dict[int, int] = {}
 
-    def place(self, c: float, nets) -> tuple[int, float, float, str, int]:
+    def place(self, c: float, nets) -> tuple[int, float, float, str, int, int]:
         pulls: dict[int, float] = {}
         for net, weight in nets:
             state = self.last.get(net)
             if state is not None and not (self.spec.objective == "cut" and state & 1):
                 pulls[state >> 1] = pulls.get(state >> 1, 0.0) + weight
-        first, leaves, affinity, score = 0, self.spec.k, 0.0, 0.0
+        first, leaves, affinity, score, source = 0, self.spec.k, 0.0, 0.0, "section"
         while leaves > 1:
             parts = min(self.fanout, leaves)
             best = None
             for i in range(parts):
                 a, z = first + leaves * i // parts, first + leaves * (i + 1) // parts
                 load = self.load.get((a, z - a), 0.0)
-                if load + c > self.capacity * (z - a) and best is not None:
-                    continue
                 fits = load + c <= self.capacity * (z - a)
                 v = sum(w for b, w in pulls.items() if a <= b < z)
-                key = (fits, v - c * penalty(self.strength, self.spec.gamma, load / (z - a)), -load / (z - a), -a)
+                # Where no part has room, the one filled least takes the vertex.
+                key = (fits, v - c * penalty(self.strength, self.spec.gamma, load / (z - a)) if fits else 0.0, -load / (z - a), -a)
                 if best is None or key > best[0]:
                     best = (key, a, z - a, v)
             _, first, leaves, affinity = best
             score = best[0][1]
+            if not best[0][0]:
+                source = "overflow"
             self.load[first, leaves] = self.load.get((first, leaves), 0.0) + c
         for net, _ in nets:
             state = self.last.get(net)
             self.last[net] = first << 1 if state is None else first << 1 | (state & 1 or state >> 1 != first)
-        return first, affinity, score, "section", len(pulls)
+        return first, affinity, score, source, len(pulls), 0

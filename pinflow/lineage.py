@@ -8,27 +8,34 @@ import tempfile
 import time
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
 _made: list[tuple[SparkSession, str]] = []
 
 
-def scratch_path(spark: SparkSession, label: str) -> str:
-    """A fresh path below spark.checkpoint.dir; below a temporary folder only where that is unset."""
+def scratch_path(spark: SparkSession, label: str, kept: bool = False) -> str:
+    """A fresh path below spark.checkpoint.dir; below a temporary folder only where that is unset and all runs on one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        master = spark.conf.get("spark.master", "local")
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = getattr(spark, "_pinflow_scratch", None)
         if base is None:
             base = spark._pinflow_scratch = tempfile.mkdtemp(prefix="pinflow-")
-    return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    path = f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    if kept:  # until the session ends
+        _made.append((spark, path))
+    return path
 
 
-def cut(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends here, and lost executors lose nothing."""
+def cut(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
+    """Write ``df`` to the shared folder and read it back: lineage ends here, and lost executors lose nothing.
+
+    by: a column of few values; rows lie in a folder per value, and filters on it read only theirs."""
     spark = df.sparkSession
-    path = scratch_path(spark, label)
-    df.write.parquet(path)
-    _made.append((spark, path))
+    path = scratch_path(spark, label, kept=True)
+    (df.repartition(by, F.floor(F.rand(7) * 32)) if by else df).write.parquet(path, partitionBy=by)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -17,7 +17,7 @@ VERTICES = _table(vertex_id=LongType(), seq=LongType(), weight=DoubleType())
 VERTEX_STREAM = _table(seq=LongType(), vertex_id=LongType(), weight=DoubleType(), nets=ArrayType(NET_REF))
 EDGES = _table(src=LongType(), dst=LongType(), weight=DoubleType())
 ASSIGNMENT = _table(vertex_id=LongType(), block=IntegerType())
-DECISIONS = _table(seq=LongType(), vertex_id=LongType(), block=IntegerType(), affinity=DoubleType(), score=DoubleType(), source=StringType(), touched=IntegerType())
+DECISIONS = _table(seq=LongType(), vertex_id=LongType(), block=IntegerType(), affinity=DoubleType(), score=DoubleType(), source=StringType(), touched=IntegerType(), evaluated=IntegerType())
 NET_STATE = _table(net_id=LongType(), last_block=IntegerType(), is_cut=BooleanType(), last_seq=LongType())
 BLOCKS = _table(block=IntegerType(), load=DoubleType())
 RUNS = _table(instance=StringType(), k=IntegerType(), algorithm=StringType(), seed=IntegerType(), pins=LongType(), cut_net=DoubleType(), connectivity=DoubleType(), imbalance=DoubleType(), wall_ns=LongType())

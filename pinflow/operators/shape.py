@@ -34,13 +34,17 @@ def net_sizes(pins: DataFrame) -> DataFrame:
 
 
 def parallel_groups(pins: DataFrame) -> DataFrame:
-    """(net_id, keeper): nets with one pin set share the smallest id. Fingerprints find them, sorted pins confirm."""
+    """(net_id, keeper): nets with one pin set share the smallest id. Fingerprints find them, a join of pins confirms; no set is gathered."""
     prints = pins.groupBy("net_id").agg(F.count("*").alias("size"), F.expr("bit_xor(xxhash64(vertex_id))").alias("f1"), F.expr("bit_xor(xxhash64(vertex_id, 1))").alias("f2"))
     twins = prints.groupBy("size", "f1", "f2").agg(F.count("*").alias("nets")).filter("nets > 1")
-    suspects = prints.join(twins, ["size", "f1", "f2"]).select("net_id")
-    sets = pins.join(suspects, "net_id").groupBy("net_id").agg(F.sort_array(F.collect_list("vertex_id")).alias("set"))
-    keepers = sets.groupBy("set").agg(F.min("net_id").alias("keeper"), F.count("*").alias("n")).filter("n > 1")
-    return sets.join(keepers, "set").select("net_id", "keeper")
+    suspects = prints.join(twins, ["size", "f1", "f2"])
+    heads = suspects.groupBy("size", "f1", "f2").agg(F.min("net_id").alias("keeper"))
+    paired = suspects.join(heads, ["size", "f1", "f2"]).select("net_id", "size", "keeper")
+    # Pin by pin against the keeper's pins: a net is its twin if all of its pins are there, as their numbers are equal.
+    own = pins.join(paired, "net_id").select("net_id", "size", "keeper", "vertex_id")
+    kept = pins.join(heads.select(F.col("keeper").alias("net_id")), "net_id", "left_semi").select(F.col("net_id").alias("keeper"), "vertex_id")
+    same = own.join(kept, ["keeper", "vertex_id"]).groupBy("net_id", "keeper", "size").agg(F.count("*").alias("shared"))
+    return same.filter("shared = size").select("net_id", "keeper")
 
 
 def normalize(pins: DataFrame, parallel: str = "keep", min_pins: int = 2) -> tuple[DataFrame, DataFrame]:
@@ -86,17 +90,24 @@ def with_seq(vertices: DataFrame, order: str = "natural", seed: int = 0, by: str
     raise ValueError("order is 'natural', 'random', 'time' or 'degree'")
 
 
-def prepare(pins: DataFrame, order: str = "natural", parallel: str = "keep", weights: DataFrame | None = None, net_weights: DataFrame | None = None, seed: int = 0) -> Hypergraph:
-    """Normalised hypergraph whose vertices are all ids of pins, isolated ones too. weights (vertex_id, weight), net_weights (net_id, weight)."""
+def prepare(pins: DataFrame, order: str = "natural", parallel: str = "keep", weights: DataFrame | None = None, net_weights: DataFrame | None = None, seed: int = 0, by: DataFrame | None = None) -> Hypergraph:
+    """Normalised hypergraph whose vertices are all ids of pins, isolated ones too. weights (vertex_id, weight), net_weights (net_id, weight).
+
+    order 'time' goes by the column ``key`` of by (vertex_id, key), nulls first; 'degree' by the number of pins if by is not
+    given. Vertices without a weight weigh 0, nets without one weigh 1."""
     ids = pins.select("vertex_id").filter("vertex_id IS NOT NULL").distinct()
     if weights is None:
         vertices = ids.withColumn("weight", F.lit(1.0))
     else:
         vertices = ids.join(weights, "vertex_id", "left").select("vertex_id", F.coalesce(F.col("weight").cast("double"), F.lit(0.0)).alias("weight"))
-    vertices = with_seq(vertices, order, seed)
+    if order == "degree" and by is None:
+        by = pins.filter("net_id IS NOT NULL").distinct().groupBy("vertex_id").agg(F.count("*").alias("key"))
+    if by is not None:
+        vertices = vertices.join(by.select("vertex_id", F.col("key").alias("__by")), "vertex_id", "left")
+    vertices = with_seq(vertices, order, seed, None if by is None else "__by").drop("__by")
     pins, nets = normalize(pins, parallel)
     if net_weights is not None:
-        nets = nets.drop("weight").join(net_weights, "net_id").select("net_id", F.col("weight").cast("double").alias("weight"), "size")
+        nets = nets.drop("weight").join(net_weights, "net_id", "left").select("net_id", F.coalesce(F.col("weight").cast("double"), F.lit(1.0)).alias("weight"), "size")
     pins = cut(pins, "pins")
     return Hypergraph(pins, vertices, nets if parallel == "merge" or net_weights is not None else None)
 

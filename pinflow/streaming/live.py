@@ -1,63 +1,98 @@
 """Live lanes: vertices that arrive without end, placed once.
 
-The exact lane keeps one packed state per stream id; rows of a micro-batch are ordered by seq inside the group, as
-Spark promises no order there. The bound follows a horizon (expected vertices) or, without one, the arrivals so far.
-The other lane places each micro-batch with a function of (batch, state) and keeps state by batch id, so a retried
-batch starts from the same state."""
+The exact lane keeps its state by net and by vertex: a micro-batch reads and writes what its own vertices touch, and k
+loads. Rows of a micro-batch are ordered by seq inside the group, as Spark promises no order there. The bound follows a
+horizon (expected vertices) or, without one, the arrivals so far. ``ttl`` forgets vertices and nets that were not written for
+so long. Pins that come late, with a vertex already placed, are dropped or, with ``late='apply'``, give their nets its block.
+The other lane places each micro-batch in one round against the net states of the batches before it, kept by
+batch id, so a retried batch starts from the same state."""
 
 from __future__ import annotations
 
-import pickle
+import heapq
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
-from pyspark.sql.types import BinaryType, StructField, StructType
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StructField, StructType
 
 from ..kernel.greedy import Greedy
+from ..lineage import cut
 from ..params import PartitionSpec
+from ..plans.rounds import settle, wishes_of
 
 OUT = "stream_id bigint, seq bigint, vertex_id bigint, block int"
 PROVIDER = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
+def _long(name: str) -> StructType:
+    return StructType([StructField(name, LongType())])
+
+
 class _Placer(StatefulProcessor):
-    def __init__(self, spec: PartitionSpec, horizon: int | None, nets: int | None):
-        self.spec, self.horizon, self.nets = spec, horizon, nets
+    def __init__(self, spec: PartitionSpec, horizon: int | None, nets: int | None, late: str, ttl_ms: int | None):
+        self.spec, self.horizon, self.expected, self.late, self.ttl_ms = spec, horizon, nets, late, ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.state = handle.getValueState("packed", StructType([StructField("data", BinaryType())]))
+        self.nets = handle.getMapState("nets", _long("net_id"), _long("state"), self.ttl_ms)
+        self.placed = handle.getMapState("placed", _long("vertex_id"), StructType([StructField("block", IntegerType())]), self.ttl_ms)
+        self.totals = handle.getValueState("totals", StructType([StructField("loads", ArrayType(DoubleType())), StructField("arrived", LongType()), StructField("met", LongType())]))
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        engine, placed = pickle.loads(self.state.get()[0]) if self.state.exists() else (None, set())
-        if engine is None:
-            n = self.horizon or 1
-            engine = Greedy(self.spec, self.spec.capacity(n), self.spec.strength(n, self.nets or n))
-        batch = pd.concat(rows).sort_values("seq", kind="stable")
+        loads, arrived, met = self.totals.get() if self.totals.exists() else ([0.0] * self.spec.k, 0, 0)
+        n = self.horizon or 1
+        engine = Greedy(self.spec, self.spec.capacity(n), self.spec.strength(n, self.expected or n))
+        engine.index.load = list(loads)
+        engine.index.heap = [(x, b) for b, x in enumerate(loads)]
+        heapq.heapify(engine.index.heap)
+        looked: set[int] = set()
+        here: dict[int, int] = {}
         out = []
-        for seq, vertex, nets in zip(batch["seq"], batch["vertex_id"], batch["nets"]):
-            pairs = [(int(x), 1.0) for x in (nets if nets is not None else ())]
-            if vertex in placed:
-                continue  # a vertex is placed once
+        batch = pd.concat(rows).sort_values("seq", kind="stable")
+        for seq, vertex, own in zip(batch["seq"].tolist(), batch["vertex_id"].tolist(), batch["nets"]):
+            nets = [int(x) for x in (own if own is not None else ())]
+            for net in nets:
+                if net not in looked:
+                    looked.add(net)
+                    if self.nets.containsKey((net,)):
+                        engine.last[net] = self.nets.getValue((net,))[0]
+            block = here.get(vertex)
+            if block is None and self.placed.containsKey((vertex,)):
+                block = self.placed.getValue((vertex,))[0]
+            pairs = [(net, 1.0) for net in nets]
+            if block is not None:  # a vertex is placed once
+                if self.late == "apply":
+                    met += sum(net not in engine.last for net in nets)
+                    engine.settle(pairs, block)
+                continue
             if self.horizon is None:
-                n = len(placed) + 1
-                engine.capacity = self.spec.capacity(n)
-                engine.strength = self.spec.strength(n, max(1, len(engine.last)))
+                engine.capacity = self.spec.capacity(arrived + 1)
+                engine.strength = self.spec.strength(arrived + 1, max(1, met))
+            met += sum(net not in engine.last for net in nets)
             block = engine.place(1.0, pairs)[0]
-            placed.add(vertex)
+            here[vertex] = block
+            arrived += 1
             out.append((key[0], seq, vertex, block))
-        self.state.update((pickle.dumps((engine, placed)),))
+        for net in looked & engine.last.keys():
+            self.nets.updateValue((net,), (engine.last[net],))
+        for vertex, block in here.items():
+            self.placed.updateValue((vertex,), (block,))
+        self.totals.update(([float(x) for x in engine.index.load], arrived, met))
         yield pd.DataFrame(out, columns=["stream_id", "seq", "vertex_id", "block"])
 
     def close(self) -> None:
         pass
 
 
-def partition_stream(stream: DataFrame, spec: PartitionSpec, horizon: int | None = None, nets: int | None = None) -> DataFrame:
+def partition_stream(stream: DataFrame, spec: PartitionSpec, horizon: int | None = None, nets: int | None = None, late: str = "drop", ttl_ms: int | None = None) -> DataFrame:
     """stream: stream_id, seq, vertex_id, nets (array<bigint>); placements in append mode. Sets the RocksDB state store."""
+    if spec.tie == "ladder" or spec.weighted:
+        raise ValueError("the live lane breaks ties by block number and counts vertices")
+    if late not in ("drop", "apply"):
+        raise ValueError("late is 'drop' or 'apply'")
     stream.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", PROVIDER)
-    return stream.groupBy("stream_id").transformWithStateInPandas(_Placer(spec, horizon, nets), OUT, "append", "none")
+    return stream.groupBy("stream_id").transformWithStateInPandas(_Placer(spec, horizon, nets, late, ttl_ms), OUT, "append", "processingTime" if ttl_ms else "none")
 
 
 def deduplicated(stream: DataFrame, delay: str = "2 hours") -> DataFrame:
@@ -81,3 +116,38 @@ def rounds_sink(place, state_path: str, out_path: str):
         after.write.mode("overwrite").parquet(f"{state_path}/{batch_id}")
 
     return each
+
+
+STATE = "kind string, id bigint, block int, shut boolean, load double"
+
+
+def round_of(spec: PartitionSpec, capacity: int, strength: float):
+    """A place function for rounds_sink: one round per micro-batch (seq, vertex_id, weight, nets) against the state before it.
+
+    State: a row per net with its latest block and whether it is cut, and a row per block with its load."""
+
+    def place(batch: DataFrame, state: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+        batch = cut(batch, "micro-batch")
+        mine = batch.select("seq", "vertex_id", F.col("weight").cast("double").alias("c"))
+        pins = batch.select("seq", "vertex_id", F.explode("nets").alias("net_id"))
+        loads = [0.0] * spec.k
+        if state is None:
+            state = batch.sparkSession.createDataFrame([], STATE)
+        for row in state.filter("kind = 'block'").collect():  # k rows
+            loads[row["block"]] = row["load"]
+        nets = state.filter("kind = 'net'").select(F.col("id").alias("net_id"), F.col("block").alias("was"), "shut")
+        told = pins.join(nets, "net_id")
+        if spec.objective == "cut":
+            told = told.filter("NOT shut")
+        votes = told.groupBy("vertex_id", F.col("was").alias("block")).agg(F.count("*").cast("double").alias("votes"))
+        wishes = cut(wishes_of(mine, votes, loads, spec, capacity, strength), "wishes")
+        placed, loads, _ = settle(wishes, loads, spec, capacity)
+        placed = cut(placed, "placed")
+        met = pins.join(placed.select("seq", "block"), "seq").groupBy("net_id").agg(F.max(F.struct("seq", "block")).alias("x"), F.min("block").alias("lo"), F.max("block").alias("hi"))
+        both = nets.join(met, "net_id", "full")
+        moved = (F.col("lo") != F.col("hi")) | (F.coalesce("was", "lo") != F.col("lo"))
+        after = both.select(F.lit("net").alias("kind"), F.col("net_id").alias("id"), F.coalesce("x.block", "was").alias("block"), (F.coalesce("shut", F.lit(False)) | F.coalesce(moved, F.lit(False))).alias("shut"), F.lit(None).cast("double").alias("load"))
+        sums = batch.sparkSession.createDataFrame([("block", None, b, None, float(x)) for b, x in enumerate(loads)], STATE)
+        return placed, after.union(sums)
+
+    return place

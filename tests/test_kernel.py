@@ -113,9 +113,26 @@ def test_refinement_gains_are_exact(kind):
     blocks = list(start)
     multilevel.refine([1.0] * 80, nets, blocks, spec, spec.capacity(80) + 4)
     assert objective_of(nets, blocks, kind) < objective_of(nets, start, kind)
-    b = Buffered(spec, spec.capacity(80), 2, 40, "strict")
+
+
+@pytest.mark.parametrize("kind", ["con", "cut"])
+@pytest.mark.parametrize("mode", ["strict", "relaxed", "relaxed_small"])
+def test_buffered_tells_the_objective(kind, mode):
+    """The told objective is the final one, and lists forget blocks that hold a net no more."""
+    nets, _ = random_hypergraph(9)
+    spec = PartitionSpec(5, objective=kind)
+    b = Buffered(spec, spec.capacity(80), 2, 40, mode, max_degree=3)
     done = dict(x for v, own in enumerate(nets) for x in b.arrive(v, 1.0, own)) | dict(b.flush())
-    assert sorted(done) == list(range(80)) and b.gained >= 0
+    assert sorted(done) == list(range(80)) and b.cost == objective_of(nets, done, kind)
+    for net, own in b.base.index.blocks.items():
+        assert set(own) <= {done[v] for v, pins in enumerate(nets) if net in [e for e, _ in pins]}
+
+
+def test_sections_without_room_take_the_least_filled():
+    spec = PartitionSpec(4, "0", weighted=True)
+    g = MultiSection(spec, 3, 0.0, 2)
+    assert [g.place(2.0, [])[3] for _ in range(6)][-1] == "overflow"
+    assert {load for (_, leaves), load in g.load.items() if leaves == 1} == {2.0, 4.0}
 
 
 def test_multilevel_beats_round_robin_and_is_balanced():
