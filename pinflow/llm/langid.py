@@ -4,9 +4,11 @@ A fit counts words and character n-grams (n = 4 to 1, with word ends marked) per
 of labelled rows. A text is scored by its known words' log frequencies in each language; an unknown word
 takes the mean log frequency of its 4-grams, of its 3-grams where none of those is known, and so on.
 
-Bounds, all parameters: ``sample`` labelled rows (chosen by a hash of the id, whole texts), ``words`` and
-``grams`` most frequent entries of the model, which is all that is broadcast. Statistics of the model cover the
-sample; predictions cover every row.
+The one bound is a parameter: ``sample`` labelled rows (chosen by a hash of the id, whole texts). The model holds
+every word and n-gram of these, so its size, which is what is collected and broadcast, follows from the sample and not
+from the corpus. Predictions cover every row.
+
+Letters are what Unicode's general category L says; number characters and marks end a word.
 
 Defined results: null texts and texts without a letter are ``und`` with score 0; a text of unknown letters only
 gets the most frequent language with score 1 / languages; ties go to the language that sorts first; rows with a
@@ -37,7 +39,14 @@ def fold(id_col, folds: int):
 
 
 def words_of(text: str | None) -> list[str]:
-    return WORD.findall(text.lower()) if text else []
+    """Runs of letters. The pattern also takes number characters such as superscripts: words with these are split again."""
+    out = []
+    for word in WORD.findall(text.lower()) if text else ():
+        if word.isalpha():
+            out.append(word)
+        else:
+            out += "".join(c if c.isalpha() else " " for c in word).split()
+    return out
 
 
 def grams_of(word: str, n: int) -> list[str]:
@@ -72,8 +81,7 @@ def _count(batches):
     for batch in batches:
         for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
             for word, n in Counter(words_of(text)).items():
-                if len(word) <= 40:
-                    found[lang, word] += n
+                found[lang, word] += n
             if len(found) > 100_000:
                 yield from flush(found)
                 found = Counter()
@@ -142,13 +150,11 @@ class Model:
         return self.langs[best], float(odds[best] / odds.sum())
 
 
-def fit(docs: DataFrame, sample: int = 10_000, words: int = 50_000, grams: int = 30_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
+def fit(docs: DataFrame, sample: int = 3_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
     """Learn from the rows of docs with a language."""
     rows = sampled(docs.filter(F.col(lang_col).isNotNull()).select(id_col, text_col, lang_col), id_col, sample).select(text_col, lang_col)
-    counted = rows.mapInArrow(trimmed(_count), "kind int, gram string, lang string, n bigint").groupBy("kind", "gram").agg(F.collect_list(F.struct("lang", "n")).alias("by"), F.sum("n").alias("all"))
-    tops = [counted.filter(c).orderBy(F.desc("all"), "kind", "gram").limit(n) for c, n in (("kind = 0", words), ("kind > 0", grams))]
-    flat = tops[0].union(tops[1]).select("kind", "gram", F.explode("by").alias("e")).select("kind", "gram", F.col("e.lang").alias("lang"), F.col("e.n").alias("n"))
-    table = flat.groupBy("kind", "gram", "lang").agg(F.sum("n").alias("n")).orderBy("kind", "gram", "lang").toArrow()  # bounded by words + grams, times languages
+    counted = rows.mapInArrow(trimmed(_count), "kind int, gram string, lang string, n bigint").groupBy("kind", "gram", "lang").agg(F.sum("n").alias("n"))
+    table = counted.orderBy("kind", "gram", "lang").toArrow()  # the words and n-grams of the sample
     kept = list(zip(*(table.column(c).to_pylist() for c in ("kind", "gram", "lang", "n"))))
     totals: Counter = Counter()
     for kind, _, lang, n in kept:

@@ -6,8 +6,8 @@ shuffle and streams it out. The concatenation of the shuffled buckets is one ran
 records; cutting it at even row positions gives shards whose counts differ by one at most (law ``rows``).
 
 Defined results: null texts have size 16 (no bytes); nulls hash like values; repeated rows are dealt like
-any other (identical records share a bucket, which only has to fit if one record fills it); an empty table
-gives an empty result; further columns ride along unchanged, except that the operator's own shard and slot
+any other (records alike in id and text that are more than a bucket's share are spread over several, and docs is
+written once more for that); an empty table gives an empty result; further columns ride along unchanged, except that the operator's own shard and slot
 replace columns of these names.
 """
 
@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
-from .common import numbered, require_columns, shuffle_width, trimmed
+from .common import cut, numbered, require_columns, shuffle_width, trimmed
 
 RECORD_OVERHEAD = 16
 
@@ -46,6 +46,18 @@ def external_shuffle(docs: DataFrame, shards: int = 40, seed: int = 11, bucket_b
     key = F.xxhash64(F.lit(seed), F.col(id_col), F.xxhash64(F.col(text_col)))
     size = docs.agg(F.coalesce(F.sum(record_size(F.col(text_col))), F.lit(0)).alias("b")).first()["b"]  # one row
     buckets = max(2 * shuffle_width(spark), -(-int(size) // bucket_bytes))
+    marker = "__salt" + "_" * max(map(len, names))  # longer than any name of docs
+    share = max(1000, -(-docs.count() // buckets))
+    # A record that repeats more often than a bucket has rows: fewer such than buckets, so they can be broadcast.
+    often = docs.groupBy(key.alias("__key")).agg(F.count("*").alias("__n")).filter(F.col("__n") > share)
+    often = often.select("__key", F.ceil(F.col("__n") / share).cast("int").alias("__spread"))
+    if not often.isEmpty():
+        width = len(docs.columns)
+        salted = docs.withColumn("__key", key).join(F.broadcast(often), "__key", "left")
+        salt = F.pmod(F.monotonically_increasing_id(), F.coalesce("__spread", F.lit(1)))
+        docs = cut(salted.withColumn("__salt", salt).select(*docs.columns, "__salt"), "salted")  # the salts hold from here on
+        docs, key = docs.withColumnRenamed("__salt", f"c{width}"), F.xxhash64(F.lit(seed), F.col(id_col), F.xxhash64(F.col(text_col)), F.col(f"c{width}"))
+        names = [*names, marker]
     bucket = F.pmod(key, F.lit(buckets)).cast("int")
     # One pair per bucket, so the number is bounded by bytes / bucket_bytes: 100 TB make 3 million, 24 MB of offsets.
     counts = {r["b"]: r["n"] for r in docs.groupBy(bucket.alias("b")).agg(F.count("*").alias("n")).toLocalIterator()}
@@ -90,6 +102,7 @@ def external_shuffle(docs: DataFrame, shards: int = 40, seed: int = 11, bucket_b
         .sortWithinPartitions("__bucket", id_col, F.xxhash64(F.col(text_col)))
         .mapInArrow(trimmed(shuffle_buckets), out)
         .toDF(*names, "shard", "slot")
+        .drop(marker)
     )
 
 

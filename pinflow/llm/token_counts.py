@@ -5,6 +5,8 @@ Blocks are scanned on their own, each with one vectorised search for the separat
 file's blocks carries the number of separators and the place of the latest one across the block boundaries,
 which is all that a document cut by boundaries needs.
 
+Ids of the separator or above are an error: they would be cut to 16 bits or taken for a document's end.
+
 Defined results: null and empty texts are documents of 0 tokens; a document may span any number of blocks; a tail
 without a separator is a document with closed = false; repeated rows are counted like any other; empty tables
 and files give no rows; further columns are not read.
@@ -29,6 +31,8 @@ def token_files(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: st
 
     One file per input partition; the names only serve to give counts back to ids, the scan doesn't use them."""
     require_columns(docs, id_col, text_col)
+    if not 0 <= separator < 1 << 16:
+        raise ValueError("the separator must fit 16 bits")
 
     def run(batches):
         tool, file_id = codec(path), TaskContext.get().partitionId()
@@ -49,6 +53,8 @@ def token_files(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: st
             texts = [t or "" for t in batch.column(1).to_pylist()]
             for a, z in text_chunks(texts):
                 for ids in tool.encode(texts[a:z]):
+                    if len(ids) and int(ids.max()) >= separator:
+                        raise ValueError(f"id {int(ids.max())} is not below the separator {separator}")
                     held += [ids.astype("<u2"), end]
                     size += len(ids) + 1
                 if size >= 16 * block:

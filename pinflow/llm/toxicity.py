@@ -1,14 +1,16 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-Each word is read as a symbol: insult (with a weight), threat, target, negation, reporting verb, clause end or
-plain. Three small context transducers, negation, reported speech and target, rewrite the weight of an insult
-or threat that follows them; their product is composed once into a single machine that runs over the clauses
-that hold an insult or a threat at all. A text's features are sums over its matched clauses, so a bare word in
+Each word is read as a symbol: insult (with a weight), threat, intent, target, negation, reporting verb, clause end
+or plain. Five transducers run over the symbols of a clause. The *insult* transducer passes an insult's weight on,
+and more of it for further insults of the clause; the *threat* transducer passes a threat's weight on if an
+intent opened it, and little otherwise; the *target*, *negation* and *reported speech* transducers rewrite what
+is passed on within their scope. Their product is composed once into a single machine, which runs over the clauses that
+hold an insult or a threat at all. A text's features are sums over its matched clauses, so a bare word in
 a negated or quoted clause counts for less than the same word aimed at somebody.
 
 Insults come from a short fixed list and from words and word stems that labelled rows set apart; the weights
 of the features are a logistic fit. Both learn from a bounded sample (``sample`` labelled rows, a hash of the id
-chooses; ``lexicon`` entries at most), on different folds of it, and that is all that is broadcast.
+chooses), on different folds of it; the lexicon holds whatever of the sample passes, and is all that is broadcast.
 
 Defined results: null and empty texts score what the fit gives a text without matches; rows that repeat an id in
 the labels count once, toxic if any says so; null labels are not learned from; without labels of both kinds the
@@ -29,11 +31,12 @@ from .common import require_columns
 from .langid import fold
 
 TOKEN = re.compile(r"[^\W\d_]+|[.!?;\n]")
-PLAIN, INSULT, THREAT, TARGET, NEGATION, REPORT, END = range(7)
+PLAIN, INSULT, THREAT, INTENT, TARGET, NEGATION, REPORT, END = range(8)
 
 # Seeds of the grammar's word classes.
 INSULTS = "idiot moron stupid trash scum loser worthless pathetic disgusting clown imbecile dumb idiota estúpido basura imbécil dummkopf abschaum idiote stupide ordure".split()
 THREATS = "kill hurt destroy beat burn töten vernichten tuer brûler matar quemar".split()
+INTENTS = "will shall going gonna must should werde werden wird vais va vamos voy".split()
 TARGETS = "you your they them these people he she du ihr sie euch tu vous ils usted ustedes ellos".split()
 NEGATIONS = "not never no nor isn aren nicht kein keine nie pas jamais ne nunca jamás".split()
 REPORTS = "said says called wrote quoted claimed sagte schrieb dit écrit dijo escribió".split()
@@ -43,24 +46,31 @@ FEATURES = 6
 
 
 class Transducer:
-    """States 0..n-1 from 0; step(state, symbol) -> state; factor(state) weighs what is matched in that state."""
+    """States 0..n-1 from 0; step(state, symbol) -> state; passes(state, symbol): what becomes of a weight read in that state."""
 
-    def __init__(self, states: int, step, factor):
-        self.states, self.step, self.factor = states, step, factor
+    def __init__(self, states: int, step, passes):
+        self.states, self.step, self.passes = states, step, passes
 
 
-def _decay(trigger: int, reach: int):
+def _scope(trigger: int, reach: int):
     """A scope opened by ``trigger`` that lasts ``reach`` further words and ends with the clause."""
     return lambda s, x: reach if x == trigger else 0 if x == END else max(0, s - 1)
 
 
-NEGATED = Transducer(4, _decay(NEGATION, 3), lambda s: 0.3 if s else 1.0)
-REPORTED = Transducer(2, lambda s, x: 1 if x == REPORT else 0 if x == END else s, lambda s: 0.5 if s else 1.0)
-AIMED = Transducer(5, _decay(TARGET, 4), lambda s: 1.5 if s else 1.0)
+def _within(factor: float, outside: float = 1.0, only: int | None = None):
+    """``factor`` inside a scope, ``outside`` elsewhere, for the symbol ``only`` or for both kinds of matches."""
+    return lambda s, x: 1.0 if only is not None and x != only else factor if s else outside
 
 
-def compose(*parts: Transducer) -> tuple[list[list[int]], list[float]]:
-    """Product machine as tables: next state by (state, symbol), factor by state. Only reachable states are made."""
+INSULTING = Transducer(3, lambda s, x: 0 if x == END else min(2, s + (x == INSULT)), lambda s, x: 1.0 + 0.25 * s if x == INSULT else 1.0)
+THREATENING = Transducer(6, _scope(INTENT, 5), _within(1.0, 0.2, THREAT))
+AIMED = Transducer(5, _scope(TARGET, 4), _within(1.5))
+NEGATED = Transducer(4, _scope(NEGATION, 3), _within(0.3))
+REPORTED = Transducer(2, lambda s, x: 1 if x == REPORT else 0 if x == END else s, _within(0.5))
+
+
+def compose(*parts: Transducer) -> tuple[list[list[int]], list[list[float]]]:
+    """Product machine as tables: next state and factor, both by (state, symbol). Only reachable states are made."""
     found, queue = {(0,) * len(parts): 0}, [(0,) * len(parts)]
     table: list[list[int]] = []
     for state in queue:
@@ -72,7 +82,7 @@ def compose(*parts: Transducer) -> tuple[list[list[int]], list[float]]:
                 queue.append(to)
             row.append(found[to])
         table.append(row)
-    return table, [math.prod(p.factor(s) for p, s in zip(parts, state)) for state in queue]
+    return table, [[math.prod(p.passes(s, x) for p, s in zip(parts, state)) for x in range(END + 1)] for state in queue]
 
 
 class Grammar:
@@ -80,10 +90,10 @@ class Grammar:
 
     def __init__(self, words: dict[str, float], stems: dict[str, float], cache: int = 200_000):
         self.words, self.stems, self.limit = words, stems, cache
-        self.table, self.factor = compose(NEGATED, REPORTED, AIMED)
+        self.table, self.factor = compose(INSULTING, THREATENING, AIMED, NEGATED, REPORTED)
         self.coefficients = np.array([-3.0, 0.0, 1.2, 1.0, 0.8, 0.5, 0.0])
         self.fixed = {"\n": (END, 0.0)} | {c: (END, 0.0) for c in ".!?;"}
-        for cls, names in ((THREAT, THREATS), (TARGET, TARGETS), (NEGATION, NEGATIONS), (REPORT, REPORTS)):
+        for cls, names in ((THREAT, THREATS), (INTENT, INTENTS), (TARGET, TARGETS), (NEGATION, NEGATIONS), (REPORT, REPORTS)):
             self.fixed |= {w: (cls, 1.0) for w in names}
         self.read = dict(self.fixed)
 
@@ -116,10 +126,10 @@ class Grammar:
             while at < len(read) and read[at][0] != END:
                 x, weight = read[at]
                 if x == INSULT or x == THREAT:
-                    got = weight * self.factor[state] * (1.0 if x == INSULT else 0.2)
-                    clause += got
+                    factor = self.factor[state][x]
+                    clause += weight * factor
                     strong += weight >= 4
-                    aimed += self.factor[state] > 1
+                    aimed += factor > 1
                 state = self.table[state][x]
                 at += 1
             matched += 1
@@ -137,9 +147,8 @@ def lexical(text: str | None) -> set[str]:
     """Distinct words (``word$``) and stems (``^stem``) of a text."""
     out = set()
     for w in set(re.findall(r"[^\W\d_]+", text.lower())) if text else ():
-        if len(w) <= 40:
-            out.add(w + "$")
-            out.update("^" + w[:n] for n in STEMS if len(w) > n)
+        out.add(w + "$")
+        out.update("^" + w[:n] for n in STEMS if len(w) > n)
     return out
 
 
@@ -178,7 +187,7 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, rounds: int = 25)
     return b
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, lexicon: int = 4_000, support: int = 4, id_col: str = "doc_id", text_col: str = "text") -> Grammar:
+def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, support: int = 4, least_odds: float = 2.5, id_col: str = "doc_id", text_col: str = "text") -> Grammar:
     known = labels.filter(F.col("toxic").isNotNull() & F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max("toxic").alias("toxic"))
     n = known.count()
     if n > sample:
@@ -189,7 +198,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, lexicon: int =
     sizes = rows.filter("part > 0").agg(F.coalesce(F.sum(F.col("toxic").cast("int")), F.lit(0)).alias("bad"), F.count("*").alias("all")).first()
     bad, good = sizes["bad"], sizes["all"] - sizes["bad"]
     odds = F.log((F.col("bad") + 0.5) / (F.lit(bad + 1.0) - F.col("bad"))) - F.log((F.col("good") + 0.5) / (F.lit(good + 1.0) - F.col("good")))
-    found = tally.filter(F.col("bad") >= support).withColumn("odds", odds).filter("odds >= 2.5").orderBy(F.desc("odds"), "entry").limit(lexicon).collect()  # bounded by lexicon
+    found = tally.filter(F.col("bad") >= support).withColumn("odds", odds).filter(F.col("odds") >= least_odds).collect()  # words of the sample
     words, stems = {w: 5.0 for w in INSULTS}, {}
     for r in found:
         if r["entry"][0] == "^":

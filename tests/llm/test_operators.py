@@ -170,7 +170,7 @@ def test_vantage_trees(spark):
     v += [(600 + i, v[3][1]) for i in range(40)] + [(700, None), (701, [0.0] * 8), (702, [math.nan] * 8), (703, [1.0, None] * 4), (704, [math.inf] * 8), (750, [1.0, 2.0]), (751, [2.0, 4.1])]
     df = spark.createDataFrame(v, "vec_id bigint, embedding array<double>").repartition(3)
     got = {}
-    for r in ann.nearest(df, df.filter("vec_id % 50 = 0"), shards=3).orderBy("query_id", "rank").collect():
+    for r in ann.nearest(df, df.filter("vec_id % 50 = 0"), shard_rows=100).orderBy("query_id", "rank").collect():
         got.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
     fine = [(i, np.array(x, dtype=float)) for i, x in v if x and all(y is not None and math.isfinite(y) for y in x) and any(x)]
     for q, x in fine:
@@ -271,6 +271,9 @@ def test_language(spark, docs, rows, empty):
     model = langid.fit(df)
     assert model.predict("wassers schönes")[0] == "de" and model.predict("")[0] == model.predict(None)[0] == model.predict("12 !?")[0] == "und"
     assert model.predict("中")[1] == pytest.approx(1 / 3)
+    for text in ("²½ Ⅷ", "①②", "_ 3", "\u0301", "٣"):
+        assert model.predict(text) == ("und", 0.0)
+    assert langid.words_of("ab²cd Ⅷx") == ["ab", "cd", "x"] and langid.words_of("x" * 300) == ["x" * 300]
     assert langid.language_report(docs).count() == len(rows)
     assert langid.language_report(empty).count() == 0
     kept = langid.keep_identified(docs)
@@ -311,12 +314,40 @@ def test_toxicity_held_out(spark, sf):
 
 
 def test_transducers_compose():
-    table, factor = toxicity.compose(toxicity.NEGATED, toxicity.REPORTED, toxicity.AIMED)
+    table, factor = toxicity.compose(toxicity.INSULTING, toxicity.THREATENING, toxicity.AIMED, toxicity.NEGATED, toxicity.REPORTED)
     state = 0
     for x in (toxicity.TARGET, toxicity.NEGATION, toxicity.PLAIN):
         state = table[state][x]
-    assert factor[state] == pytest.approx(0.3 * 1.5)
-    assert factor[table[state][toxicity.END]] == 1.0
+    assert factor[state][toxicity.INSULT] == pytest.approx(0.3 * 1.5)
+    assert factor[table[state][toxicity.INSULT]][toxicity.INSULT] == pytest.approx(1.25 * 0.3 * 1.5)
+    calm, armed = table[state][toxicity.END], table[0][toxicity.INTENT]
+    assert factor[calm][toxicity.INSULT] == 1.0 and factor[calm][toxicity.THREAT] == pytest.approx(0.2) and factor[armed][toxicity.THREAT] == 1.0
+    assert factor[table[armed][toxicity.TARGET]][toxicity.THREAT] == 1.5 and factor[table[armed][toxicity.REPORT]][toxicity.THREAT] == 0.5
+
+
+def test_grammar_is_the_transducers_run_one_by_one():
+    """Scores of matched clauses by the composed machine and by stepping each transducer on its own."""
+    rng = random.Random(12)
+    parts = [toxicity.INSULTING, toxicity.THREATENING, toxicity.AIMED, toxicity.NEGATED, toxicity.REPORTED]
+    grammar = toxicity.Grammar({"grob": 3.0}, {})
+    pool = ["idiot", "grob", "kill", "will", "you", "not", "said", "word", "other", ".", "!"]
+    for _ in range(200):
+        tokens = [rng.choice(pool) for _ in range(rng.randrange(30))]
+        total = top = clause = matched = 0.0
+        states, hit = [0] * len(parts), False
+        for t in [*tokens, "."]:
+            x, weight = grammar.symbol(t)
+            if x in (toxicity.INSULT, toxicity.THREAT):
+                hit = True
+                for p, s in zip(parts, states):
+                    weight *= p.passes(s, x)
+                clause += weight
+            states = [p.step(s, x) for p, s in zip(parts, states)]
+            if x == toxicity.END:
+                total, top, matched = total + clause, max(top, clause), matched + hit
+                clause, hit = 0.0, False
+        got = grammar.features(" ".join(tokens))
+        assert got[0] == pytest.approx(math.log1p(total)) and got[1] == pytest.approx(min(top, 12.0)) and got[3] == pytest.approx(math.log1p(matched))
 
 
 def test_mixing(spark, docs, rows, empty):
@@ -377,7 +408,7 @@ def test_one_direction_at_many_scales(spark):
     rows = [(i, [x * 2.0 ** ((i * 7) % 60 - 30) for x in (0.3, -0.4, 0.5)]) for i in range(60)] + [(100 + i, [1.0, float(i), 0.0]) for i in range(20)]
     table = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
     found = {}
-    for r in ann.nearest(table, table.filter("vec_id < 60"), shards=1).orderBy("query_id", "rank").collect():
+    for r in ann.nearest(table, table.filter("vec_id < 60")).orderBy("query_id", "rank").collect():
         found.setdefault(r["query_id"], []).append(r["vec_id"])
     assert found == {i: [j for j in range(6) if j != i][:5] for i in range(60)}
 
@@ -428,3 +459,80 @@ def test_raking_ends_at_its_residual(spark):
     for n in (1000, 0):
         off = mixing.rake(odd, ["s", "l"], {"s": share("s", [("a", 0.9), ("b", 0.1)]), "l": share("l", [("x", 0.5), ("y", 0.5)])}, narrow=n).first()["mix_off"]
         assert off == pytest.approx(0.4)
+
+
+@pytest.mark.parametrize("shard_rows", [7, 100_000])
+def test_many_equal_distances(spark, shard_rows):
+    """One-hot vectors are all equally far, collinear ones all equally near: ids decide, whatever the tree keeps."""
+    hot = [(i, [1.0 if j == i else 0.0 for j in range(64)]) for i in range(64)]
+    table = spark.createDataFrame(hot, "vec_id bigint, embedding array<double>").repartition(3)
+    got = {(r["query_id"], r["rank"]): r["vec_id"] for r in ann.nearest(table, table, shard_rows=shard_rows).collect()}
+    assert got == {(i, n + 1): j for i in range(64) for n, j in enumerate([x for x in range(6) if x != i][:5])}
+    line = [(i, [2.0 ** (i % 900 - 450), 0.0, 0.0]) for i in range(1000)]
+    table = spark.createDataFrame(line, "vec_id bigint, embedding array<double>").repartition(5)
+    got = {(r["query_id"], r["rank"]): r["vec_id"] for r in ann.nearest(table, table.filter("vec_id % 50 = 0"), shard_rows=shard_rows).collect()}
+    assert got == {(i, n + 1): j for i in range(0, 1000, 50) for n, j in enumerate([x for x in range(6) if x != i][:5])}
+
+
+def test_queries_visit_few_shards(spark):
+    """On clustered vectors a query's ball meets few cells: what is sent stays far below queries x shards."""
+    rng = np.random.default_rng(6)
+    centres = rng.normal(size=(30, 16))
+    data = [(i, (centres[i % 30] + 0.05 * rng.normal(size=16)).tolist()) for i in range(3000)] + [(4000 + i, centres[0].tolist()) for i in range(900)]
+    df = spark.createDataFrame(data, "vec_id bigint, embedding array<double>")
+    pivots = {16: ann.unit_rows(centres)}
+    cells = {16: (np.ones(30, np.int64), np.zeros(30), np.full(30, 0.2))}
+    asked = df.limit(100).select(F.lit(16).alias("dim"), F.col("vec_id").alias("number"), (F.col("vec_id") % 30).cast("int").alias("own"), F.lit(0.1).alias("radius"), F.col("embedding").alias("v"))
+    sent = asked.mapInArrow(ann._visits(pivots, cells, 1.0), "dim int, cell int, part int, number bigint, radius double, v array<double>").count()
+    assert sent < 100 * 30 / 10
+    got = {(r["query_id"], r["rank"]): r["vec_id"] for r in ann.nearest(df, df.filter("vec_id % 500 = 0"), shard_rows=50).collect()}
+    for q in range(0, 4900, 500):
+        if q < 3000 or q >= 4000:
+            v = dict(data)[q]
+            score = sorted(((-float(ann.cosine(np.array([v]), np.array([x]))[0]), i) for i, x in data if i != q))[:5]
+            assert [got[q, n + 1] for n in range(5)] == [i for _, i in score]
+    assert ann.nearest(df.limit(0), df.limit(0)).count() == 0
+
+
+def test_sharding_by_brute_force(spark, docs, rows):
+    """Sizes, checksums and places by a plain replay: buckets by the seeded hash, Fisher-Yates in each, cut at even positions."""
+    import zlib
+
+    seed, shards = 11, 7
+    key = F.xxhash64(F.lit(seed), F.col("doc_id"), F.xxhash64("text"))
+    n = 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    found = docs.select("doc_id", "text", F.pmod(key, F.lit(n)).alias("b"), F.xxhash64("text").alias("h")).collect()
+    at, want = 0, {}
+    for b in range(n):
+        own = sorted((r for r in found if r["b"] == b), key=lambda r: (r["doc_id"] is not None, r["doc_id"] or 0, r["h"]))
+        for i, j in enumerate(sharding.fisher_yates(len(own), np.random.default_rng([seed, b]))):
+            where = (at + i) * shards // len(found)
+            want.setdefault((own[j]["doc_id"], own[j]["text"]), []).append((where, at + i - -(-where * len(found) // shards)))
+        at += len(own)
+    got = {}
+    for r in sharding.external_shuffle(docs, shards).collect():
+        got.setdefault((r["doc_id"], r["text"]), []).append((r["shard"], r["slot"]))
+    assert {k: sorted(v) for k, v in got.items()} == {k: sorted(v) for k, v in want.items()}
+    text = {r[0]: r[1] or "" for r in rows if r[0] is not None}
+    for r in sharding.shard_report(docs).collect():
+        if r["doc_id"] is not None:
+            data = text[r["doc_id"]].encode()
+            assert (r["size"], r["text_crc32"], r["law"], r["grown_shard"]) == (len(data) + 16, zlib.crc32(data), "rows", None)
+
+
+def test_one_record_may_be_most_of_a_table(spark):
+    data = [(7, "same")] * 6000 + [(100 + i, f"t{i}") for i in range(900)]
+    placed = sharding.external_shuffle(spark.createDataFrame(data, "doc_id bigint, text string").repartition(3), 5)
+    assert placed.columns == ["doc_id", "text", "shard", "slot"]
+    got = placed.collect()
+    assert sorted((r["doc_id"], r["text"]) for r in got) == sorted(data) and len({(r["shard"], r["slot"]) for r in got}) == len(data)
+    tasks = placed.select(F.spark_partition_id().alias("p")).groupBy("p").count().collect()
+    assert max(r["count"] for r in tasks) < 4000
+
+
+def test_ids_that_do_not_fit_are_an_error(spark):
+    docs = spark.createDataFrame([(1, "hello there")], "doc_id bigint, text string")
+    with pytest.raises(Exception, match="not below the separator"):
+        token_counts.token_files(docs, PATH, separator=5).collect()
+    with pytest.raises(ValueError, match="16 bits"):
+        token_counts.token_files(docs, PATH, separator=70_000)
