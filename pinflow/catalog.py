@@ -17,7 +17,7 @@ from .kernel.ladder import LoadLadder
 from .lineage import cut, scratch_path
 from .operators import audit, capacity, controls, inmem, measures, shape, state
 from .params import PartitionSpec
-from .plans import ordered, rounds
+from .plans import choose, ordered, rounds
 from .sources import builders, netlist
 from .sources.tables import read_table
 from .streaming import live
@@ -665,6 +665,24 @@ def hypergraph_profile(spark, d):
     return _union([QUERIES[f"build_{n}"](spark, d) for n in builders.HYPERGRAPHS])
 
 
+@query("weighted_profile", select_with(H1, "w AS MATERIALIZED (SELECT net_id, floor(any_value(o_totalprice)) AS w FROM p JOIN orders ON o_orderkey = net_id GROUP BY net_id), z AS (SELECT CAST(p_size AS DOUBLE) AS c FROM v JOIN part ON p_partkey = vertex_id)", "SELECT (SELECT sum(c) FROM z) AS total, (SELECT max(c) FROM z) AS heaviest_vertex, (SELECT sum(w) FROM w) AS net_weight, (SELECT max(w) FROM w) AS heaviest_net, (SELECT max(s) FROM (SELECT sum(w) AS s FROM p JOIN w USING (net_id) GROUP BY vertex_id)) AS widest"))
+def weighted_profile(spark, d):
+    """Parts that weigh their size, orders that weigh their price."""
+    sizes = read_table(spark, d, "part", "p_partkey", "p_size").select(F.col("p_partkey").alias("vertex_id"), F.col("p_size").cast("double").alias("weight"))
+    prices = read_table(spark, d, "orders", "o_orderkey", "o_totalprice").select(F.col("o_orderkey").alias("net_id"), F.floor("o_totalprice").cast("double").alias("weight"))
+    h = hypergraph(spark, d, H1, weights=sizes, net_weights=prices)
+    return measures.weighted_profile(h.pins, h.nets, h.vertices)
+
+
+@query("chosen_lanes", " UNION ALL ".join(f"SELECT * FROM (WITH {sql.base(n)} SELECT '{n}' AS instance, CASE WHEN (SELECT count(DISTINCT net_id) FROM p) * 120 + 16 * 200 <= 200000 AND (SELECT count(*) FROM p) <= 50000 THEN 'ordered' ELSE 'rounds' END AS lane)" for n in ("parts_by_order", "parts_by_supplier", "pages_by_link", "docs_by_line")))
+def chosen_lanes(spark, d):
+    """The lane that tasks of 200 kB and 50,000 pins would leave each instance."""
+    spec, rows = PartitionSpec(16), []
+    for name in ("parts_by_order", "parts_by_supplier", "pages_by_link", "docs_by_line"):
+        rows.append((name, choose.lane(hypergraph(spark, d, name).stats(), spec, 200_000, 50_000)))
+    return spark.createDataFrame(rows, "instance string, lane string")
+
+
 @query("session_nets", "WITH e AS (SELECT event_id, user_id, ts, CASE WHEN ts > lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT user_id, sum(f) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS n FROM e), g AS (SELECT user_id, n, count(*) AS c FROM s GROUP BY ALL) SELECT count(*) AS nets, CAST(sum(c) AS BIGINT) AS pins, max(c) AS largest FROM g")
 def session_nets(spark, d):
     return builders.session_nets(spark, d).groupBy("net_id").agg(F.count("*").alias("c")).agg(F.count("*").alias("nets"), F.sum("c").alias("pins"), F.max("c").alias("largest"))
@@ -884,8 +902,8 @@ def report_pivot(spark, d):
 COMPARED, COMPARED_KS = ("parts_by_order", "customers_by_part", "docs_by_line", "pages_by_link", "signed_clauses"), (8, 32)
 METHODS = {
     "hashing": (None, lambda h, spec: controls.hashing(h.vertices, spec.k)),
-    "greedy_con": ({"objective": "con"}, lambda h, spec: placements(ordered.greedy(h, spec))),
-    "greedy_cut": ({"objective": "cut"}, lambda h, spec: placements(ordered.greedy(h, replace(spec, objective="cut")))),
+    "greedy_con": ({"objective": "con"}, ordered.assign),
+    "greedy_cut": ({"objective": "cut"}, lambda h, spec: ordered.assign(h, replace(spec, objective="cut"))),
     "minmax_lists": ({"rule": "minmax"}, lambda h, spec: placements(ordered.minmax_place(h, spec))),
     "minmax_capped": ({"rule": "capped"}, lambda h, spec: placements(ordered.minmax_place(h, spec, "capped"))),
 }

@@ -26,10 +26,6 @@ def net_span(pins: DataFrame, assign: DataFrame) -> DataFrame:
     return placed(pins, assign).select("net_id", "block").distinct().groupBy("net_id").agg(F.count("*").cast("int").alias("lambda"))
 
 
-def net_blocks(pins: DataFrame, assign: DataFrame) -> DataFrame:
-    return placed(pins, assign).groupBy("net_id").agg(F.sort_array(F.collect_set("block")).alias("blocks"))
-
-
 def connectivity(pins: DataFrame, assign: DataFrame, nets: DataFrame | None = None) -> DataFrame:
     """Sum of (lambda - 1) * weight."""
     return _weighed(net_span(pins, assign), nets).agg(F.coalesce(F.sum((F.col("lambda") - 1) * F.col("weight")), F.lit(0.0)).alias("value"))
@@ -83,6 +79,14 @@ def boundary_vertices(pins: DataFrame, assign: DataFrame) -> DataFrame:
     return pins.join(cut, "net_id", "left_semi").select("vertex_id").distinct()
 
 
+def weighted_profile(pins: DataFrame, nets: DataFrame, vertices: DataFrame) -> DataFrame:
+    """total, net_weight, heaviest_vertex, heaviest_net and widest, the largest sum of a vertex's net weights."""
+    degrees = pins.join(nets.select("net_id", "weight"), "net_id").groupBy("vertex_id").agg(F.sum("weight").alias("w"))
+    a = vertices.agg(F.sum("weight").alias("total"), F.max("weight").alias("heaviest_vertex"))
+    b = nets.agg(F.sum("weight").alias("net_weight"), F.max("weight").alias("heaviest_net"))
+    return a.crossJoin(b).crossJoin(degrees.agg(F.max("w").alias("widest")))
+
+
 def profile(pins: DataFrame) -> DataFrame:
     """n, m, pins, xi (largest net), delta (largest degree), single (nets of one pin)."""
     nets = pins.groupBy("net_id").agg(F.count("*").alias("s"))
@@ -91,11 +95,6 @@ def profile(pins: DataFrame) -> DataFrame:
     return a.crossJoin(degrees.agg(F.count("*").alias("n"), F.max("d").alias("delta")))
 
 
-def work_bound(decisions: DataFrame) -> DataFrame:
-    """vertices, touched blocks in all and what the split rule evaluates at most: touched + one per vertex."""
-    return decisions.agg(F.count("*").alias("vertices"), F.sum("touched").alias("touched")).withColumn("evaluations", F.col("touched") + F.col("vertices"))
-
-
 def state_entries(pins: DataFrame, assign: DataFrame, k: int) -> DataFrame:
     """Entries that each method keeps: one per net and block (greedy), one per (net, block) met (lists), one per vertex (graph rule)."""
     spans = net_span(pins, assign)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
 from .tables import read_table
@@ -138,14 +140,38 @@ def copurchase(pins: DataFrame, width: int = PAIR_BLOCK) -> DataFrame:
     return a.join(b, ["net_id", "i", "j"]).filter("src < dst").groupBy("src", "dst").agg(F.count("*").cast("double").alias("weight"))
 
 
-def knn_edges(vectors: DataFrame, j: int = 5) -> DataFrame:
-    """Symmetrised j nearest by cosine, src < dst, weight 1. All pairs: meant for thousands of vectors."""
-    v = vectors.select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("e"))
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, p: s + p)
-    v = v.withColumn("norm", F.sqrt(dot(F.col("e"), F.col("e"))))
-    other = v.select(F.col("id").alias("id2"), F.col("e").alias("e2"), F.col("norm").alias("norm2"))
-    pairs = v.join(other, F.col("id") != F.col("id2")).withColumn("cos", dot(F.col("e"), F.col("e2")) / (F.col("norm") * F.col("norm2")))
-    near = pairs.withColumn("r", F.row_number().over(W.partitionBy("id").orderBy(F.desc("cos"), "id2"))).filter(F.col("r") <= j)
+def knn_edges(vectors: DataFrame, j: int = 5, block: int = 4096) -> DataFrame:
+    """Symmetrised j nearest by cosine, src < dst, weight 1, ties to the smaller id; null and zero vectors have no neighbours.
+
+    Vectors are dealt into blocks of about ``block``, and every pair of blocks is one task's matrix product, of which only
+    the j best of each row (and what rounding can't tell from them) leave it. The work is quadratic, no row is a pair."""
+    v = vectors.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("e")).filter("id IS NOT NULL AND exists(e, x -> x <> 0)")
+    blocks = max(1, -(-vectors.count() // block))
+    v = v.withColumn("own", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
+    others = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    rows = v.select(F.lit(True).alias("asks"), "id", "e", F.col("own").alias("i"), others.alias("k"))
+    columns = v.select(F.lit(False).alias("asks"), "id", "e", others.alias("i"), F.col("own").alias("k"))
+
+    def meet(cell: pd.DataFrame) -> pd.DataFrame:
+        a, b = (cell[cell["asks"] == x].sort_values("id") for x in (True, False))
+        empty = pd.DataFrame({"id": pd.Series(dtype="int64"), "id2": pd.Series(dtype="int64"), "cos": pd.Series(dtype="float64")})
+        if a.empty or b.empty:
+            return empty
+        x, y = np.stack(a["e"].to_numpy()), np.stack(b["e"].to_numpy())
+        ids, ids2 = a["id"].to_numpy(), b["id"].to_numpy()
+        near = (x / np.linalg.norm(x, axis=1)[:, None]) @ (y / np.linalg.norm(y, axis=1)[:, None]).T
+        near[ids[:, None] == ids2[None, :]] = -np.inf
+        keep = min(j, near.shape[1])
+        least = np.partition(near, near.shape[1] - keep, axis=1)[:, near.shape[1] - keep]
+        r, c = np.nonzero((near >= least[:, None] - 1e-9) & np.isfinite(near))
+        dot, xx, yy = np.zeros(len(r)), np.zeros(len(r)), np.zeros(len(r))
+        for d in range(x.shape[1]):  # components in order: equal vectors have equal cosines
+            p, q = x[r, d], y[c, d]
+            dot, xx, yy = dot + p * q, xx + p * p, yy + q * q
+        return pd.DataFrame({"id": ids[r], "id2": ids2[c], "cos": dot / (np.sqrt(xx) * np.sqrt(yy))})
+
+    found = rows.union(columns).groupBy("i", "k").applyInPandas(meet, "id bigint, id2 bigint, cos double")
+    near = found.withColumn("r", F.row_number().over(W.partitionBy("id").orderBy(F.desc("cos"), "id2"))).filter(F.col("r") <= j)
     return near.select(F.least("id", "id2").alias("src"), F.greatest("id", "id2").alias("dst"), F.lit(1.0).alias("weight")).distinct()
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import os
+import io
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -41,10 +41,12 @@ def write_netlist(pins: DataFrame, path: str) -> None:
     nets.select("value").write.text(path)
 
 
-def write_blocks(df: DataFrame, assign: DataFrame, path: str, key: str) -> None:
-    """The rows of df in one folder per block of their key: what a partition is for. assign: vertex_id, block."""
+def write_blocks(df: DataFrame, assign: DataFrame, path: str, key: str, tasks: int = 8) -> None:
+    """The rows of df in one folder per block of their key: what a partition is for. assign: vertex_id, block.
+
+    tasks: how many write each block, dealt by a hash of the key."""
     routed = df.join(assign.select(F.col("vertex_id").alias(key), "block"), key)
-    routed.repartition("block").write.partitionBy("block").parquet(path)
+    routed.repartition("block", F.pmod(F.xxhash64(key), F.lit(tasks))).write.partitionBy("block").parquet(path)
 
 
 def drain(df: DataFrame) -> None:
@@ -52,6 +54,13 @@ def drain(df: DataFrame) -> None:
     df.write.format("noop").mode("overwrite").save()
 
 
+def _located(path: str):
+    """File system and path for a local path or any address that Arrow knows (file, hdfs, s3, gs)."""
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(path) if "://" in path else (fs.LocalFileSystem(), path)
+
+
 class _Range(InputPartition):
     def __init__(self, first: int, end: int):
         self.first, self.end = first, end
@@ -62,12 +71,14 @@ class _NetlistReader(DataSourceReader):
         self.path, self.size = path, size
 
     def partitions(self):
-        total = os.path.getsize(self.path)
+        files, name = _located(self.path)
+        total = files.get_file_info(name).size
         return [_Range(a, min(total, a + self.size)) for a in range(0, total, self.size)] or [_Range(0, 0)]
 
     def read(self, part):
         """Lines that begin in the range; the net's id is the byte where its line begins."""
-        with open(self.path, "rb") as f:
+        files, name = _located(self.path)
+        with io.BufferedReader(files.open_input_file(name)) as f:
             at = part.first
             if at:
                 f.seek(at - 1)
@@ -79,7 +90,9 @@ class _NetlistReader(DataSourceReader):
 
 
 class NetlistSource(DataSource):
-    """spark.read.format('netlist').option('path', file): pins of a local net-list file, read by byte ranges."""
+    """spark.read.format('netlist').option('path', file): pins of a net-list file, read by byte ranges.
+
+    The file must be where driver and executors both reach it: a shared folder or a store that Arrow knows by its address."""
 
     @classmethod
     def name(cls):

@@ -6,6 +6,7 @@ from fractions import Fraction
 import pytest
 
 from pinflow.kernel.buffered import Buffered
+from pinflow.kernel.fast import unit_walker
 from pinflow.kernel.greedy import GraphGreedy, Greedy, MultiSection
 from pinflow.kernel.ladder import BucketQueue, LoadHeap, LoadLadder
 from pinflow.kernel.minmax import Bloom, Capped, Lists, MinMax, Sets
@@ -168,3 +169,20 @@ def test_edge_cases():
         assert max(blocks.count(b) for b in blocks) <= spec.capacity(7)
     g = Greedy(PartitionSpec(2, weighted=True), 3, 1.0)
     assert g.place(9.0, [])[3] == "overflow" and g.place(0.0, [])[0] == 1
+
+
+@pytest.mark.parametrize("seed", range(4))
+@pytest.mark.parametrize("objective", ["con", "cut"])
+@pytest.mark.parametrize("gamma,eps", [(1.0, "0"), (1.5, "0.03"), (2.0, "0.5")])
+def test_unit_walker_is_the_greedy_rule(seed, objective, gamma, eps):
+    nets, m = random_hypergraph(seed, 200, 150)
+    for k in (1, 3, 17, 300):
+        spec = PartitionSpec(k, eps, objective=objective, gamma=gamma, alpha_scale=0.2)
+        cap, strength = spec.capacity(200), spec.strength(200, m)
+        engine, walk = Greedy(spec, cap, strength), unit_walker(spec, cap, strength)
+        want = [engine.place(1.0, x)[0] for x in nets]
+        got = []
+        for i in range(0, 200, 64):
+            part = nets[i : i + 64]
+            got += walk([len(x) for x in part], [e for x in part for e, _ in x])
+        assert got == want
