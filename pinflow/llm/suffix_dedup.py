@@ -8,12 +8,13 @@ sorted only where that can matter:
    selected gram) of one gram.
 2. Segments that agree whole are settled by their smallest document. Each task first settles what it holds
    itself, so a text that very many documents share leaves it once per task.
-3. What is left, segments of one gram that differ somewhere, is ordered as suffixes: the shallow sort splits
-   them by their first bytes, then blind tries order the groups of long common prefixes, comparing only at
-   branching positions. Windows that are equal to the depth of SPAN get the smallest document of their run.
+3. What is left, segments of one gram that differ somewhere, is ordered as suffixes: multikey quicksort to a
+   shallow depth, then blind tries for the groups of long common prefixes. In that order windows that are equal to the
+   depth of SPAN stand together, and get the smallest document of their run.
 4. Grams with very many different segments are split further by the window's own hash.
 
-Hashes (gram, segment) are 112 bits together; suffixes are compared by their bytes.
+Whole segments are settled in 2 by two independent 64-bit hashes, gram and segment, without their bytes; in 3 suffixes are
+compared by their bytes.
 
 Defined results: null texts are empty; texts under SPAN bytes stay whole; rows with a null id neither lose
 bytes nor take any from others; rows that repeat an id are judged by id, so they never cut each other; an
@@ -38,6 +39,7 @@ WIDE = SPAN - GRAM + 1
 TASK_BYTES = 8 << 20
 HELD = 250_000  # segments that a task gathers before it settles and ships them
 CHUNK = 256 << 10  # bytes hashed at once
+SHALLOW = 16  # bytes that multikey quicksort orders by
 CROWD = 50_000  # different segments of one gram from which it is split
 BLOB = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8"), ("segment", "<u8")])
 MARK = np.dtype([("doc", "<i8"), ("print", "<u4"), ("ord", "<u4"), ("gram", "<u8"), ("state", "u1")])
@@ -47,6 +49,7 @@ COVERED, PARTIAL, CROWDED = 0, 1, 2
 _BASE = np.uint64(0x9E3779B97F4A7C15)  # odd
 _INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
 _VALUES = np.random.default_rng(20).integers(1, 1 << 63, 256, dtype=np.uint64)
+_SECOND = np.random.default_rng(21).integers(1, 1 << 63, 256, dtype=np.uint64)  # the segment's hash is independent of its gram's
 _powers: dict[str, np.ndarray] = {}
 
 
@@ -97,6 +100,7 @@ def segments(texts: list[bytes]):
     first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]]))
     last = np.concatenate([first[1:], [len(anchor)]]) - 1
     a, z, p = starts[first], starts[last], anchor[first]
+    np.cumsum(_SECOND[data] * up[:n], out=total[1:])
     body = mix((total[z + SPAN] - total[a]) * down[a] + (z - a).astype(np.uint64) * np.uint64(0xA24BAED4963EE407) + (p - a).astype(np.uint64) * np.uint64(0x9FB21C651E98DF25))
     text = np.searchsorted(ends, a, side="right")
     opening = np.searchsorted(text, text, side="left")
@@ -315,41 +319,100 @@ def _resolve(texts, marks, bucket, out: _Found) -> None:
                         out.rows.append((out.WINDOWS, own_key, doc, mark, o << 8 | (w - int(a[o])), text[w : w + SPAN], None, 0, 0, 0, None))
 
 
-def suffix_classes(data: np.ndarray, starts: np.ndarray, group: np.ndarray) -> np.ndarray:
-    """A number per suffix, equal where group and the first SPAN bytes are equal.
-
-    Shallow: one sort by group and the first eight bytes, a multikey sort that treats eight characters as one.
-    Deep: the blind tries of all remaining groups grow side by side; each round compares a group's members with
-    one suffix of it and branches by the position and the byte of the first difference."""
-    view = np.lib.stride_tricks.sliding_window_view(data, SPAN)
-    text = view[starts]
-    head = np.ascontiguousarray(text[:, :8]).view(">u8").ravel()
-    order = np.lexsort((head, group))
-    fresh = np.concatenate([[True], (group[order][1:] != group[order][:-1]) | (head[order][1:] != head[order][:-1])])
-    trie = np.cumsum(fresh) - 1
-    number = np.empty(len(starts), dtype=np.int64)
-    given, members = 0, order
-    while len(members):
-        opening = np.flatnonzero(np.concatenate([[True], trie[1:] != trie[:-1]]))
-        sizes = np.diff(np.concatenate([opening, [len(members)]]))
-        lead = np.repeat(members[opening], sizes)
-        lonely = np.repeat(sizes == 1, sizes)
-        depth = np.full(len(members), SPAN, dtype=np.int64)
-        many = np.flatnonzero(~lonely)
-        for i in range(0, len(many), 1 << 18):
-            some = many[i : i + (1 << 18)]
-            other = text[members[some]] != text[lead[some]]
-            depth[some] = np.where(other.any(axis=1), other.argmax(axis=1), SPAN)
-        same = depth == SPAN
-        number[members[same]] = given + np.repeat(np.arange(len(opening)), sizes)[same]
-        given += len(opening)
-        members, trie, depth = members[~same], trie[~same], depth[~same]
-        branch = text[members, depth]
-        order = np.lexsort((branch, depth, trie))
-        members, trie, depth, branch = members[order], trie[order], depth[order], branch[order]
-        if len(members):
-            trie = np.cumsum(np.concatenate([[True], (trie[1:] != trie[:-1]) | (depth[1:] != depth[:-1]) | (branch[1:] != branch[:-1])])) - 1
-    return number
+def _words(data: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """The first SPAN bytes of each suffix as big-endian numbers of eight bytes, the last one filled up with zeros."""
+    text = np.lib.stride_tricks.sliding_window_view(data, SPAN)[starts]
+    full = np.zeros((len(starts), -(-SPAN // 8) * 8), dtype=np.uint8)
+    full[:, :SPAN] = text
+    return full.view(">u8").astype(np.uint64)
+
+
+def _split(order: np.ndarray, part: np.ndarray, *keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sort each part (a run of order) by keys, the first one counts most: new order, new parts, and the sort's permutation."""
+    by = np.lexsort((*keys[::-1], part))
+    fresh = np.zeros(len(by), dtype=bool)
+    for x in (part, *keys):
+        x = x[by]
+        fresh[1:] |= x[1:] != x[:-1]
+    return order[by], np.cumsum(fresh), by
+
+
+def _runs(part: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First place and length of each run of equal numbers."""
+    first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]]))
+    return first, np.diff(np.concatenate([first, [len(part)]]))
+
+
+def _refine(order: np.ndarray, part: np.ndarray, open_: np.ndarray, step) -> None:
+    """Rounds of step(suffixes, their parts) -> (sort keys, whether a part that comes out stays open), on the open parts only.
+
+    order and part are changed in place; numbers of parts rise with the order and have gaps for the parts to come."""
+    while open_.any():
+        places = np.flatnonzero(open_)
+        some, own = order[places], part[places]
+        keys, more = step(some, own)
+        sorted_, _, by = _split(some, own, *keys)
+        order[places] = sorted_
+        fresh = np.concatenate([[True], np.any([(x[by][1:] != x[by][:-1]) for x in (own, *keys)], axis=0)])
+        heads = np.flatnonzero(fresh)
+        part[places] = places[np.repeat(heads, np.diff(np.concatenate([heads, [len(places)]])))]
+        _, sizes = _runs(part[places])
+        open_[places] = more[by] & (np.repeat(sizes, sizes) > 1)
+
+
+def suffix_order(data: np.ndarray, starts: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Suffixes in the order of (group, first SPAN bytes), and for each place of it whether a new string begins there.
+
+    Shallow: multikey quicksort with eight bytes as one character. Each round takes a pivot, the median of three, in every
+    open part and splits it into the less, the equal, which go on with the next character, and the greater, until a part
+    agrees in its first SHALLOW bytes. Deep: blind tries. Each round takes one suffix of every open part as the path of its
+    trie; the others look for the character where they leave the path, from the word on that the part is known to agree to,
+    and hang below that branching position by their byte there. Branches to lesser bytes come before the path, the
+    nearest to the root first, those to greater bytes after it, the nearest to the root last; what agrees to SPAN stays on the
+    path. Each branch is an open part, and a trie, of the next round."""
+    words = _words(data, starts)
+    order = np.argsort(group, kind="stable")
+    first, sizes = _runs(group[order])
+    part = np.repeat(first, sizes)
+    depth = np.zeros(len(starts), dtype=np.int64)  # words that a suffix's part agrees in
+
+    def quick(some, own):
+        first, sizes = _runs(own)
+        key = words[some, depth[some]]
+        three = np.sort(np.stack([key[first], key[first + sizes // 2], key[first + sizes - 1]]), axis=0)
+        pivot = np.repeat(three[1], sizes)
+        side = np.where(key < pivot, 0, np.where(key == pivot, 1, 2))
+        depth[some[side == 1]] += 1
+        return (side,), depth[some] * 8 < SHALLOW
+
+    _refine(order, part, np.repeat(sizes, sizes) > 1, quick)
+
+    def trie(some, own):
+        first, sizes = _runs(own)
+        path = np.repeat(some[first], sizes)
+        last = words.shape[1]
+        at = depth[some].copy()
+        look = np.flatnonzero(at < last)
+        while len(look):  # word by word, those that still agree with the path
+            look = look[words[some[look], at[look]] == words[path[look], at[look]]]
+            at[look] += 1
+            look = look[at[look] < last]
+        same = at == last
+        word = np.minimum(at, last - 1)
+        mine, theirs = words[some, word], words[path, word]
+        differ = mine ^ theirs
+        byte = np.zeros(len(some), dtype=np.int64)
+        for shift in (8, 16, 24, 32, 40, 48, 56):
+            byte += differ < (np.uint64(1) << np.uint64(64 - shift))
+        branch = np.where(same, 0, at * 8 + byte)
+        letter = np.where(same, 0, (mine >> (np.uint64(56) - byte.astype(np.uint64) * np.uint64(8))) & np.uint64(255)).astype(np.int64)
+        side = np.where(same, 1, np.where(mine < theirs, 0, 2))
+        depth[some] = np.where(same, last, at)
+        return (side, np.where(side == 2, -branch, branch), letter), ~same
+
+    _, sizes = _runs(part)
+    _refine(order, part, np.repeat(sizes, sizes) > 1, trie)
+    return order, np.concatenate([[True], part[1:] != part[:-1]]) if len(part) else np.empty(0, dtype=bool)
 
 
 def _compare(buckets: int):
@@ -361,11 +424,12 @@ def _compare(buckets: int):
         firsts = np.cumsum(lengths) - lengths
         offset = np.arange(windows.sum()) - np.repeat(np.cumsum(windows) - windows, windows)
         owner = np.repeat(np.arange(len(data)), windows)
-        cls = suffix_classes(np.frombuffer(b"".join(data), dtype=np.uint8), firsts[owner] + offset, np.array(keys, dtype=np.int64)[owner])
+        order, fresh = suffix_order(np.frombuffer(b"".join(data), dtype=np.uint8), firsts[owner] + offset, np.array(keys, dtype=np.int64)[owner])
         doc = np.array(docs, dtype=np.int64)[owner]
-        least = np.full(cls.max() + 1, np.iinfo(np.int64).max)
-        np.minimum.at(least, cls, doc)
-        hit = doc > least[cls]
+        heads = np.flatnonzero(fresh)
+        least = np.repeat(np.minimum.reduceat(doc[order], heads), np.diff(np.concatenate([heads, [len(order)]])))
+        hit = np.empty(len(order), dtype=bool)
+        hit[order] = doc[order] > least
         ords = np.array(ords, dtype=np.int64)
         bits = np.where(hit, np.int64(1) << (offset + (ords & 255)[owner]), 0)
         masks = np.add.reduceat(bits, np.cumsum(windows) - windows)

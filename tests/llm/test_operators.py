@@ -151,17 +151,21 @@ def test_suffix_dedup(spark, rows, empty, crowd):
     assert suffix_dedup.dedup_report(empty).count() == 0
 
 
-def test_suffix_classes():
-    rng = np.random.default_rng(2)
-    data = rng.integers(97, 99, 4000, dtype=np.uint8)
+@pytest.mark.parametrize("letters,groups", [(2, 3), (1, 5), (26, 1), (256, 2)])
+def test_suffix_order_is_sorted(letters, groups):
+    """The order that quicksort and tries give is the order of the bytes, and equal strings stand together."""
+    rng = np.random.default_rng(letters)
+    data = rng.integers(0, letters, 4000).astype(np.uint8) if letters == 256 else rng.integers(97, 97 + letters, 4000, dtype=np.uint8)
     data[1000:1400] = data[200:600]
-    starts, group = np.arange(3900), np.arange(3900) % 3
-    number = suffix_dedup.suffix_classes(data, starts, group)
-    keys = [(g, data[s : s + 50].tobytes()) for s, g in zip(starts, group)]
-    seen = {}
-    for k, n in zip(keys, number.tolist()):
-        assert seen.setdefault(k, n) == n
-    assert len(set(seen.values())) == len(seen)
+    data[3000:3060] = 255
+    data[3100:3160] = 0
+    starts, group = np.arange(3900), (np.arange(3900) % groups - 1).astype(np.int64)
+    order, fresh = suffix_dedup.suffix_order(data, starts, group)
+    keys = [(group[i], data[starts[i] : starts[i] + 50].tobytes()) for i in order]
+    assert sorted(order.tolist()) == list(range(3900)) and keys == sorted(keys)
+    assert fresh.tolist() == [True] + [a != b for a, b in zip(keys, keys[1:])]
+    none = np.empty(0, dtype=np.int64)
+    assert len(suffix_dedup.suffix_order(data, none, none)[0]) == 0
 
 
 def test_vantage_trees(spark):
