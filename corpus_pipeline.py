@@ -1,4 +1,9 @@
-"""Corpus pipeline: language ID, exact dedup, near dedup, mixing, tokens. Each stage reads what the last one wrote."""
+"""Corpus pipeline: language ID, exact dedup, near dedup, mixing, tokens. Each stage reads what the last one wrote.
+
+All stages but the last return the columns of their input, whatever further ones are called. Nulls: a null text counts as
+empty and goes with language ID; null ids, languages and sources are values like others. Repeated rows: one of each text is
+left by exact dedup. Ties: the largest id stays among equal texts, the smallest among near copies. An empty table passes
+through all stages as an empty table."""
 
 from __future__ import annotations
 
@@ -10,17 +15,17 @@ from pinflow.llm.common import cut, discard, read_table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without an identified language (no letters, or no language ahead of the others)."""
+    """Drops documents without an identified language: null or empty texts, no letters, or no language ahead of the others."""
     return langid.keep_identified(docs)
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts (A-Z lower-cased) the largest id stays."""
+    """Of equal texts (A-Z lower-cased) the row with the largest id stays; one row of each text, also where ids repeat or are null."""
     return exact_dedup.keep_one(docs)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of every component of near-duplicates the smallest id stays."""
+    """Of every component of near-duplicates the smallest id stays; rows with a null id are not compared and stay."""
     return minhash.keep_one(docs)
 
 
