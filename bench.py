@@ -93,9 +93,9 @@ def main() -> None:
     h = hypergraphs["orders_by_part"]
     took, _, con = run(h, PartitionSpec(2560), lambda x, s: rounds.greedy(x, s).select("vertex_id", "block"))
     seconds["rounds_orders_by_part_k2560"], facts["rounds_connectivity"] = round(took, 3), con
-    for beta, prefix in ((0.1, 1 << 15), (0.5, 1 << 14), (1.0, 1 << 12)):
-        took, _, con = run(hypergraphs["parts_by_order"], PartitionSpec(512), lambda x, s, b=beta, p=prefix: rounds.greedy(x, s, prefix=p // 8, beta=b).select("vertex_id", "block"))
-        facts[f"rounds_parts_prefix{prefix // 8}_beta{beta}"] = {"seconds": round(took, 2), "connectivity": con}
+    for beta, prefix in ((0.1, 8192), (0.5, 2048), (1.0, 512)):
+        took, _, con = run(hypergraphs["parts_by_order"], PartitionSpec(512), lambda x, s, b=beta, p=prefix: rounds.greedy(x, s, prefix=p, beta=b).select("vertex_id", "block"))
+        facts[f"rounds_parts_prefix{prefix}_beta{beta}"] = {"seconds": round(took, 2), "connectivity": con}
 
     # Reports over the runs.
     table = spark.createDataFrame(runs, "instance string, k int, algorithm string, seed int, pins bigint, cut_net double, connectivity double, wall_ns bigint")

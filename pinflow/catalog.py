@@ -15,7 +15,7 @@ from . import report
 from .functions import sqlapi
 from .kernel.ladder import LoadLadder
 from .lineage import cut, scratch_path
-from .operators import audit, capacity, controls, inmem, measures, shape, state
+from .operators import audit, capacity, controls, inmem, measures, shape, skew, state
 from .params import PartitionSpec
 from .plans import choose, ordered, rounds
 from .sources import builders, netlist
@@ -1129,6 +1129,39 @@ def live_replay_diff(spark, d):
     return audit.diff(ordered.greedy(h, spec), _replayed(spark, rows, spec, h))
 
 
+def _streamed(spark, make, *frames):
+    """Frames as file streams through make(streams), written out and read back."""
+    out, ckpt = (scratch_path(spark, x, kept=True) for x in ("joined-out", "joined-ckpt"))
+    streams = [spark.readStream.schema(f.schema).parquet(p) for f in frames for p in [scratch_path(spark, "joined-in", kept=True)] if not f.write.parquet(p)]
+    joined = make(*streams)
+    joined.writeStream.format("parquet").option("checkpointLocation", ckpt).outputMode("append").trigger(availableNow=True).start(out).awaitTermination()
+    return spark.read.schema(joined.schema).parquet(out)
+
+
+@query("live_static_join", "SELECT c_nationkey, count(*) AS orders FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
+def live_static_join(spark, d):
+    """A stream of orders with the table of customers."""
+    orders = read_table(spark, d, "orders", "o_orderkey", "o_custkey").withColumnRenamed("o_custkey", "c_custkey")
+    customers = read_table(spark, d, "customer", "c_custkey", "c_nationkey")
+    return _streamed(spark, lambda s: live.with_table(s, customers, "c_custkey"), orders).groupBy("c_nationkey").agg(F.count("*").alias("orders"))
+
+
+@query("live_stream_join", "SELECT o_orderkey AS order_id, count(*) AS lines FROM orders JOIN lineitem ON o_orderkey = l_orderkey AND l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 30 DAY GROUP BY 1")
+def live_stream_join(spark, d):
+    """Two streams: orders, and their lines that ship within thirty days."""
+    orders = read_table(spark, d, "orders", "o_orderkey", "o_orderdate").select(F.col("o_orderkey").alias("order_id"), F.col("o_orderdate").cast("timestamp").alias("ts"))
+    lines = read_table(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_shipdate").select(F.col("l_orderkey").alias("order_id"), "l_linenumber", F.col("l_shipdate").cast("timestamp").alias("pin_ts"))
+    return _streamed(spark, lambda a, p: live.with_stream(a, p, "order_id"), orders, lines).groupBy("order_id").agg(F.count("*").alias("lines"))
+
+
+@query("salted_join", "SELECT s_nationkey, count(*) AS lines, sum(l_quantity) AS quantity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1")
+def salted_join(spark, d):
+    """Lines with their supplier's nation, suppliers with over half a percent of all lines dealt over several tasks."""
+    lines = read_table(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_suppkey", "l_quantity").withColumnRenamed("l_suppkey", "s_suppkey")
+    joined = skew.salted_join(lines, read_table(spark, d, "supplier", "s_suppkey", "s_nationkey"), "s_suppkey", share=0.005, salts=4)
+    return joined.groupBy("s_nationkey").agg(F.count("*").alias("lines"), F.sum("l_quantity").alias("quantity"))
+
+
 @query("sql_udtf_partition", select_with("suppliers_by_order", sql.replay(8), ASSIGNED))
 def sql_udtf_partition(spark, d):
     sqlapi.register(spark)

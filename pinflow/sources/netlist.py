@@ -22,6 +22,15 @@ def read_netlist(spark: SparkSession, path: str) -> DataFrame:
     return lines.select("net_id", F.explode(F.split("line", r"\s+").cast("array<bigint>")).alias("vertex_id")).distinct()
 
 
+def stream_netlist(spark: SparkSession, path: str) -> DataFrame:
+    """Vertex lines as they come in a folder of text files: 'vertex net net ...' -> stream_id, seq, vertex_id, nets.
+
+    A vertex's id is its place in the stream as well: files are written by arrival."""
+    words = F.split(F.trim("value"), r"\s+").cast("array<bigint>")
+    lines = spark.readStream.text(path).filter("trim(value) <> '' AND NOT startswith(trim(value), '#')").select(words.alias("w"))
+    return lines.select(F.lit(1).cast("bigint").alias("stream_id"), F.col("w")[0].alias("seq"), F.col("w")[0].alias("vertex_id"), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))).alias("nets"))
+
+
 def read_signed_clauses(spark: SparkSession, path: str) -> DataFrame:
     """CNF-like: literals between blanks, negative ones complemented, 0 ends the clause, c and p lines are skipped."""
     lines = _numbered(spark, path).filter("line <> '' AND substr(line, 1, 1) NOT IN ('c', 'p')")

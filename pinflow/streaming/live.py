@@ -105,6 +105,20 @@ def windowed_loads(stream: DataFrame, width: str = "1 day", delay: str = "2 hour
     return stream.withWatermark("ts", delay).groupBy(F.window("ts", width), "block").agg(F.count("*").alias("arrivals"))
 
 
+def with_table(stream: DataFrame, table: DataFrame, key: str) -> DataFrame:
+    """Stream rows with the columns of a table, read anew in every micro-batch; no state."""
+    return stream.join(table, key)
+
+
+def with_stream(arrivals: DataFrame, pins: DataFrame, key: str, within: str = "30 days", delay: str = "2 hours") -> DataFrame:
+    """Arrivals (key, ts) with their pins (key, pin_ts, ...) that come within a time span: both sides are watermarked, so
+    the join forgets an arrival once no pin can be in its span any more."""
+    a = arrivals.withWatermark("ts", delay).alias("a")
+    p = pins.withWatermark("pin_ts", delay).alias("p")
+    span = F.col("p.pin_ts").between(F.col("a.ts"), F.col("a.ts") + F.expr(f"INTERVAL {within}"))
+    return a.join(p, (F.col(f"a.{key}") == F.col(f"p.{key}")) & span).drop(F.col(f"p.{key}"))
+
+
 def rounds_sink(place, state_path: str, out_path: str):
     """A foreachBatch function: place(batch, state) -> (placements, state). State of batch i is read from i - 1 and written to i."""
 

@@ -386,3 +386,33 @@ def test_a_cluster_needs_a_shared_folder():
 
     with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
         lineage.scratch_path(Session(), "x")
+
+
+def test_salted_join_is_the_join(spark):
+    from pinflow.operators.skew import salted_join
+
+    left = spark.createDataFrame([(1, i) for i in range(60)] + [(2, 5), (3, 6), (None, 7)], "k int, x int")
+    right = spark.createDataFrame([(1, "a"), (1, "b"), (2, "c"), (None, "z"), (9, "q")], "k int, y string")
+    for how in ("inner", "left"):
+        got = salted_join(left, right, "k", share=0.3, salts=7, how=how)
+        assert sorted(map(str, got.collect())) == sorted(map(str, left.join(right, "k", how).collect()))
+
+
+def test_lines_as_a_stream(spark, tmp_path):
+    from pinflow.sources import netlist
+    from pinflow.streaming import live
+
+    (tmp_path / "in").mkdir()
+    (tmp_path / "in" / "a.txt").write_text("# vertex nets\n0 10 11\n1 12\n\n2\n3 10 11\n")
+    out = str(tmp_path / "out")
+    stream = live.partition_stream(netlist.stream_netlist(spark, str(tmp_path / "in")), PartitionSpec(2, "1"), 4, 3)
+    stream.writeStream.format("parquet").option("checkpointLocation", out + "-c").trigger(availableNow=True).start(out).awaitTermination()
+    got = {r["vertex_id"]: r["block"] for r in spark.read.schema(live.OUT).parquet(out).collect()}
+    assert set(got) == {0, 1, 2, 3} and got[3] == got[0] != got[1]
+
+
+def test_chosen_lane_places(spark, seven):
+    spec = PartitionSpec(3)
+    want = {r["vertex_id"]: r["block"] for r in ordered.greedy(seven, spec).collect()}
+    for how in ({}, {"pin_limit": 1}):
+        assert {r["vertex_id"]: r["block"] for r in choose.place(seven, spec, **how).collect()} == want

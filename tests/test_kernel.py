@@ -125,6 +125,9 @@ def test_buffered_tells_the_objective(kind, mode):
     b = Buffered(spec, spec.capacity(80), 2, 40, mode, max_degree=3)
     done = dict(x for v, own in enumerate(nets) for x in b.arrive(v, 1.0, own)) | dict(b.flush())
     assert sorted(done) == list(range(80)) and b.cost == objective_of(nets, done, kind)
+    for v, own in enumerate(nets):
+        if mode == "strict":
+            assert b.gains(own, done[v]) == {x: b.exact_gain(own, done[v], x) for x in {y for e, _ in own for y in b.count[e]} - {done[v]}}
     for net, own in b.base.index.blocks.items():
         assert set(own) <= {done[v] for v, pins in enumerate(nets) if net in [e for e, _ in pins]}
 
