@@ -51,9 +51,9 @@ LIKELY = 28  # of SKETCH
 PERCENT = 75
 SALTS = 256
 CROWD = 64
-WIDE = 128  # values kept of a crowded list's members
-HUBS = 128  # members of a crowded list that meet all others in its first round
-CHUNK = 512  # members of a list that are met at once
+WIDE = 512  # values kept of a crowded list's members
+HUBS = 512  # members of a crowded list that meet all others in its first round
+CHUNK = 1024  # members of a list that are met at once
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, k: int = SKETCH) -> DataFrame:
@@ -369,26 +369,32 @@ def near_links(docs: DataFrame, reps: DataFrame, k: int = LISTED, percent: int =
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     texts = cut(own.join(lists.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "listed-texts")
     sketch = reps.select("doc_id", "sketch")
+    spent, labels = lists, None  # written tables that only the next round reads
     lists, rebuilt, room, links = lists.drop("a"), False, max(crowd, HUBS), None
     while True:
         found = cut(_verified(pairs, texts, percent), "links")
         discard(pairs)
         release(docs.sparkSession)
         links = found if links is None else links.union(found)
+        if labels is not None:
+            discard(labels)
         labels = cut(components(links), "components")
         open_lists = cut(_mixed(lists, labels), "open-lists")
+        discard(spent)
         crowded = open_lists.filter(F.col("members") > crowd)
         if not rebuilt and not crowded.isEmpty():
             rebuilt = True
             near, wide = full_lists(crowded.select("doc_id").distinct(), texts, percent)
             small = open_lists.filter(F.col("members") <= crowd).drop("members", "component")
-            open_lists = cut(_mixed(small.unionByName(near), labels), "open-lists")
+            before, open_lists = open_lists, cut(_mixed(small.unionByName(near), labels), "open-lists")
+            discard(before)
             sketch = cut(sketch.join(wide.select("doc_id"), "doc_id", "left_anti").union(wide), "sketches-and-wide")
         chosen = cut(_hubs(open_lists, room), "hubs")
+        discard(open_lists)
         if chosen.isEmpty():
             return labels
         pairs = cut(list_pairs(chosen, sketch, percent), "pairs")
-        lists, room = chosen.filter("not is_hub").drop("is_hub", "component", "members"), room * 4
+        lists, spent, room = chosen.filter("not is_hub").drop("is_hub", "component", "members"), chosen, room * 4
 
 
 def _judged(docs: DataFrame, k: int, percent: int, need: int, id_col: str, text_col: str) -> DataFrame:
