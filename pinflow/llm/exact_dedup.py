@@ -33,11 +33,17 @@ def normalised(text) -> F.Column:
     return F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER)
 
 
-def _depth(width: int, fan_in: int) -> int:
+def _shape(width: int, most: int) -> tuple[int, int]:
+    """(depth, fan_in): the fewest rounds of ``most`` runs each, and the smallest fan_in that still makes ``width`` runs.
+
+    Every round has as many tasks as there are runs, so more of these than the session's shuffles have would only cost files."""
     depth = 1
-    while fan_in**depth < 4 * width:
+    while most**depth < width:
         depth += 1
-    return depth
+    fan_in = 2
+    while fan_in**depth < width:
+        fan_in += 1
+    return depth, fan_in
 
 
 ENTRY = ["digest", "length", "check"]
@@ -56,8 +62,10 @@ def merge_runs(runs: DataFrame, level: int, fan_in: int, units: int, keep: str)
 
 
 def merge_tree(entries: DataFrame, keep: str, fan_in: int = 8) -> DataFrame:
-    """entries (id, digest, length, check) with keep_id and copies of their group, by rounds of merges up and answers down."""
-    depth = _depth(shuffle_width(entries.sparkSession), fan_in)
+    """entries (id, digest, length, check) with keep_id and copies of their group, by rounds of merges up and answers down.
+
+    fan_in: how many runs are merged at once at most."""
+    depth, fan_in = _shape(shuffle_width(entries.sparkSession), fan_in)
     units = fan_in**depth
     # Dealt in turn, so that no id fills a run; what is written holds from here on, also when tasks are repeated.
     entries = cut(entries.withColumn("run", F.pmod(F.monotonically_increasing_id() + F.floor(F.monotonically_increasing_id() / F.lit(1 << 33)), F.lit(units)).cast("int")), "digest-runs")
