@@ -384,7 +384,14 @@ def ladder_steps(bumps: DataFrame, k: int, every: int = 100, width: int = 50_000
     return sliced.groupBy("slice").cogroup(starts.groupBy("first_of")).applyInPandas(walk, "step bigint, lightest_load bigint, distinct_loads bigint")
 
 
-@query("ladder_trace")
+LADDER = """WITH l AS MATERIALIZED (SELECT row_number() OVER (ORDER BY l_orderkey, l_partkey, l_suppkey, l_quantity) - 1 AS seq, l_suppkey % 100 AS block FROM lineitem),
+c AS MATERIALIZED (SELECT seq // 100 AS s, block, count(*) AS c FROM l GROUP BY ALL),
+g AS (SELECT s.range AS s, b.range AS block, coalesce(c.c, 0) AS c FROM range((SELECT count(*) // 100 FROM l)) s CROSS JOIN range(100) b LEFT JOIN c ON c.s = s.range AND c.block = b.range),
+w AS (SELECT s, sum(c) OVER (PARTITION BY block ORDER BY s) AS load FROM g)
+SELECT CAST((s + 1) * 100 AS BIGINT) AS step, CAST(min(load) AS BIGINT) AS lightest_load, count(DISTINCT load) AS distinct_loads FROM w GROUP BY s"""
+
+
+@query("ladder_trace", LADDER)
 def ladder_trace(spark, d):
     """The ladder of 100 blocks under all lines' suppliers in key order: lightest load and number of distinct loads at every hundredth step."""
     keys = ("l_orderkey", "l_partkey", "l_suppkey", "l_quantity")
