@@ -35,7 +35,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window as W, functions as F
 
 from pinflow.operators.shape import dense_ids
 
@@ -54,6 +54,7 @@ CROWD = 64
 WIDE = 512  # values kept of a crowded list's members
 HUBS = 512  # members of a crowded list that meet all others in its first round
 CHUNK = 1024  # members of a list that are met at once
+TOLD = 64  # lists of a text by which it is settled where a pair is told
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, k: int = SKETCH) -> DataFrame:
@@ -233,12 +234,18 @@ def _meet(percent: int):
     """Hubs (role 0) of a list meet its members (role 1) -> pairs (a, b) that may be similar enough.
 
     Two sketches know the union up to the smaller of their largest values; what they share of it is the estimate. One hub
-    at a time marks its values among those of all members, so memory follows the sketches and not the pairs."""
+    at a time marks its values among those of all members, so memory follows the sketches and not the pairs.
 
-    def candidates(rows):
+    A pair that meets in several lists is told in one: the least value that the smallest lists of both (``TOLD`` at most) have
+    in common and in which one of the two is a hub. All lists decide alike, from these two short arrays; where they have no such
+    value the pair shares few of its lists, and each of them tells it."""
+
+    def candidates(rows, value_of):
         doc, comp, n, s = (np.array(c, dtype=np.int64) for c in rows[1:5])
         hub = np.array(rows[0]) == 0
         sketch = rows[5]
+        all_of, hub_of = rows[6], [set(x) for x in rows[7]]
+        sets_of = [set(x) for x in all_of]
         sizes = np.array([len(x) for x in sketch])
         firsts = np.cumsum(sizes) - sizes
         flat = np.concatenate(sketch)
@@ -263,7 +270,12 @@ def _meet(percent: int):
             known = np.searchsorted(sketch[h], low, side="right") + theirs - common
             sure = whole[m] & whole[h]
             may = np.where(sure, 100 * common >= percent * known, common >= percent / 100 * known - 5.6 * np.sqrt(percent * (100 - percent) / 10_000 * known))
-            found = doc[m[fit & may]]
+            met = m[fit & may]
+            keep = np.empty(len(met), dtype=bool)
+            for i, q in enumerate(met.tolist()):
+                common = [v for v in all_of[q] if v in sets_of[h] and (v in hub_of[h] or v in hub_of[q])]
+                keep[i] = not common or min(common) == value_of
+            found = doc[met[keep]]
             out.append(np.stack([np.minimum(found, doc[h]), np.maximum(found, doc[h])], axis=1))
         return np.concatenate(out) if out else np.empty((0, 2), dtype=np.int64)
 
@@ -272,18 +284,21 @@ def _meet(percent: int):
 
         def close():
             if rows and rows[0][0] == 0 and rows[0][-1] == 1:
-                done.append(candidates(rows))
+                done.append(candidates(rows, key[0]))
 
         for batch in batches:
             columns = [batch.column(i).to_pylist() for i in range(7)]
+            told = [batch.column(i).to_pylist() for i in (8, 9)]
             sketches = batch.column(7)
             flat, ends = sketches.flatten().to_numpy(), np.concatenate([[0], np.cumsum(sketches.value_lengths().to_numpy())])
             for i, own in enumerate(zip(columns[0], columns[1])):
                 if own != key:
                     close()
-                    key, rows = own, [[] for _ in range(6)]
+                    key, rows = own, [[] for _ in range(8)]
                 for held, c in zip(rows, columns[2:]):
                     held.append(c[i])
+                rows[6].append(told[0][i])
+                rows[7].append(told[1][i])
                 rows[5].append(flat[ends[i] : ends[i + 1]].copy())
             if done:
                 yield pairs(done)
@@ -301,9 +316,12 @@ def _meet(percent: int):
 
 def list_pairs(chosen: DataFrame, sketch: DataFrame, percent: int) -> DataFrame:
     """Distinct candidate pairs of lists with is_hub and members; crowded lists are met in chunks."""
-    rows = chosen.join(sketch, "doc_id")
+    # The smallest lists of a text, apart for its lists from sketches and from full sets, which bound its partners differently.
+    numbered = chosen.withColumn("at", F.row_number().over(W.partitionBy("doc_id", "s").orderBy("value"))).filter(F.col("at") <= TOLD)
+    least = numbered.groupBy("doc_id", "s").agg(F.collect_list("value").alias("lists"), F.collect_list(F.when(F.col("is_hub"), F.col("value"))).alias("hub_of"))
+    rows = chosen.join(least, ["doc_id", "s"]).join(sketch, "doc_id")
     chunks_ = F.ceil(F.col("members") / CHUNK).cast("int")
-    cells = ["doc_id", "component", "n", "s", "sketch"]
+    cells = ["doc_id", "component", "n", "s", "sketch", "lists", "hub_of"]
     members = rows.select("value", F.pmod(F.xxhash64("doc_id"), chunks_).cast("int").alias("salt"), F.lit(1).alias("role"), *cells)
     hubs = rows.filter("is_hub").select("value", F.explode(F.sequence(F.lit(0), chunks_ - 1)).alias("salt"), F.lit(0).alias("role"), *cells)
     met = members.union(hubs).repartition("value", "salt").sortWithinPartitions("value", "salt", "role")
