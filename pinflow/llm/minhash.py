@@ -232,7 +232,7 @@ def _estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
 
 
 def _meet(percent: int):
-    """Hubs (role 0) of a list meet its members (role 1) -> pairs (a, b) that may be similar enough.
+    """Hubs (role 0) of a list meet its members (role 1; role 2: both) -> pairs (a, b) that may be similar enough.
 
     Two sketches know the union up to the smaller of their largest values; what they share of it is the estimate. The sketches
     of a short list are one matrix, multiplied once; in a long list one hub at a time marks its values among those of all
@@ -258,11 +258,11 @@ def _meet(percent: int):
         return (least == len(values)) | ((least == at) & (values[min(at, len(values) - 1)] == value_of))
 
     def candidates(value_of, role, doc, comp, n, s, sizes, flat, listed, told, told_hub):
-        first_member = int(np.argmax(role))  # hubs come first
-        m = np.arange(first_member, len(doc))
-        twice = np.isin(doc[m], doc[:first_member])  # a hub is a member too: of two hubs the one of the smaller id tests
-        fits = (comp[m] != comp[:first_member, None]) & (np.minimum(s[m], s[:first_member, None]) * (100 + percent) >= (n[m] + n[:first_member, None]) * percent)
-        fits &= ~twice | (doc[m] > doc[:first_member, None])
+        first_member = int(np.argmax(role > 0))  # those that are hubs only come first
+        m, hubs = np.arange(first_member, len(doc)), np.flatnonzero(role != 1)
+        twice = np.isin(doc[m], doc[hubs])  # a hub is a member too: of two hubs the one of the smaller id tests
+        fits = (comp[m] != comp[hubs, None]) & (np.minimum(s[m], s[hubs, None]) * (100 + percent) >= (n[m] + n[hubs, None]) * percent)
+        fits &= ~twice | (doc[m] > doc[hubs, None])
         if not fits.any():
             return np.empty((0, 2), dtype=np.int64)
         firsts = np.cumsum(sizes) - sizes
@@ -273,19 +273,19 @@ def _meet(percent: int):
         if dense:
             held = np.zeros((len(doc), len(values)), dtype=np.float32)
             held[np.repeat(np.arange(len(doc)), sizes), code] = 1
-            all_common = (held[:first_member] @ held[m].T).astype(np.int64)
+            all_common = (held[hubs] @ held[first_member:].T).astype(np.int64)
             # How many values of each row lie below each other row's limit.
             key = np.repeat(np.arange(len(doc)), sizes) * (len(values) + 1) + code
             upto = np.searchsorted(values, limit, side="right")
             below = lambda rows, at: np.searchsorted(key, rows[:, None] * (len(values) + 1) + upto[at]) - firsts[rows][:, None]
-            hubs = np.arange(first_member)
-            all_known = np.where(limit[m] <= limit[:first_member, None], below(hubs, m) + sizes[m], sizes[:first_member, None] + below(m, hubs).T) - all_common
+            all_known = np.where(limit[m] <= limit[hubs, None], below(hubs, m) + sizes[m], sizes[hubs, None] + below(m, hubs).T) - all_common
         mine = np.zeros(len(values), dtype=bool)
         member_code, member_flat, start = code[firsts[first_member] :], flat[firsts[first_member] :], firsts[m] - firsts[first_member]
         out = []
-        for h in np.flatnonzero(fits.any(axis=1)).tolist():
+        for i in np.flatnonzero(fits.any(axis=1)).tolist():
+            h = int(hubs[i])
             if dense:
-                common, known = all_common[h], all_known[h]
+                common, known = all_common[i], all_known[i]
             else:
                 own = code[firsts[h] : firsts[h] + sizes[h]]
                 mine[own] = True
@@ -294,7 +294,7 @@ def _meet(percent: int):
                 theirs = np.where(limit[m] <= limit[h], sizes[m], np.add.reduceat((member_flat <= limit[h]).astype(np.int64), start))
                 known = np.searchsorted(flat[firsts[h] : firsts[h] + sizes[h]], np.minimum(limit[m], limit[h]), side="right") + theirs - common
             may = np.where(whole[m] & whole[h], 100 * common >= percent * known, common >= percent / 100 * known - 5.6 * np.sqrt(percent * (100 - percent) / 10_000 * known))
-            met = m[fits[h] & may]
+            met = m[fits[i] & may]
             if len(met):
                 if lists is None:
                     lists, list_code = np.unique(told, return_inverse=True)
@@ -308,7 +308,7 @@ def _meet(percent: int):
         def close():
             if parts:
                 rows = [np.concatenate(c) for c in zip(*parts)] if len(parts) > 1 else parts[0]
-                if rows[0][0] == 0 and rows[0][-1] == 1:
+                if rows[0][-1] and (rows[0][0] == 0 or rows[0][-1] == 2):
                     done.append(candidates(key[0], *rows))
 
         for batch in batches:
@@ -350,10 +350,12 @@ def list_pairs(chosen: DataFrame, sketch: DataFrame, percent: int) -> DataFrame:
     least = numbered.groupBy("doc_id", "s").agg(F.collect_list(F.struct("value", "is_hub")).alias("lists"))
     rows = chosen.join(least, ["doc_id", "s"]).join(sketch, "doc_id")
     chunks_ = F.ceil(F.col("members") / CHUNK).cast("int")
-    cells = ["doc_id", "component", "n", "s", "sketch", "lists"]
-    members = rows.select("value", F.pmod(F.xxhash64("doc_id"), chunks_).cast("int").alias("salt"), F.lit(1).alias("role"), *cells)
-    hubs = rows.filter("is_hub").select("value", F.explode(F.sequence(F.lit(0), chunks_ - 1)).alias("salt"), F.lit(0).alias("role"), *cells)
-    met = members.union(hubs).repartition("value", "salt").sortWithinPartitions("value", "salt", "role")
+    # A hub goes to every chunk, to its own as a member too: one row with its sketch, not one for each part that it plays.
+    own = F.pmod(F.xxhash64("doc_id"), chunks_).cast("int")
+    salts = F.when(F.col("is_hub"), F.sequence(F.lit(0), chunks_ - 1)).otherwise(F.array(own))
+    role = F.when(~F.col("is_hub"), 1).when(F.col("salt") == own, 2).otherwise(0)
+    dealt = rows.withColumn("salt", F.explode(salts)).select("value", "salt", role.cast("int").alias("role"), "doc_id", "component", "n", "s", "sketch", "lists")
+    met = dealt.repartition("value", "salt").sortWithinPartitions("value", "salt", "role")
     return met.mapInArrow(trimmed(_meet(percent)), "a bigint, b bigint").distinct()
 
 
